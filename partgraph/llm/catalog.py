@@ -3,13 +3,19 @@
 from __future__ import annotations
 
 from .bpe import op5_byte_bpe
+from .line_dedup import op8_segment_edit_lines
+from .packing import op6_genetic_packing
+from .quality import op3_adaptive_quality
 from .sharding import op4_jump_shards
 
 
 def queries() -> dict:
     return {
+        "op3_adaptive_quality": op3_adaptive_quality,
         "op4_jump_shards": op4_jump_shards,
         "op5_byte_bpe": op5_byte_bpe,
+        "op6_genetic_packing": op6_genetic_packing,
+        "op8_segment_edit_lines": op8_segment_edit_lines,
     }
 
 
