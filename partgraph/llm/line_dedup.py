@@ -33,26 +33,36 @@ def _segments(length: Column, t: int) -> list[tuple[Column, Column]]:
     return out
 
 
-def _signatures(line: Column, n: Column, t: int) -> tuple[Column, Column]:
-    """Arrays of index and of probe signatures of a line.
+def _sign(length: Column, i: int, piece: Column) -> Column:
+    return F.xxhash64(length, F.lit(i), piece)
 
-    Probes use the multi-match-aware window: segment i of a line shorter by d starts within
-    max(p - i, p + d - (t - i)) .. min(p + i, p + d + (t - i)) of the longer line.
-    """
 
-    def sign(length: Column, i: int, start: Column, size: Column) -> Column:
-        return F.xxhash64(length, F.lit(i), F.substring(line, start + 1, size))
+def _index_signatures(line: Column, n: Column, t: int) -> Column:
+    return F.array(*[_sign(n, i, F.substring(line, p + 1, size)) for i, (p, size) in enumerate(_segments(n, t))])
+
 
-    index = [sign(n, i, p, size) for i, (p, size) in enumerate(_segments(n, t))]
-    probe = []
+def _probe_signatures(line: Column, n: Column, t: int) -> Column:
+    """Signatures of the substrings that may equal a segment of a line shorter by d <= t, null where none fits.
+
+    The multi-match-aware window: segment i starts within max(p - i, p + d - (t - i)) .. min(p + i, p + d + (t - i)).
+    """
+    out = []
     for d in range(t + 1):
         for i, (p, size) in enumerate(_segments(n - d, t)):
-            low, high = max(-i, d - (t - i)), min(i, d + (t - i))
-            for shift in range(low, high + 1):
+            for shift in range(max(-i, d - (t - i)), min(i, d + (t - i)) + 1):
                 at = p + shift
-                fits = (at >= 0) & (at + size <= n)
-                probe.append(F.when(fits, sign(n - d, i, at, size)))
-    return F.array(*index), F.array_compact(F.array(*probe))
+                out.append(F.when((at >= 0) & (at + size <= n), _sign(n - d, i, F.substring(line, at + 1, size))))
+    return F.array(*out)
+
+
+def _letter_counts(line: Column, n: Column) -> Column:
+    """Counts of LETTERS, ten bits each (capped), in one integer."""
+    return sum((F.shiftleft(F.least(n - F.char_length(F.replace(line, F.lit(c), F.lit(""))), F.lit(1023)).cast("bigint"), 10 * i) for i, c in enumerate(LETTERS)), F.lit(0).cast("bigint"))
+
+
+def _apart(a: Column, b: Column) -> Column:
+    part = lambda x, i: F.shiftright(x, 10 * i).bitwiseAND(F.lit(1023))
+    return sum((F.abs(part(a, i) - part(b, i)) for i in range(len(LETTERS))), F.lit(0).cast("bigint"))
 
 
 def lines_of(docs: DataFrame, min_chars: int = MIN_CHARS) -> DataFrame:
@@ -64,23 +74,18 @@ def lines_of(docs: DataFrame, min_chars: int = MIN_CHARS) -> DataFrame:
 
 def similar_lines(docs: DataFrame, t: int = THRESHOLD, min_chars: int = MIN_CHARS) -> DataFrame:
     """(a, b): ids of distinct lines within ``t`` edits, once each."""
-    lines = lines_of(docs, min_chars)
-    n = F.char_length("line")
-    index, probe = _signatures(F.col("line"), n, t)
-    counts = [(n - F.char_length(F.replace("line", F.lit(c), F.lit("")))).cast("smallint").alias(f"n_{c}") for c in LETTERS]
-    held = ["line_id", *[f"n_{c}" for c in LETTERS]]
-
-    def entries(which: Column) -> DataFrame:
-        return lines.select("line_id", *counts, F.explode(which).alias("signature")).dropDuplicates(["line_id", "signature"])
-
-    a = entries(index).select("signature", *[F.col(c).alias(f"a_{c}") for c in held])
-    b = entries(probe).select("signature", *[F.col(c).alias(f"b_{c}") for c in held])
-    apart = sum((F.abs(F.col(f"a_n_{c}") - F.col(f"b_n_{c}")) for c in LETTERS), F.lit(0))
-    pairs = a.join(b, (a["signature"] == b["signature"]) & (F.col("a_line_id") != F.col("b_line_id")) & (apart <= 2 * t))
-    pairs = pairs.select(F.least("a_line_id", "b_line_id").alias("a"), F.greatest("a_line_id", "b_line_id").alias("b")).distinct()
-    wanted = pairs.select(F.explode(F.array("a", "b")).alias("line_id")).distinct()
-    texts = lines.select("line_id", "line").join(wanted, "line_id", "left_semi").dropDuplicates(["line_id"])
-    both = pairs.join(texts.select(F.col("line_id").alias("a"), F.col("line").alias("a_line")), "a").join(texts.select(F.col("line_id").alias("b"), F.col("line").alias("b_line")), "b")
+    lines = lines_of(docs, min_chars).groupBy("line_id").agg(F.first("line").alias("line"))
+    n = F.col("n")
+    sized = lines.withColumn("n", F.char_length("line"))
+
+    def entries(signatures: Column, side: str) -> DataFrame:
+        rows = sized.select(F.col("line_id").alias(side), _letter_counts(F.col("line"), n).alias(f"{side}_letters"), F.explode(signatures).alias(f"{side}_signature"))
+        return rows.where(F.col(f"{side}_signature").isNotNull())
+
+    index, probe = entries(_index_signatures(F.col("line"), n, t), "x"), entries(_probe_signatures(F.col("line"), n, t), "y")
+    near = (F.col("x_signature") == F.col("y_signature")) & (F.col("x") != F.col("y")) & (_apart(F.col("x_letters"), F.col("y_letters")) <= 2 * t)
+    pairs = index.join(probe, near).select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct()
+    both = pairs.join(lines.select(F.col("line_id").alias("a"), F.col("line").alias("a_line")), "a").join(lines.select(F.col("line_id").alias("b"), F.col("line").alias("b_line")), "b")
     return both.where(F.levenshtein("a_line", "b_line", t).between(0, t)).select("a", "b")
 
 
