@@ -3,14 +3,18 @@
 from __future__ import annotations
 
 from .bpe import op5_byte_bpe
+from .jaccard_join import op2_chosen_path_join
 from .line_dedup import op8_segment_edit_lines
 from .packing import op6_genetic_packing
 from .quality import op3_adaptive_quality
 from .sharding import op4_jump_shards
+from .substring_dedup import op1_fm_substrings
 
 
 def queries() -> dict:
     return {
+        "op1_fm_substrings": op1_fm_substrings,
+        "op2_chosen_path_join": op2_chosen_path_join,
         "op3_adaptive_quality": op3_adaptive_quality,
         "op4_jump_shards": op4_jump_shards,
         "op5_byte_bpe": op5_byte_bpe,

@@ -1,7 +1,7 @@
 """Substring dedup: windows of WINDOW words that start anywhere else, found by FM-indexes over content shards.
 
 Equal windows share their least ANCHOR-word hash, so a document is cut into runs of windows with one such anchor, and
-runs are dealt by anchor. Anchors met once cannot repeat and never leave their row. The runs of a shard form one
+runs are dealt by anchor. Anchors met at one place only cannot repeat and never leave their row. The runs of a shard form one
 FM-index; each run streams through it by batched backward search and reports the windows that occur twice or more.
 
 Runs of an anchor that more than HOT runs share (a passage in a large part of all documents) would meet in one task;
@@ -31,16 +31,20 @@ INDEX_WORDS = 1_500_000
 KEY = ["h", "c", "doc_id"]
 
 
-def runs_of(w: Words, window: int, anchor: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Anchor hash, first window (flat word number) and number of windows of each run."""
+def runs_of(w: Words, window: int, anchor: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Anchor hash, first window (flat word number), number of windows of each run, and whether it may repeat itself."""
     n = len(w.start) - window + 1
     if n <= 0:
-        return np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, np.int64)
+        return np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, bool)
     with np.errstate(over="ignore"):
         g = np.zeros(len(w.start) - anchor + 1, np.uint64)
         for j in range(anchor):
             g = g * np.uint64(0xD6E8FEB86659FD93) + w.hash[j : j + len(g)]
         g = mix(g)
+    order = np.argsort(g, kind="stable")
+    twin = np.zeros(len(g) + 1, np.int64)  # places whose anchor words follow again
+    twin[order[:-1][g[order[1:]] == g[order[:-1]]] + 1] = 1
+    twins = np.cumsum(twin)
     span, have = window - anchor + 1, 1
     while have * 2 <= span:
         g = np.minimum(g[:-have], g[have:])
@@ -50,11 +54,12 @@ def runs_of(w: Words, window: int, anchor: int) -> tuple[np.ndarray, np.ndarray,
     own = w.owner()
     at = np.flatnonzero(own[:n] == own[window - 1 :])
     if not len(at):
-        return np.zeros(0, np.uint64), at, at
+        return np.zeros(0, np.uint64), at, at, np.zeros(0, bool)
     value, doc = g[at], own[at]
     head = np.concatenate([[True], (value[1:] != value[:-1]) | (doc[1:] != doc[:-1])])
     first = np.flatnonzero(head)
-    return value[first], at[first], np.diff(np.append(first, len(at)))
+    start, size = at[first], np.diff(np.append(first, len(at)))
+    return value[first], start, size, twins[start + size + span - 1] > twins[start]
 
 
 def _keyed(docs: DataFrame) -> DataFrame:
@@ -63,7 +68,7 @@ def _keyed(docs: DataFrame) -> DataFrame:
 
 
 def anchors(keyed: DataFrame, window: int) -> DataFrame:
-    """(h, c, anchor, start, windows): the runs of each text."""
+    """(h, c, anchor, start, windows, again): the runs of each text."""
     import pyarrow as pa
 
     def run(batches):
@@ -71,15 +76,15 @@ def anchors(keyed: DataFrame, window: int) -> DataFrame:
             texts = batch.column("text").to_pylist()
             for a, b in chunks(texts):
                 w = Words(texts[a:b])
-                value, at, size = runs_of(w, window, ANCHOR)
+                value, at, size, again = runs_of(w, window, ANCHOR)
                 doc = np.searchsorted(w.first, at, "right") - 1
                 take = pa.array(doc + a)
                 yield pa.RecordBatch.from_arrays(
-                    [batch.column("h").take(take), batch.column("c").take(take), pa.array(value.view(np.int64)), pa.array((at - w.first[doc]).astype(np.int32)), pa.array(size.astype(np.int32))],
-                    ["h", "c", "anchor", "start", "windows"],
+                    [batch.column("h").take(take), batch.column("c").take(take), pa.array(value.view(np.int64)), pa.array((at - w.first[doc]).astype(np.int32)), pa.array(size.astype(np.int32)), pa.array(again)],
+                    ["h", "c", "anchor", "start", "windows", "again"],
                 )
 
-    return keyed.select("h", "c", "text").mapInArrow(run, "h bigint, c bigint, anchor bigint, start int, windows int")
+    return keyed.select("h", "c", "text").mapInArrow(run, "h bigint, c bigint, anchor bigint, start int, windows int, again boolean")
 
 
 def _slices(batches, window: int):
@@ -186,7 +191,7 @@ def repeated_windows(docs: DataFrame, window: int = WINDOW) -> tuple[DataFrame,
     rows = keyed.select("h", "c", "doc_id")
     texts = rows.groupBy("h", "c").agg(F.count("*").alias("copies"), F.min("doc_id").alias("lead"))
     runs = anchors(keyed, window).distinct()
-    met = runs.groupBy("anchor").agg(F.count("*").alias("met")).where("met > 1")
+    met = runs.groupBy("anchor").agg(F.count("*").alias("met"), F.max("again").alias("any_again")).where("met > 1 or any_again")
     shared = runs.join(met, "anchor").select("h", "c", F.struct("anchor", "start", "windows", (F.col("met") > HOT).alias("hot")).alias("run"))
     wanted = shared.groupBy("h", "c").agg(F.collect_list("run").alias("runs")).join(texts, ["h", "c"]).select("h", "c", F.col("lead").alias("doc_id"), "runs")
     slices = keyed.join(wanted.withColumnRenamed("doc_id", "lead"), (keyed["h"] == wanted["h"]) & (keyed["c"] == wanted["c"]) & keyed["doc_id"].eqNullSafe(F.col("lead")))
