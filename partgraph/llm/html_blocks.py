@@ -105,9 +105,8 @@ def block_vectors(blocks) -> np.ndarray:
         for m in path:
             x[i, _CRC(m) % PATH_DIM] = 1
         words = text.split(" ")
-        for w in words[:: max(1, len(words) // 64)]:
-            x[i, PATH_DIM + _CRC(w) % WORD_DIM] += 1
-        x[i, PATH_DIM : PATH_DIM + WORD_DIM] /= max(1.0, float(np.linalg.norm(x[i, PATH_DIM : PATH_DIM + WORD_DIM])))
+        bag = np.bincount([_CRC(w) % WORD_DIM for w in words], minlength=WORD_DIM)
+        x[i, PATH_DIM : PATH_DIM + WORD_DIM] = bag / np.sqrt(bag @ bag)
         n = len(text)
         x[i, -COUNTS:] = (np.log1p(n) / 6, min(1.0, linked / n), text.count(".") / (1 + len(words)), len(path) / 10, 1.0 if text[-1] in ".!?" else 0.0)
     return x
