@@ -68,7 +68,10 @@ def _keyed(docs: DataFrame) -> DataFrame:
 
 
 def anchors(keyed: DataFrame, window: int) -> DataFrame:
-    """(h, c, anchor, start, windows, again): the runs of each text."""
+    """(h, anchor, start, windows, again): the runs of each text.
+
+    Texts that differ but share ``h`` get each other's runs, which the search then turns down.
+    """
     import pyarrow as pa
 
     def run(batches):
@@ -80,11 +83,11 @@ def anchors(keyed: DataFrame, window: int) -> DataFrame:
                 doc = np.searchsorted(w.first, at, "right") - 1
                 take = pa.array(doc + a)
                 yield pa.RecordBatch.from_arrays(
-                    [batch.column("h").take(take), batch.column("c").take(take), pa.array(value.view(np.int64)), pa.array((at - w.first[doc]).astype(np.int32)), pa.array(size.astype(np.int32)), pa.array(again)],
-                    ["h", "c", "anchor", "start", "windows", "again"],
+                    [batch.column("h").take(take), pa.array(value.view(np.int64)), pa.array((at - w.first[doc]).astype(np.int32)), pa.array(size.astype(np.int32)), pa.array(again)],
+                    ["h", "anchor", "start", "windows", "again"],
                 )
 
-    return keyed.select("h", "c", "text").mapInArrow(run, "h bigint, c bigint, anchor bigint, start int, windows int, again boolean")
+    return keyed.select("h", "text").mapInArrow(run, "h bigint, anchor bigint, start int, windows int, again boolean")
 
 
 def _slices(batches, window: int):
@@ -99,9 +102,11 @@ def _slices(batches, window: int):
             f1 = f2 = None
             cols: list[list] = [[] for _ in range(6)]
             for i, found in enumerate(lists[a:b]):
-                base = int(w.first[i])
+                base, limit = int(w.first[i]), int(w.first[i + 1])
                 for r in found:
                     s, e = base + r["start"], base + r["start"] + r["windows"] + window - 1
+                    if e > limit:  # a run of another text with the same hash
+                        continue
                     if not r["hot"]:
                         for col, x in zip(cols, (a + i, r["anchor"], r["start"], w.data[w.start[s] : w.end[e - 1]].tobytes(), None, None), strict=True):
                             col.append(x)
@@ -190,15 +195,20 @@ def repeated_windows(docs: DataFrame, window: int = WINDOW) -> tuple[DataFrame,
     keyed = _keyed(docs)
     rows = keyed.select("h", "c", "doc_id")
     texts = rows.groupBy("h", "c").agg(F.count("*").alias("copies"), F.min("doc_id").alias("lead"))
-    runs = anchors(keyed, window).distinct()
-    met = runs.groupBy("anchor").agg(F.count("*").alias("met"), F.max("again").alias("any_again")).where("met > 1 or any_again")
-    shared = runs.join(met, "anchor").select("h", "c", F.struct("anchor", "start", "windows", (F.col("met") > HOT).alias("hot")).alias("run"))
-    wanted = shared.groupBy("h", "c").agg(F.collect_list("run").alias("runs")).join(texts, ["h", "c"]).select("h", "c", F.col("lead").alias("doc_id"), "runs")
-    slices = keyed.join(wanted.withColumnRenamed("doc_id", "lead"), (keyed["h"] == wanted["h"]) & (keyed["c"] == wanted["c"]) & keyed["doc_id"].eqNullSafe(F.col("lead")))
-    slices = slices.select(keyed["h"], keyed["c"], keyed["doc_id"], "text", "runs").mapInArrow(lambda b: _slices(b, window), "h bigint, c bigint, doc_id bigint, anchor bigint, start int, words binary, f1 bigint, f2 bigint")
-    dealt = slices.where("words is not null").select(*KEY, "anchor", "start", "words").repartition(n, "anchor").sortWithinPartitions("anchor")
+    runs = anchors(keyed, window)
+    met = runs.groupBy("anchor").agg(F.count("*").alias("met"), F.min("h").alias("low"), F.max("h").alias("high"), F.max("again").alias("any_again"))
+    met = met.where("low <> high or any_again").select("anchor", (F.col("met") > HOT).alias("hot"))
+    shared = runs.join(met, "anchor").select("h", F.struct("anchor", "start", "windows", "hot").alias("run"))
+    wanted = shared.groupBy("h").agg(F.collect_set("run").alias("runs")).join(texts, "h").select("h", "c", "lead", "runs")
+
+    def cut(hot: bool) -> DataFrame:
+        mine = wanted.withColumn("runs", F.filter("runs", lambda r: r["hot"] if hot else ~r["hot"])).where(F.size("runs") > 0)
+        met = _with_spans(keyed, mine.withColumnsRenamed({"lead": "doc_id"}), "runs", how="inner")
+        return met.select(*KEY, "text", "runs").mapInArrow(lambda b: _slices(b, window), "h bigint, c bigint, doc_id bigint, anchor bigint, start int, words binary, f1 bigint, f2 bigint")
+
+    dealt = cut(hot=False).select(*KEY, "anchor", "start", "words").repartition(n, "anchor").sortWithinPartitions("anchor")
     found = dealt.mapInArrow(lambda b: _search(b, window), "h bigint, c bigint, doc_id bigint, start int")
-    marks = slices.where("words is null").select(*KEY, "start", "f1", "f2")
+    marks = cut(hot=True).select(*KEY, "start", "f1", "f2")
     twice = marks.groupBy("f1", "f2").agg(F.count("*").alias("k")).where("k > 1").select("f1", "f2")
     hot = marks.join(twice, ["f1", "f2"]).select(*KEY, "start")
     spans = found.unionByName(hot).groupBy(*KEY).agg(F.collect_set("start").alias("starts")).withColumn("whole", F.lit(False))
@@ -218,12 +228,11 @@ def _mask(n: int, starts, whole: bool, window: int) -> np.ndarray:
     return np.cumsum(gone)[:-1] > 0
 
 
-def _with_spans(docs: DataFrame, spans: DataFrame, *columns: str) -> DataFrame:
-    text = F.coalesce("text", F.lit(""))
-    keyed = docs.withColumns({"__h": F.xxhash64(text), "__c": F.crc32(text)})
-    right = spans.select(F.col("h").alias("__rh"), F.col("c").alias("__rc"), F.col("doc_id").alias("__rid"), "starts", "whole")
-    met = keyed.join(right, (F.col("__h") == F.col("__rh")) & (F.col("__c") == F.col("__rc")) & F.col("doc_id").cast("bigint").eqNullSafe(F.col("__rid")), "left")
-    return met.select(*columns, "starts", "whole")
+def _with_spans(keyed: DataFrame, spans: DataFrame, *columns: str, how: str = "left") -> DataFrame:
+    """``keyed`` with ``columns`` of the row in ``spans`` that has its (h, c, doc_id); equal exchanges of texts are reused."""
+    right = spans.select(*[F.col(k).alias(f"__{k}") for k in KEY], *columns)
+    same = (keyed["h"] == right["__h"]) & (keyed["c"] == right["__c"]) & keyed["doc_id"].eqNullSafe(right["__doc_id"])
+    return keyed.join(right, same, how).drop(*[f"__{k}" for k in KEY])
 
 
 def op1_fm_substrings(spark, sf_dir: str) -> DataFrame:
@@ -245,7 +254,7 @@ def op1_fm_substrings(spark, sf_dir: str) -> DataFrame:
                 sha.append(hashlib.sha256(b" ".join(words)).hexdigest())
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(n, pa.int64()), pa.array(removed, pa.int64()), pa.array(sha, pa.string())], ["doc_id", "n_words", "n_removed", "kept_sha256"])
 
-    return _with_spans(docs, spans, "doc_id", "text").mapInArrow(run, "doc_id bigint, n_words bigint, n_removed bigint, kept_sha256 string")
+    return _with_spans(keyed, spans, "starts", "whole").select("doc_id", "text", "starts", "whole").mapInArrow(run, "doc_id bigint, n_words bigint, n_removed bigint, kept_sha256 string")
 
 
 def filter_substrings(docs: DataFrame, window: int = WINDOW) -> DataFrame:
@@ -259,7 +268,7 @@ def filter_substrings(docs: DataFrame, window: int = WINDOW) -> DataFrame:
     def run(batches):
         for batch in batches:
             out = []
-            for text, starts, whole in zip(batch.column("text").to_pylist(), batch.column("starts").to_pylist(), batch.column("whole").to_pylist(), strict=True):
+            for text, starts, whole in zip(batch.column("text").to_pylist(), batch.column("__starts").to_pylist(), batch.column("__whole").to_pylist(), strict=True):
                 if text and (starts or whole):
                     w = Words([text])
                     gone = _mask(len(w.start), starts, bool(whole), window)
@@ -269,4 +278,7 @@ def filter_substrings(docs: DataFrame, window: int = WINDOW) -> DataFrame:
                 out.append(text)
             yield pa.RecordBatch.from_arrays([pa.array(out, pa.string()) if c == "text" else batch.column(c) for c in names], names)
 
-    return _with_spans(docs, spans, *names).mapInArrow(run, schema)
+    text = F.coalesce("text", F.lit(""))
+    keyed = docs.select(F.struct(*names).alias("__row"), F.xxhash64(text).alias("h"), F.crc32(text).alias("c"), F.col("doc_id").cast("bigint").alias("doc_id"))
+    met = _with_spans(keyed, spans.withColumnsRenamed({"starts": "__starts", "whole": "__whole"}), "__starts", "__whole")
+    return met.select("__row.*", "__starts", "__whole").mapInArrow(run, schema)
