@@ -27,7 +27,7 @@ WINDOW = 35
 ANCHOR = 6
 HOT = 4000
 #: Words of one FM-index, about; a shard with more is indexed part by part, at anchor borders.
-INDEX_WORDS = 1_500_000
+INDEX_WORDS = 300_000
 KEY = ["h", "c", "doc_id"]
 
 
@@ -96,12 +96,12 @@ def _slices(batches, window: int):
 
     names = [*KEY, "anchor", "start", "words", "f1", "f2"]
     for batch in batches:
-        texts, lists = batch.column("text").to_pylist(), batch.column("runs").to_pylist()
+        texts, lists = batch.column("text").to_pylist(), batch.column("runs")
         for a, b in chunks(texts, 1 << 20):
             w = Words(texts[a:b])
             f1 = f2 = None
             cols: list[list] = [[] for _ in range(6)]
-            for i, found in enumerate(lists[a:b]):
+            for i, found in enumerate(lists.slice(a, b - a).to_pylist()):
                 base, limit = int(w.first[i]), int(w.first[i + 1])
                 for r in found:
                     s, e = base + r["start"], base + r["start"] + r["windows"] + window - 1
