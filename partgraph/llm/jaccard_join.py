@@ -221,10 +221,11 @@ def similar_sets(sets: DataFrame, threshold: float = THRESHOLD, recall: float =
 
 
 def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD) -> tuple[DataFrame, DataFrame]:
-    """(one row for each doc_id and text: h, c, doc_id, class_id, copy_id, n_links; links between copy classes).
+    """(one row for each doc_id and text: h, c, doc_id, comp, class_id, copy_id, n_links; links between copy classes).
 
-    class_id is the least doc_id of the component, copy_id of the rows with an equal set; n_links counts all other rows
-    that are similar, copies included.
+    comp names the component. class_id is its least doc_id, or comp where all doc_ids are null or another component has
+    the same least doc_id; copy_id is the least doc_id of the rows with an equal set; n_links counts all other rows that
+    are similar, copies included.
     """
     made = spill(text_sets(docs).dropDuplicates(["h", "c"]))
     sets = spill(made.groupBy("cid").agg(F.first("size").alias("size"), F.first("shingles").alias("shingles")).where("size > 0"))
@@ -236,9 +237,12 @@ def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD) -> tuple[Data
     both = links.union(links.select(F.col("b").alias("a"), F.col("a").alias("b")))
     other = both.join(classes.select(F.col("cid").alias("b"), "copies"), "b").groupBy(F.col("a").alias("cid")).agg(F.sum("copies").alias("others"))
     known = classes.join(parts, "cid", "left").join(other, "cid", "left").withColumn("comp", F.coalesce("comp", "cid"))
-    lead = known.groupBy("comp").agg(F.min("copy_id").alias("class_id"))
-    table = known.join(lead, "comp").select("cid", "class_id", "copy_id", (F.col("copies") - 1 + F.coalesce("others", F.lit(0))).alias("n_links"))
-    return rows.join(table, "cid").select("h", "c", "doc_id", "class_id", "copy_id", "n_links"), links
+    lead = known.groupBy("comp").agg(F.min("copy_id").alias("least"))
+    # a least doc_id that names one component alone stays its class_id
+    sole = lead.where("least is not null").groupBy("least").agg(F.min("comp").alias("comp"), F.count("*").alias("n")).where("n = 1")
+    lead = lead.select("comp").join(sole, "comp", "left").select("comp", F.coalesce("least", "comp").alias("class_id"))
+    table = known.join(lead, "comp").select("cid", "comp", "class_id", "copy_id", (F.col("copies") - 1 + F.coalesce("others", F.lit(0))).alias("n_links"))
+    return rows.join(table, "cid").select("h", "c", "doc_id", "comp", "class_id", "copy_id", "n_links"), links
 
 
 def op2_chosen_path_join(spark, sf_dir: str) -> DataFrame:
@@ -246,9 +250,9 @@ def op2_chosen_path_join(spark, sf_dir: str) -> DataFrame:
 
 
 def keep_one(docs: DataFrame) -> DataFrame:
-    """One document of each class of near-duplicates, with all its columns: the least doc_id, then the least text key."""
+    """One document of each component of near-duplicates, with all its columns: the least doc_id, then the least text key."""
     found = near_duplicates(docs.select("doc_id", "text"))[0]
-    best = found.groupBy("class_id").agg(F.min(F.struct(F.col("doc_id").isNull().alias("nil"), "doc_id", "h", "c")).alias("k"))
+    best = found.groupBy("comp").agg(F.min(F.struct(F.col("doc_id").isNull().alias("nil"), "doc_id", "h", "c")).alias("k"))
     lead = best.select(F.col("k.doc_id").alias("__id"), F.col("k.h").alias("__h"), F.col("k.c").alias("__c"))
     text = F.coalesce("text", F.lit(""))
     met = docs.join(lead, docs["doc_id"].cast("bigint").eqNullSafe(F.col("__id")) & (F.xxhash64(text) == F.col("__h")) & (F.crc32(text) == F.col("__c")))

@@ -45,3 +45,14 @@ def test_links_equal_brute_force(spark, monkeypatch):
     assert kept.columns == ["doc_id", "text", "cid"]
     assert sorted(r.doc_id for r in kept.collect()) == sorted({r.class_id for r in got.values()})
     assert J.keep_one(df.limit(0)).count() == 0
+
+
+def test_unrelated_rows_with_null_and_equal_ids(spark):
+    one = lambda c: " ".join(f"{c}{i}" for i in range(30))
+    rows = [(None, one("a")), (None, one("b")), (None, one("b") + " more"), (7, one("c")), (7, one("d")), (8, one("d")), (9, one("e"))]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    kept = sorted((r.doc_id or 0, r.text[0]) for r in J.keep_one(df).collect())
+    assert kept == [(0, "a"), (0, "b"), (7, "c"), (7, "d"), (9, "e")]
+    got = J.near_duplicates(df)[0].collect()
+    assert len({r.class_id for r in got}) == len({r.comp for r in got}) == 5
+    assert {r.class_id for r in got if r.doc_id == 9} == {9}
