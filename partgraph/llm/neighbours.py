@@ -1,7 +1,8 @@
 """Approximate nearest neighbours by largest inner product: an NN-descent graph and greedy search on it.
 
 Vectors get one more coordinate so that all have the length of the longest: the largest inner product is then the least
-distance. Random hyperplanes deal the rows into blocks whose best pairs start the graph. Each round joins the graph with
+distance. Vectors travel as float32; that coordinate and the scores of the graph are taken in double precision from them,
+so that one long vector does not blur the others. Random hyperplanes deal the rows into blocks whose best pairs start the graph. Each round joins the graph with
 itself: the neighbours and reverse neighbours of a node meet at the node, and the best meetings replace worse edges.
 Queries start at their own row's neighbours; each step opens the best unopened nodes of every query and joins their
 neighbours. Final scores are exact, in double precision on the original vectors.
@@ -42,12 +43,19 @@ def _matrix(column) -> np.ndarray:
 
 
 def _levelled(vectors: DataFrame) -> DataFrame:
-    """(id, x): float vectors of one common length."""
+    """(id, x): float vectors, the longest of length 1."""
     square = F.aggregate("v", F.lit(0.0), lambda a, x: a + x * x)
-    sized = vectors.withColumn("sq", square)
-    most = F.lit(sized.agg(F.max("sq")).first()[0] or 1.0)
-    last = F.sqrt(F.greatest(most - F.col("sq"), F.lit(0.0)))
-    return sized.select("id", F.transform(F.concat("v", F.array(last)), lambda x: (x / F.sqrt(most)).cast("float")).alias("x"))
+    most = F.lit(vectors.agg(F.max(square)).first()[0] or 1.0)
+    return vectors.select("id", F.transform("v", lambda x: (x / F.sqrt(most)).cast("float")).alias("x"))
+
+
+def _scores(x: np.ndarray) -> np.ndarray:
+    """Inner products of all pairs of rows once each has the coordinate that makes it of length 1; -inf with itself."""
+    x = x.astype(np.float64)
+    last = np.sqrt(np.maximum(1 - (x * x).sum(1), 0))
+    s = x @ x.T + np.outer(last, last)
+    np.fill_diagonal(s, -np.inf)
+    return s
 
 
 def _best(edges: DataFrame, k: int) -> DataFrame:
@@ -79,15 +87,14 @@ def _first_graph(level: DataFrame, count: int, dim: int) -> DataFrame:
 
     def block(table: pa.Table) -> pa.Table:
         ids, x = np.asarray(table.column("id")), _matrix(table.column("x"))
-        s = x @ x.T
-        np.fill_diagonal(s, -np.inf)
+        s = _scores(x)
         k = min(DEGREE, len(ids) - 1)
         if k < 1:
-            return pa.table({"u": pa.array([], pa.int64()), "v": pa.array([], pa.int64()), "s": pa.array([], pa.float32())})
+            return pa.table({"u": pa.array([], pa.int64()), "v": pa.array([], pa.int64()), "s": pa.array([], pa.float64())})
         near = np.argpartition(-s, k - 1, axis=1)[:, :k]
-        return pa.table({"u": np.repeat(ids, k), "v": ids[near].ravel(), "s": np.take_along_axis(s, near, 1).ravel().astype(np.float32)})
+        return pa.table({"u": np.repeat(ids, k), "v": ids[near].ravel(), "s": np.take_along_axis(s, near, 1).ravel()})
 
-    return _best(dealt.groupBy("key", "part").applyInArrow(block, "u bigint, v bigint, s float").distinct(), DEGREE)
+    return _best(dealt.groupBy("key", "part").applyInArrow(block, "u bigint, v bigint, s double").distinct(), DEGREE)
 
 
 def _descend(graph: DataFrame, level: DataFrame) -> DataFrame:
@@ -96,8 +103,7 @@ def _descend(graph: DataFrame, level: DataFrame) -> DataFrame:
 
     back = _best(graph.select(F.col("v").alias("u"), F.col("u").alias("v"), "s"), DEGREE)
     members = graph.select("u", "v").union(back.select("u", "v")).distinct()
-    code = level.select(F.col("id").alias("v"), F.transform("x", lambda e: F.round(e * 127).cast("tinyint")).alias("q"))
-    met = members.join(code, "v").groupBy("u").agg(F.collect_list(F.struct("v", "q")).alias("m"))
+    met = members.join(level.withColumnRenamed("id", "v"), "v").groupBy("u").agg(F.collect_list(F.struct("v", "x")).alias("m"))
 
     def meet(batches):
         for batch in batches:
@@ -105,22 +111,21 @@ def _descend(graph: DataFrame, level: DataFrame) -> DataFrame:
             if not len(lists):
                 continue
             flat = lists.flatten()
-            ids, x = np.asarray(flat.field("v")), _matrix(flat.field("q")).astype(np.float32) / 127
+            ids, x = np.asarray(flat.field("v")), _matrix(flat.field("x"))
             edges = np.concatenate([[0], np.cumsum(np.asarray(lists.value_lengths()))])
             out: list[list[np.ndarray]] = [[], [], []]
             for a, b in zip(edges[:-1], edges[1:], strict=True):
                 k = min(TAKE, b - a - 1)
                 if k < 1:
                     continue
-                s = x[a:b] @ x[a:b].T
-                np.fill_diagonal(s, -np.inf)
+                s = _scores(x[a:b])
                 near = np.argpartition(-s, k - 1, axis=1)[:, :k]
                 for o, y in zip(out, (np.repeat(ids[a:b], k), ids[a:b][near].ravel(), np.take_along_axis(s, near, 1).ravel()), strict=True):
                     o.append(y)
             if out[0]:
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(out[0])), pa.array(np.concatenate(out[1])), pa.array(np.concatenate(out[2]).astype(np.float32))], ["u", "v", "s"])
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(out[0])), pa.array(np.concatenate(out[1])), pa.array(np.concatenate(out[2]))], ["u", "v", "s"])
 
-    found = met.select("m").mapInArrow(meet, "u bigint, v bigint, s float")
+    found = met.select("m").mapInArrow(meet, "u bigint, v bigint, s double")
     return _best(found.unionByName(graph).groupBy("u", "v").agg(F.max("s").alias("s")), DEGREE)
 
 

@@ -25,3 +25,20 @@ def test_small_table(spark, tmp_path):
     spark.createDataFrame([(0, [1.0, 0.0]), (1, [1.0, 1.0]), (2, [2.0, 0.0])], "vec_id long, embedding array<double>").write.parquet(str(tmp_path / "embeddings.parquet"))
     got = N.op9_nn_descent(spark, str(tmp_path)).orderBy("rank").collect()
     assert [(r.query_id, r.vec_id, r.score) for r in got] == [(0, 2, 2.0), (0, 1, 1.0)]
+
+
+def test_graph_with_one_long_vector(spark):
+    x = np.random.default_rng(3).normal(size=(600, 16))
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    x[7] *= 50
+    table = spark.createDataFrame([(i, r.tolist()) for i, r in enumerate(x)], "vec_id long, embedding array<double>")
+    graph = N.neighbour_graph(N._levelled(N.sound_vectors(table))).collect()
+    length = (x * x).sum(1)
+    last = np.sqrt(length.max() - length)
+    s = x @ x.T + np.outer(last, last)
+    np.fill_diagonal(s, -np.inf)
+    best = np.argsort(-s, axis=1)[:, :10]
+    got = {(r.u, r.v) for r in graph}
+    hit = np.mean([(i, int(j)) in got for i in range(600) for j in best[i]])
+    print("graph recall", hit)
+    assert hit >= 0.9
