@@ -2,10 +2,14 @@
 
 Vectors get one more coordinate so that all have the length of the longest: the largest inner product is then the least
 distance. Vectors travel as float32; that coordinate and the scores of the graph are taken in double precision from them,
-so that one long vector does not blur the others. Random hyperplanes deal the rows into blocks whose best pairs start the graph. Each round joins the graph with
-itself: the neighbours and reverse neighbours of a node meet at the node, and the best meetings replace worse edges.
+so that one long vector does not blur the others. Random hyperplanes through the middle of a sample deal the rows into
+blocks whose best pairs start the graph. Each round joins the graph with itself: the neighbours and reverse neighbours of
+a node meet at the node, pairs of two edges that met before are passed over, and meetings better than a row's worst edge
+replace it. Rounds go on until at most DELTA of the edges are new.
+
 Queries start at their own row's neighbours; each step opens the best unopened nodes of every query and joins their
-neighbours. Final scores are exact, in double precision on the original vectors.
+neighbours, until no query has an unopened node among its BEAM best. Final scores are exact, in double precision on the
+original vectors.
 
 Cases: null, zero or non-finite vectors and vectors holding nulls take no part; of rows with one vec_id the least vector
 stays; null vec_ids take no part; ties go to the smaller vec_id; an empty table gives no rows; other columns are ignored.
@@ -20,13 +24,14 @@ from pyspark.sql import functions as F
 from .common import partitions, spill
 
 TOP = 20
-DEGREE = 20
-ROUNDS = 3
+DEGREE = 32
+#: Rounds end when at most this share of the edges is new.
+DELTA = 0.02
 TREES = 3
 BLOCK = 400
-#: Best meetings that a member takes from one node in a round.
-TAKE = 5
-BEAM, OPEN, STEPS = 48, 12, 4
+#: Rows that tell where the middle of each hyperplane lies.
+SAMPLE = 4096
+BEAM, OPEN = 128, 24
 
 
 def sound_vectors(table: DataFrame) -> DataFrame:
@@ -69,14 +74,16 @@ def _first_graph(level: DataFrame, count: int, dim: int) -> DataFrame:
     import pyarrow as pa
 
     bits = max(0, int(np.ceil(np.log2(max(1, count / BLOCK)))))
+    planes = [np.random.default_rng(100 + t).normal(size=(dim, bits)) for t in range(TREES)]
+    some = _matrix(level.orderBy(F.xxhash64("id", F.lit(5))).limit(SAMPLE).select("x").toArrow().column("x")) if bits else np.zeros((1, dim))
+    middle = [np.median(some @ p, axis=0) for p in planes]
 
     def code(batches):
         for batch in batches:
             x = _matrix(batch.column("x"))
             keys = []
             for t in range(TREES):
-                planes = np.random.default_rng(100 + t).normal(size=(x.shape[1] if x.size else dim, bits))
-                keys.append((x @ planes > 0).astype(np.int64) @ (1 << np.arange(bits, dtype=np.int64)) * TREES + t if len(x) else np.zeros(0, np.int64))
+                keys.append((x @ planes[t] > middle[t]).astype(np.int64) @ (1 << np.arange(bits, dtype=np.int64)) * TREES + t if len(x) else np.zeros(0, np.int64))
             n = len(x)
             take = pa.array(np.tile(np.arange(n), TREES))
             yield pa.RecordBatch.from_arrays([batch.column("id").take(take), batch.column("x").take(take), pa.array(np.concatenate(keys))], ["id", "x", "key"])
@@ -94,16 +101,20 @@ def _first_graph(level: DataFrame, count: int, dim: int) -> DataFrame:
         near = np.argpartition(-s, k - 1, axis=1)[:, :k]
         return pa.table({"u": np.repeat(ids, k), "v": ids[near].ravel(), "s": np.take_along_axis(s, near, 1).ravel()})
 
-    return _best(dealt.groupBy("key", "part").applyInArrow(block, "u bigint, v bigint, s double").distinct(), DEGREE)
+    found = dealt.groupBy("key", "part").applyInArrow(block, "u bigint, v bigint, s double")
+    return _best(found.groupBy("u", "v").agg(F.max("s").alias("s"), F.lit(True).alias("fresh")), DEGREE)
 
 
 def _descend(graph: DataFrame, level: DataFrame) -> DataFrame:
-    """One round: neighbours and reverse neighbours of each node meet; the best edges stay."""
+    """One round: neighbours and reverse neighbours of each node meet; the best edges stay, ``fresh`` if they are new."""
     import pyarrow as pa
 
-    back = _best(graph.select(F.col("v").alias("u"), F.col("u").alias("v"), "s"), DEGREE)
-    members = graph.select("u", "v").union(back.select("u", "v")).distinct()
-    met = members.join(level.withColumnRenamed("id", "v"), "v").groupBy("u").agg(F.collect_list(F.struct("v", "x")).alias("m"))
+    back = _best(graph.select(F.col("v").alias("u"), F.col("u").alias("v"), "s", "fresh"), DEGREE)
+    members = graph.unionByName(back).groupBy("u", "v").agg(F.max("fresh").alias("fresh"))
+    members = members.join(members.where("fresh").select("u").distinct(), "u", "left_semi")
+    worst = graph.groupBy(F.col("u").alias("id")).agg(F.min("s").alias("low"), F.count("*").alias("n"))
+    known = level.join(worst, "id", "left").select(F.col("id").alias("v"), "x", F.when(F.col("n") >= DEGREE, F.col("low")).otherwise(F.lit(-2.0)).alias("low"))
+    met = members.join(known, "v").groupBy("u").agg(F.collect_list(F.struct("v", "x", "low", "fresh")).alias("m"))
 
     def meet(batches):
         for batch in batches:
@@ -111,31 +122,37 @@ def _descend(graph: DataFrame, level: DataFrame) -> DataFrame:
             if not len(lists):
                 continue
             flat = lists.flatten()
-            ids, x = np.asarray(flat.field("v")), _matrix(flat.field("x"))
+            ids, x, low, fresh = np.asarray(flat.field("v")), _matrix(flat.field("x")), np.asarray(flat.field("low")), flat.field("fresh").to_numpy(zero_copy_only=False)
             edges = np.concatenate([[0], np.cumsum(np.asarray(lists.value_lengths()))])
             out: list[list[np.ndarray]] = [[], [], []]
             for a, b in zip(edges[:-1], edges[1:], strict=True):
-                k = min(TAKE, b - a - 1)
+                k = min(DEGREE, b - a - 1)
                 if k < 1:
                     continue
                 s = _scores(x[a:b])
-                near = np.argpartition(-s, k - 1, axis=1)[:, :k]
-                for o, y in zip(out, (np.repeat(ids[a:b], k), ids[a:b][near].ravel(), np.take_along_axis(s, near, 1).ravel()), strict=True):
+                s[~(fresh[a:b, None] | fresh[None, a:b]) | (s <= low[a:b, None])] = -np.inf
+                near = np.argpartition(-s, k - 1, axis=1)[:, :k]  # a row keeps DEGREE edges, so no node gives it more
+                best = np.take_along_axis(s, near, 1)
+                i, j = np.nonzero(best > -np.inf)
+                for o, y in zip(out, (ids[a:b][i], ids[a:b][near[i, j]], best[i, j]), strict=True):
                     o.append(y)
             if out[0]:
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(out[0])), pa.array(np.concatenate(out[1])), pa.array(np.concatenate(out[2]))], ["u", "v", "s"])
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(o)) for o in out], ["u", "v", "s"])
 
-    found = met.select("m").mapInArrow(meet, "u bigint, v bigint, s double")
-    return _best(found.unionByName(graph).groupBy("u", "v").agg(F.max("s").alias("s")), DEGREE)
+    found = met.select("m").mapInArrow(meet, "u bigint, v bigint, s double").withColumn("fresh", F.lit(True))
+    both = found.unionByName(graph.withColumn("fresh", F.lit(False)))
+    return _best(both.groupBy("u", "v").agg(F.max("s").alias("s"), F.min("fresh").alias("fresh")), DEGREE)
 
 
-def neighbour_graph(level: DataFrame, rounds: int = ROUNDS) -> DataFrame:
-    """(u, v, s): about the DEGREE nearest rows of each row."""
+def neighbour_graph(level: DataFrame, delta: float = DELTA) -> DataFrame:
+    """(u, v, s, fresh): about the DEGREE nearest rows of each row."""
     first = level.agg(F.count("*"), F.max(F.size("x"))).first()
     graph = spill(_first_graph(level, first[0], first[1] or 1))
-    for _ in range(rounds):
+    while True:
         graph = spill(_descend(graph, level))
-    return graph
+        new, edges = graph.agg(F.count_if("fresh"), F.count("*")).first()
+        if new <= delta * edges:
+            return graph
 
 
 def search(graph: DataFrame, vectors: DataFrame, queries: DataFrame, top: int = TOP) -> DataFrame:
@@ -150,12 +167,14 @@ def search(graph: DataFrame, vectors: DataFrame, queries: DataFrame, top: int =
         return pairs.join(points, "v").join(asked, "q").select("q", "v", dot.alias("s"))
 
     start = asked.select("q").join(hops, F.col("q") == F.col("u")).select("q", "v")
-    beam = spill(scored(start).withColumn("open", F.lit(True)))
+    beam = spill(scored(start.distinct()).withColumn("open", F.lit(True)))
     w = Window.partitionBy("q").orderBy(F.desc("s"), "v")
-    for _ in range(STEPS):
+    while True:
         ranked = beam.withColumn("r", F.row_number().over(w)).where(F.col("r") <= BEAM)
         turn = F.sum(F.col("open").cast("int")).over(w.rowsBetween(Window.unboundedPreceding, 0))
         marked = spill(ranked.withColumn("now", F.col("open") & (turn <= OPEN)).drop("r"))
+        if marked.where("now").isEmpty():
+            break
         reached = marked.where("now").select("q", F.col("v").alias("u")).join(hops, "u").select("q", "v").where("q <> v").distinct()
         fresh = scored(reached.join(marked.select("q", "v"), ["q", "v"], "left_anti")).withColumn("open", F.lit(True))
         beam = spill(marked.select("q", "v", "s", (F.col("open") & ~F.col("now")).alias("open")).unionByName(fresh))

@@ -27,6 +27,20 @@ def test_small_table(spark, tmp_path):
     assert [(r.query_id, r.vec_id, r.score) for r in got] == [(0, 2, 2.0), (0, 1, 1.0)]
 
 
+def recall(spark, path, x):
+    spark.createDataFrame([(i, r.tolist()) for i, r in enumerate(x)], "vec_id long, embedding array<double>").write.parquet(f"{path}/embeddings.parquet")
+    got = N.op9_nn_descent(spark, path).collect()
+    assert len(got) == (len(x) + 19) // 20 * 20
+    best = {}
+    for q in range(0, len(x), 20):
+        s = x @ x[q]
+        s[q] = -np.inf
+        best[q] = set(np.argsort(-s)[:20].tolist())
+    hit = sum(r.vec_id in best[r.query_id] for r in got) / len(got)
+    print("recall", hit)
+    return hit
+
+
 def test_graph_with_one_long_vector(spark):
     x = np.random.default_rng(3).normal(size=(600, 16))
     x /= np.linalg.norm(x, axis=1, keepdims=True)
@@ -42,3 +56,8 @@ def test_graph_with_one_long_vector(spark):
     hit = np.mean([(i, int(j)) in got for i in range(600) for j in best[i]])
     print("graph recall", hit)
     assert hit >= 0.9
+
+
+def test_rounds_go_on_until_the_graph_settles(spark, tmp_path, monkeypatch):
+    monkeypatch.setattr(N, "BLOCK", 25)
+    assert recall(spark, str(tmp_path), np.random.default_rng(4).normal(size=(3000, 64))) >= 0.9
