@@ -1,13 +1,14 @@
 """Line dedup by a segment-partition edit join, in DataFrame functions alone.
 
-A line leaves when an earlier line (by doc_id, then text, then place) equals it or lies within THRESHOLD edits. Lines of
-at least MIN_CHARS code points take part. Two lines within t edits share one of t + 1 segments: every distinct line
+A line leaves when an earlier line (by doc_id, then text, then place) equals it or is near it: within one edit for each
+MIN_CHARS / THRESHOLD code points of the shorter line, THRESHOLD at most. All lines that hold a word take part; lines too
+short for an edit leave as exact copies. Two lines within t edits share one of t + 1 segments: every distinct line
 indexes its segments by (length, segment, content) and probes the substrings that can match a line up to t shorter.
 Candidates pass a letter-count filter inside the join and the banded bit-parallel edit distance of Spark.
 
 Copies of a line are one row before any join; texts travel only for candidates and for the final cut.
 
-Cases: a null or empty text has no lines and stays as it is; short lines stay; rows equal in doc_id and text are one
+Cases: a null or empty text has no lines and stays as it is; blank lines stay; rows equal in doc_id and text are one
 document and get the same result; a null doc_id comes before all others; other columns are kept by ``dedup_lines``.
 """
 
@@ -16,7 +17,10 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .common import WORD_PATTERN
+
 THRESHOLD = 2
+#: Code points from which a line may differ by THRESHOLD edits.
 MIN_CHARS = 30
 #: Letters whose counts are compared before the edit distance; any letters give right results.
 LETTERS = "etnria"
@@ -65,18 +69,27 @@ def _apart(a: Column, b: Column) -> Column:
     return sum((F.abs(part(a, i) - part(b, i)) for i in range(len(LETTERS))), F.lit(0).cast("bigint"))
 
 
-def lines_of(docs: DataFrame, min_chars: int = MIN_CHARS) -> DataFrame:
+def lines_of(docs: DataFrame) -> DataFrame:
     """(doc_id, doc_hash, pos, line, line_id): the lines that take part."""
     text = F.coalesce("text", F.lit(""))
     rows = docs.select("doc_id", F.xxhash64(text, F.crc32(text)).alias("doc_hash"), F.posexplode(F.split(text, "\n", -1)).alias("pos", "line"))
-    return rows.where(F.char_length("line") >= min_chars).withColumn("line_id", F.xxhash64("line", F.crc32("line")))
+    return rows.where(F.col("line").rlike(WORD_PATTERN)).withColumn("line_id", F.xxhash64("line", F.crc32("line")))
 
 
 def similar_lines(docs: DataFrame, t: int = THRESHOLD, min_chars: int = MIN_CHARS) -> DataFrame:
-    """(a, b): ids of distinct lines within ``t`` edits, once each."""
-    lines = lines_of(docs, min_chars).groupBy("line_id").agg(F.first("line").alias("line"))
-    n = F.col("n")
-    sized = lines.withColumn("n", F.char_length("line"))
+    """(a, b): ids of distinct near lines, once each: k <= t edits where the shorter has at least k * min_chars / t."""
+    lines = lines_of(docs).groupBy("line_id").agg(F.first("line").alias("line")).withColumn("n", F.char_length("line"))
+    found = None
+    for k in range(1, t + 1):
+        low, high = -(-k * min_chars // t), -(-(k + 1) * min_chars // t) - 1 + k
+        pairs = _within(lines.where((F.col("n") >= low) & (F.lit(k == t) | (F.col("n") <= high))), k)
+        found = pairs if found is None else found.unionByName(pairs)
+    return lines.select(F.col("line_id").alias("a"), F.col("line_id").alias("b")).limit(0) if found is None else found.distinct()
+
+
+def _within(sized: DataFrame, t: int) -> DataFrame:
+    """(a, b): ids of the (line_id, line, n) rows within ``t`` edits, once each."""
+    lines, n = sized.select("line_id", "line"), F.col("n")
 
     def entries(signatures: Column, side: str) -> DataFrame:
         rows = sized.select(F.col("line_id").alias(side), _letter_counts(F.col("line"), n).alias(f"{side}_letters"), F.explode(signatures).alias(f"{side}_signature"))
@@ -91,7 +104,7 @@ def similar_lines(docs: DataFrame, t: int = THRESHOLD, min_chars: int = MIN_CHAR
 
 def removed_lines(docs: DataFrame, t: int = THRESHOLD, min_chars: int = MIN_CHARS) -> DataFrame:
     """(doc_id, doc_hash, removed): places of the lines that leave, for the documents that lose any."""
-    occurrences = lines_of(docs, min_chars).select("doc_id", "doc_hash", "pos", "line_id")
+    occurrences = lines_of(docs).select("doc_id", "doc_hash", "pos", "line_id")
     place = F.struct("doc_id", "doc_hash", "pos")
     lines = occurrences.groupBy("line_id").agg(F.min(place).alias("first"), F.max(place).alias("last"))
     pairs = similar_lines(docs, t, min_chars)
