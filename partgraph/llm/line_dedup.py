@@ -4,7 +4,8 @@ A line leaves when an earlier line (by doc_id, then text, then place) equals it
 MIN_CHARS / THRESHOLD code points of the shorter line, THRESHOLD at most. All lines that hold a word take part; lines too
 short for an edit leave as exact copies. Two lines within t edits share one of t + 1 segments: every distinct line
 indexes its segments by (length, segment, content) and probes the substrings that can match a line up to t shorter.
-Candidates pass a letter-count filter inside the join and the banded bit-parallel edit distance of Spark.
+Candidates pass a letter-count filter inside the join and Spark's levenshtein with a threshold: a banded dynamic programme
+in place of a bit-parallel edit distance, with the same results.
 
 Copies of a line are one row before any join; texts travel only for candidates and for the final cut.
 
