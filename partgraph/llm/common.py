@@ -6,12 +6,12 @@ import numpy as np
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
 
-from ..storage import shared_dir, spill  # noqa: F401  the operators take them from here
+from ..storage import forget, shared_dir, spill  # noqa: F401  the operators take them from here
 
 #: A word is a maximal run of code points outside these six (fixed value).
 WORD_PATTERN = r"[^\x20\x09-\x0D]+"
 #: Bytes of text that one numpy step holds at once.
-CHUNK_BYTES = 4 << 20
+CHUNK_BYTES = 1 << 19
 
 _SPACE = np.zeros(256, bool)
 _SPACE[[0x20, *range(0x09, 0x0E)]] = True
@@ -124,3 +124,41 @@ def chunks(texts: list, limit: int = CHUNK_BYTES):
         held += n
     if at < len(texts):
         yield at, len(texts)
+
+
+def whole_groups(batches, keys: list[str], rows: int = 8192, weight: str | None = None, most: int = 8 << 20):
+    """Tables of whole runs of equal ``keys`` from batches sorted by them: about ``rows`` rows, or ``most`` bytes of the
+    column ``weight``, unless one run is larger. Yields (table, first row of each run and the row count)."""
+    import pyarrow as pa
+
+    held: list = []
+    n = size = 0
+
+    def cut(table):
+        same = np.ones(max(0, len(table) - 1), bool)
+        for k in keys:
+            v = np.asarray(table.column(k))
+            same &= v[1:] == v[:-1]
+        return np.concatenate([[0], np.flatnonzero(~same) + 1, [len(table)]]) if len(table) else np.zeros(1, np.int64)
+
+    for batch in batches:
+        held.append(batch)
+        n += len(batch)
+        size += batch.column(weight).nbytes if weight else 0
+        if n >= rows or size >= most:
+            table = pa.Table.from_batches(held)
+            edges = cut(table)
+            if len(edges) > 2:
+                yield table.slice(0, edges[-2]).combine_chunks(), edges[:-1]
+                rest = table.slice(edges[-2]).combine_chunks()
+                held = rest.to_batches()
+                n, size = len(rest), rest.column(weight).nbytes if weight else 0
+    if n:
+        table = pa.Table.from_batches(held).combine_chunks()
+        yield table, cut(table)
+
+
+def lists_of(column) -> tuple[np.ndarray, np.ndarray]:
+    """Flat values and borders of a list column."""
+    chunk = column.combine_chunks() if hasattr(column, "combine_chunks") else column
+    return np.asarray(chunk.flatten()), np.concatenate([[0], np.cumsum(np.asarray(chunk.value_lengths()), dtype=np.int64)])

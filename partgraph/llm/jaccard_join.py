@@ -6,12 +6,16 @@ part. Nodes with at most BUCKET sets are compared whole. Larger ones whose sets
 too, because their pairs are results; the others split again up to DEPTH. Whatever is still large then is compared in
 blocks, so no bucket is cut off. ``runs_for`` gives the number of independent trees for a target recall.
 
-Pairs pass a bottom-sketch bound (five standard errors below the threshold) before full sets travel, each set once for a
-node and block that needs it. Links are verified exactly.
+Only sketches, node numbers and keys are stored; shingle sets are taken from the texts where they are needed. A pair
+belongs to the least node in which both of its sets are, so it is counted once although no list of pairs exists: a block
+of a node first finds the sets that have a likely partner there (a sketch bound five standard errors below the
+threshold), then their texts travel to the block, all pairs of which are verified exactly. A block gives the number of
+links of each set and a local component of its links, not the pairs.
 
 Cases: a text with fewer than WORDS words is one shingle of all its words; texts without words form one class; rows whose
 shingle sets are equal are one class, not a quadratic number of pairs; a null doc_id takes part by its row but is never
-a representative unless all of its class are null; an empty table gives no rows; other columns are kept by ``keep_one``.
+a representative unless all of its class are null; an empty table gives no rows; other columns are kept by ``keep_one``,
+whatever their names; of rows equal in doc_id and text it keeps one.
 """
 
 from __future__ import annotations
@@ -23,7 +27,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..operators.components import connected_components
-from .common import Words, chunks, mix, partitions, spill
+from .common import Words, chunks, forget, lists_of, mix, spill, whole_groups
 
 WORDS = 5
 THRESHOLD = 0.8
@@ -35,7 +39,9 @@ BUCKET = 256
 #: Mean share of sets that hold a bucket's most common sketch values, above which the bucket is compared, not split.
 ALIKE = 0.5
 SKETCH = 32
-SETS = "h bigint, c bigint, cid bigint, size int, shingles array<bigint>"
+#: Sets of one side of a comparison.
+BLOCK = 1024
+TOLD = "h bigint, c bigint, doc_id bigint, cid bigint, size int, sketch array<int>, nodes array<bigint>"
 
 
 def runs_for(recall: float = RECALL, threshold: float = THRESHOLD, depth: int = DEPTH) -> int:
@@ -65,8 +71,21 @@ def shingle_sets(texts: list[str | None], k: int = WORDS) -> list[np.ndarray]:
     return out
 
 
-def text_sets(docs: DataFrame) -> DataFrame:
-    """(h, c, cid, size, shingles) of each distinct text; equal sets have equal cid."""
+def _texts(docs: DataFrame) -> DataFrame:
+    """(h, c, text), the last one never null."""
+    text = F.coalesce("text", F.lit(""))
+    return docs.select(F.xxhash64(text).alias("h"), F.crc32(text).alias("c"), text.alias("text"))
+
+
+def _list_array(parts: list[np.ndarray], kind):
+    import pyarrow as pa
+
+    flat = np.concatenate(parts) if parts else np.zeros(0)
+    return pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum([len(x) for x in parts])]).astype(np.int32)), pa.array(flat.astype(kind)))
+
+
+def described(docs: DataFrame, runs: int) -> DataFrame:
+    """(h, c, doc_id, cid, size, sketch, nodes) of each row: equal sets have equal cid; ``nodes`` are those of depth 1."""
     import pyarrow as pa
 
     def run(batches):
@@ -76,14 +95,12 @@ def text_sets(docs: DataFrame) -> DataFrame:
                 sets = shingle_sets(texts[a:b])
                 with np.errstate(over="ignore"):
                     cid = [int(mix(np.array([mix(s.view(np.uint64)).sum(dtype=np.uint64) + np.uint64(len(s))], np.uint64)).view(np.int64)[0]) for s in sets]
-                sizes = [len(s) for s in sets]
-                flat = np.concatenate(sets) if sets else np.zeros(0, np.int64)
-                lists = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(sizes)]).astype(np.int32)), pa.array(flat))
-                yield pa.RecordBatch.from_arrays([batch.column("h").slice(a, b - a), batch.column("c").slice(a, b - a), pa.array(cid, pa.int64()), pa.array(sizes, pa.int32()), lists], ["h", "c", "cid", "size", "shingles"])
+                nodes = [np.unique(np.concatenate([_children(r, s) for r in range(1, runs + 1)])) if len(s) else s for s in sets]
+                cols = [pa.array(cid, pa.int64()), pa.array([len(s) for s in sets], pa.int32()), _list_array([s[:SKETCH] >> 32 for s in sets], np.int32), _list_array(nodes, np.int64)]
+                yield pa.RecordBatch.from_arrays([*(batch.column(k).slice(a, b - a) for k in ("h", "c", "doc_id")), *cols], ["h", "c", "doc_id", "cid", "size", "sketch", "nodes"])
 
     text = F.coalesce("text", F.lit(""))
-    rows = docs.select(F.xxhash64(text).alias("h"), F.crc32(text).alias("c"), text.alias("text"))
-    return rows.mapInArrow(run, SETS)
+    return docs.select(F.xxhash64(text).alias("h"), F.crc32(text).alias("c"), F.col("doc_id").cast("bigint").alias("doc_id"), text.alias("text")).mapInArrow(run, TOLD)
 
 
 def _children(node: int, shingles: np.ndarray) -> np.ndarray:
@@ -95,154 +112,173 @@ def _children(node: int, shingles: np.ndarray) -> np.ndarray:
 
 
 def _descend(rows: DataFrame) -> DataFrame:
-    """(node, cid, low) of the children of each (nodes, cid, shingles) row; ``low`` is a coarse similarity mark."""
+    """(node, cid, low) of the children of each (cid, low, nodes, text) row."""
     import pyarrow as pa
 
     def run(batches):
         for batch in batches:
-            node, cid, low = [], [], []
-            lists, nodes = batch.column("shingles"), batch.column("nodes").to_pylist()
-            values = np.asarray(lists.flatten())
-            edges = np.concatenate([[0], np.cumsum(np.asarray(lists.value_lengths()))])
-            for i, (c, parents) in enumerate(zip(batch.column("cid").to_pylist(), nodes, strict=True)):
-                s = values[edges[i] : edges[i + 1]]
-                if not len(s):
-                    continue
-                got = np.unique(np.concatenate([_children(p, s) for p in parents]))
-                node.append(got)
-                cid.append(np.full(len(got), c, np.int64))
-                low.append(np.full(len(got), s[0], np.int64))
-            one = lambda x: pa.array(np.concatenate(x) if x else np.zeros(0, np.int64))
-            yield pa.RecordBatch.from_arrays([one(node), one(cid), one(low)], ["node", "cid", "low"])
+            texts, (nodes, edges) = batch.column("text").to_pylist(), lists_of(batch.column("nodes"))
+            for a, b in chunks(texts):
+                got = [np.unique(np.concatenate([_children(p, s) for p in nodes[edges[i] : edges[i + 1]].tolist()])) for i, s in enumerate(shingle_sets(texts[a:b]), a)]
+                take = pa.array(np.repeat(np.arange(a, b), [len(x) for x in got]))
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(got)), batch.column("cid").take(take), batch.column("low").take(take)], ["node", "cid", "low"])
 
-    return rows.select("nodes", "cid", "shingles").mapInArrow(run, "node bigint, cid bigint, low bigint")
+    return rows.select("cid", "low", "nodes", "text").mapInArrow(run, "node bigint, cid bigint, low int")
 
 
-def leaves(sets: DataFrame, runs: int) -> DataFrame:
-    """(node, cid, blocks): the members of the nodes to compare."""
-    at = _descend(sets.withColumn("nodes", F.array(*[F.lit(r).cast("bigint") for r in range(1, runs + 1)])))
-    out = None
+def leaves(sets: DataFrame, texts: DataFrame) -> DataFrame:
+    """(node, cid, blocks): the members of the nodes to compare, spilled."""
+    low = F.get("sketch", F.lit(0)).alias("low")
+    members = sets.select(F.explode("nodes").alias("node"), "cid", low)
+    out, used = None, []
     for depth in range(1, DEPTH + 1):
-        members = spill(at)
         marks = members.groupBy("node", "low").agg(F.count("*").alias("n"))
         nodes = marks.groupBy("node").agg(F.sum("n").alias("n"), F.max("n").alias("most")).where("n > 1")
         stop = (F.col("n") <= BUCKET) | (F.col("most") >= ALIKE * F.col("n")) | F.lit(depth == DEPTH)
-        nodes = spill(nodes.select("node", F.ceil(F.col("n") / BUCKET).cast("int").alias("blocks"), stop.alias("stop")))
+        nodes = spill(nodes.select("node", F.ceil(F.col("n") / BLOCK).cast("int").alias("blocks"), stop.alias("stop")))
+        used += [nodes, members]
         found = members.join(nodes.where("stop"), "node").select("node", "cid", "blocks")
         out = found if out is None else out.unionByName(found)
         if depth == DEPTH or nodes.where("not stop").isEmpty():
-            return out
+            break
         deeper = members.join(nodes.where("not stop"), "node").groupBy("cid").agg(F.collect_set("node").alias("nodes"))
-        at = _descend(deeper.join(sets, "cid"))
-    return out
+        members = spill(_descend(deeper.join(sets.select("cid", low, "h", "c"), "cid").join(texts, ["h", "c"])))
+    return spill(out, *used)
 
 
-def sketch_pairs(cid: np.ndarray, size: np.ndarray, sketch: list[np.ndarray], left: np.ndarray, right: np.ndarray, threshold: float) -> tuple[np.ndarray, np.ndarray]:
-    """Index pairs (left x right) whose sizes and bottom sketches allow the threshold."""
+def sketch_pairs(size: np.ndarray, sketch: list[np.ndarray], threshold: float) -> np.ndarray:
+    """Square of flags: pairs whose sizes and bottom sketches allow the threshold."""
     lens = np.fromiter(map(len, sketch), np.int64, len(sketch))
-    values, code = np.unique(np.concatenate(sketch), return_inverse=True)
-    owner = np.repeat(np.arange(len(sketch)), lens)
-    shared = np.bincount(code) > 1
-    remap = np.cumsum(shared) - 1
-    grid = np.zeros((len(sketch), int(shared.sum())), np.float32)
-    grid[owner[shared[code]], remap[code[shared[code]]]] = 1
+    common = shared_counts(sketch)
     # the largest value up to which a sketch knows its whole set
-    reach = np.array([s[-1] if n > len(s) else np.iinfo(np.int64).max for s, n in zip(sketch, size, strict=True)])
-    upto_r = np.stack([np.searchsorted(sketch[i], reach[right], "right") for i in left])
-    upto_l = np.stack([np.searchsorted(sketch[j], reach[left], "right") for j in right]).T
-    common = grid[left] @ grid[right].T
-    known = np.maximum(upto_r + upto_l - common, 1)
-    a, b = size[left][:, None].astype(np.float64), size[right][None, :].astype(np.float64)
-    slack = np.where((reach[left][:, None] == reach[right][None, :]) & (reach[left][:, None] == np.iinfo(np.int64).max), 0, 5 * np.sqrt(threshold * (1 - threshold) / known))
-    ok = (np.minimum(a, b) >= threshold * np.maximum(a, b)) & (common >= (threshold - slack) * known) & (cid[left][:, None] < cid[right][None, :])
-    i, j = np.nonzero(ok)
-    return left[i], right[j]
-
-
-def similar_sets(sets: DataFrame, threshold: float = THRESHOLD, recall: float = RECALL) -> DataFrame:
-    """(a, b): cids of different sets with Jaccard at least ``threshold``, once each, a < b."""
+    whole = np.iinfo(np.int64).max
+    reach = np.array([int(s[-1]) if n > len(s) else whole for s, n in zip(sketch, size, strict=True)])
+    upto = np.stack([np.searchsorted(s, reach, "right") for s in sketch])
+    known = np.maximum(upto + upto.T - common, 1)
+    slack = np.where((reach[:, None] == whole) & (reach[None, :] == whole), 0, 5 * np.sqrt(threshold * (1 - threshold) / known))
+    a = size.astype(np.float64)
+    return (np.minimum(a[:, None], a[None, :]) >= threshold * np.maximum(a[:, None], a[None, :])) & (common >= (threshold - slack) * known) & (lens > 0)[:, None]
+
+
+def shared_counts(sets: list[np.ndarray], columns: int = 8192) -> np.ndarray:
+    """Sizes of the intersections of all pairs of sorted sets of distinct values."""
+    n = len(sets)
+    values, code = np.unique(np.concatenate(sets), return_inverse=True)
+    owner = np.repeat(np.arange(n), [len(s) for s in sets])
+    shared = np.bincount(code, minlength=len(values)) > 1
+    keep = shared[code]
+    owner, code = owner[keep], (np.cumsum(shared) - 1)[code[keep]]
+    order = np.argsort(code, kind="stable")
+    owner, code = owner[order], code[order]
+    out = np.zeros((n, n), np.float32)
+    for at in range(0, int(shared.sum()), columns):
+        a, b = np.searchsorted(code, [at, at + columns])
+        grid = np.zeros((n, min(columns, int(code[b - 1]) - at + 1)), np.float32)
+        grid[owner[a:b], code[a:b] - at] = 1
+        out += grid @ grid.T
+    return out
+
+
+def _owned(node: int, lists: list[np.ndarray], is_p: np.ndarray, is_q: np.ndarray) -> np.ndarray:
+    """Square of flags: pairs of the two sides of a block that share no lesser node than ``node``."""
+    lesser = [x[x < node] for x in lists]
+    own = shared_counts(lesser) == 0 if sum(map(len, lesser)) else np.ones((len(lists), len(lists)), bool)
+    own &= (is_p[:, None] & is_q[None, :]) | (is_q[:, None] & is_p[None, :])
+    np.fill_diagonal(own, False)
+    return own
+
+
+BLOCK_KEY = ["node", "p", "q"]
+
+
+def similar_sets(sets: DataFrame, texts: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
+    """(cid, others, root): rows that have links in one block each: copies of the linked sets, and a set that is linked
+    with this one by way of links of that block. ``sets`` holds cid, h, c, size, sketch, nodes, copies."""
     import pyarrow as pa
 
-    spark = sets.sparkSession
-    parts = partitions(spark)
-    bins = 4 * parts
-    found = spill(leaves(sets, runs_for(recall, threshold)))
-    needed = found.select("cid").distinct()
-    sketches = sets.join(needed, "cid").select("cid", "size", F.slice("shingles", 1, SKETCH).alias("sketch"))
+    found = leaves(sets, texts)
+    lists = found.groupBy("cid").agg(F.array_sort(F.collect_set("node")).alias("nodes"))
     block = F.pmod(F.xxhash64("cid", F.lit(7)), F.col("blocks")).cast("int")
     placed = found.withColumn("own", block).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
     placed = placed.select("node", "cid", F.least("own", "other").alias("p"), F.greatest("own", "other").alias("q"), (F.col("own") <= F.col("other")).alias("is_p"), (F.col("own") >= F.col("other")).alias("is_q"))
-    rows = placed.join(sketches, "cid").withColumn("bin", F.pmod(F.xxhash64("node", "p", "q"), F.lit(bins)).cast("int"))
-
-    def compare(table: pa.Table) -> pa.Table:
-        table = table.sort_by([("node", "ascending"), ("p", "ascending"), ("q", "ascending")])
-        col = {c: np.asarray(table.column(c)) for c in ("node", "p", "q", "cid", "size", "is_p", "is_q")}
-        chunk = table.column("sketch").combine_chunks()
-        values, edges = np.asarray(chunk.flatten()), np.concatenate([[0], np.cumsum(np.asarray(chunk.value_lengths()))])
-        n = len(col["node"])
-        head = np.flatnonzero(np.concatenate([[True], (np.diff(col["node"]) != 0) | (np.diff(col["p"]) != 0) | (np.diff(col["q"]) != 0)])) if n else np.zeros(0, np.int64)
-        out: list[list[np.ndarray]] = [[], [], [], [], []]
-        for s, e in zip(head, np.append(head[1:], n), strict=True):
-            sketch = [values[edges[x] : edges[x + 1]] for x in range(s, e)]
-            left, right = np.flatnonzero(col["is_p"][s:e]), np.flatnonzero(col["is_q"][s:e])
-            if not len(left) or not len(right) or e - s < 2:
-                continue
-            cid, size = col["cid"][s:e], col["size"][s:e]
-            i, j = sketch_pairs(cid, size, sketch, left, right, threshold)
-            if col["p"][s] != col["q"][s]:
-                i2, j2 = sketch_pairs(cid, size, sketch, right, left, threshold)
-                i, j = np.concatenate([i, i2]), np.concatenate([j, j2])
-            for x, y in zip(out, (cid[i], cid[j], np.full(len(i), col["node"][s]), np.full(len(i), col["p"][s]), np.full(len(i), col["q"][s])), strict=True):
-                x.append(y)
-        one = lambda x, t: pa.array(np.concatenate(x) if x else np.zeros(0, np.int64), t)
-        return pa.table([one(out[0], pa.int64()), one(out[1], pa.int64()), one(out[2], pa.int64()), one(out[3], pa.int32()), one(out[4], pa.int32())], ["a", "b", "node", "p", "q"])
-
-    met = rows.repartition(parts, "bin").groupBy("bin").applyInArrow(compare, "a bigint, b bigint, node bigint, p int, q int")
-    # one meeting place for a pair: the least of those where it met
-    pairs = spill(met.groupBy("a", "b").agg(F.min(F.struct("node", "p", "q")).alias("at")).select("a", "b", F.pmod(F.xxhash64("at"), F.lit(bins)).cast("int").alias("bin")))
-    wanted = pairs.select(F.col("bin").alias("place"), F.explode(F.array("a", "b")).alias("cid")).distinct()
-    full = wanted.join(sets.select("cid", "shingles"), "cid")
-
-    def verify(key, pair: pa.Table, have: pa.Table) -> pa.Table:
-        chunk = have.column("shingles").combine_chunks()
-        values, edges = np.asarray(chunk.flatten()), np.concatenate([[0], np.cumsum(np.asarray(chunk.value_lengths()))])
-        at = {c: i for i, c in enumerate(have.column("cid").to_pylist())}
-        a, b = pair.column("a").to_pylist(), pair.column("b").to_pylist()
-        ok = np.zeros(len(a), bool)
-        for x in range(len(a)):
-            i, j = at[a[x]], at[b[x]]
-            s, t = values[edges[i] : edges[i + 1]], values[edges[j] : edges[j + 1]]
-            place = np.searchsorted(s, t)
-            common = int((s[np.minimum(place, len(s) - 1)] == t).sum())
-            ok[x] = common >= threshold * (len(s) + len(t) - common)
-        return pair.select(["a", "b"]).filter(pa.array(ok))
-
-    return pairs.groupBy("bin").cogroup(full.groupBy("place")).applyInArrow(verify, "a bigint, b bigint")
-
-
-def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD) -> tuple[DataFrame, DataFrame]:
-    """(one row for each doc_id and text: h, c, doc_id, comp, class_id, copy_id, n_links; links between copy classes).
+    mates = sets.select("cid", "size", "sketch").join(lists, "cid")
+    rows = placed.join(mates, "cid").repartition(*BLOCK_KEY).sortWithinPartitions(*BLOCK_KEY)
+
+    def likely(batches):
+        for table, edges in whole_groups(batches, BLOCK_KEY):
+            node, size, is_p, is_q = (np.asarray(table.column(c)) for c in ("node", "size", "is_p", "is_q"))
+            (sk, at), (nodes, at_n) = lists_of(table.column("sketch")), lists_of(table.column("nodes"))
+            keep = np.zeros(len(table), bool)
+            for a, b in zip(edges[:-1], edges[1:], strict=True):
+                if b - a < 2:
+                    continue
+                ok = sketch_pairs(size[a:b], [sk[at[x] : at[x + 1]] for x in range(a, b)], threshold)
+                np.fill_diagonal(ok, False)
+                if ok.any():
+                    ok &= _owned(node[a], [nodes[at_n[x] : at_n[x + 1]] for x in range(a, b)], is_p[a:b], is_q[a:b])
+                    keep[a:b] = ok.any(axis=1)
+            if keep.any():
+                yield from table.select([*BLOCK_KEY, "cid", "is_p", "is_q", "nodes"]).filter(pa.array(keep)).combine_chunks().to_batches()
+
+    asked = rows.select(*BLOCK_KEY, "cid", "is_p", "is_q", "size", "sketch", "nodes").mapInArrow(likely, "node bigint, p int, q int, cid bigint, is_p boolean, is_q boolean, nodes array<bigint>")
+    asked = spill(asked, found)
+    full = asked.join(sets.select("cid", "h", "c", "copies"), "cid").join(texts, ["h", "c"])
+    full = full.select(*BLOCK_KEY, "cid", "is_p", "is_q", "nodes", "copies", "text").repartition(*BLOCK_KEY).sortWithinPartitions(*BLOCK_KEY)
+
+    def verify(batches):
+        for table, edges in whole_groups(batches, BLOCK_KEY, weight="text"):
+            node, cid, copies, is_p, is_q = (np.asarray(table.column(c)) for c in ("node", "cid", "copies", "is_p", "is_q"))
+            nodes, at_n = lists_of(table.column("nodes"))
+            out: list[list[np.ndarray]] = [[], [], []]
+            for a, b in zip(edges[:-1], edges[1:], strict=True):
+                have = shingle_sets(table.column("text").slice(a, b - a).to_pylist())
+                size, common = np.array([len(s) for s in have], np.float64), shared_counts(have).astype(np.float64)
+                ok = common / np.maximum(size[:, None] + size[None, :] - common, 1) >= threshold
+                ok &= _owned(node[a], [nodes[at_n[x] : at_n[x + 1]] for x in range(a, b)], is_p[a:b], is_q[a:b])
+                linked = np.flatnonzero(ok.any(axis=1))
+                for o, x in zip(out, (cid[a:b][linked], (ok @ copies[a:b])[linked], _roots(ok, cid[a:b])[linked]), strict=True):
+                    o.append(x)
+            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(o).astype(np.int64)) for o in out], ["cid", "others", "root"])
+
+    return full.mapInArrow(verify, "cid bigint, others bigint, root bigint")
+
+
+def _roots(links: np.ndarray, name: np.ndarray) -> np.ndarray:
+    """The least name in the component of each node of a small graph."""
+    root = name.copy()
+    far = np.iinfo(np.int64).max
+    while True:
+        new = np.minimum(root, np.where(links, root[None, :], far).min(axis=1))
+        if (new == root).all():
+            return root
+        root = new
+
+
+def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD, recall: float = RECALL) -> tuple[DataFrame, DataFrame]:
+    """(one row for each row: h, c, doc_id, comp, class_id, copy_id, n_links; links between copy classes that join them).
 
     comp names the component. class_id is its least doc_id, or comp where all doc_ids are null or another component has
     the same least doc_id; copy_id is the least doc_id of the rows with an equal set; n_links counts all other rows that
     are similar, copies included.
     """
-    made = spill(text_sets(docs).dropDuplicates(["h", "c"]))
-    sets = spill(made.groupBy("cid").agg(F.first("size").alias("size"), F.first("shingles").alias("shingles")).where("size > 0"))
-    links = spill(similar_sets(sets, threshold))
-    text = F.coalesce("text", F.lit(""))
-    rows = docs.select(F.xxhash64(text).alias("h"), F.crc32(text).alias("c"), F.col("doc_id").cast("bigint").alias("doc_id")).join(made.select("h", "c", "cid"), ["h", "c"])
-    classes = spill(rows.groupBy("cid").agg(F.min("doc_id").alias("copy_id"), F.count("*").alias("copies")))
-    parts = connected_components(links.select(F.col("a").alias("src"), F.col("b").alias("dst"))).select(F.col("vid").alias("cid"), "comp")
-    both = links.union(links.select(F.col("b").alias("a"), F.col("a").alias("b")))
-    other = both.join(classes.select(F.col("cid").alias("b"), "copies"), "b").groupBy(F.col("a").alias("cid")).agg(F.sum("copies").alias("others"))
+    told = spill(described(docs, runs_for(recall, threshold)))
+    key = F.min(F.struct("h", "c"))
+    first = [F.first(c).alias(c) for c in ("size", "sketch", "nodes")]
+    sets = spill(told.groupBy("cid").agg(key.alias("key"), *first, F.count("*").alias("copies"), F.min("doc_id").alias("copy_id")).select("cid", "key.h", "key.c", "size", "sketch", "nodes", "copies", "copy_id"))
+    texts = _texts(docs).dropDuplicates(["h", "c"])
+    links = spill(similar_sets(sets.where("size > 0"), texts, threshold))
+    joins = links.where("cid <> root").select(F.col("cid").alias("src"), F.col("root").alias("dst")).distinct()
+    parts = connected_components(joins).select(F.col("vid").alias("cid"), "comp")
+    other = links.groupBy("cid").agg(F.sum("others").alias("others"))
+    classes = sets.select("cid", "copies", "copy_id")
     known = classes.join(parts, "cid", "left").join(other, "cid", "left").withColumn("comp", F.coalesce("comp", "cid"))
     lead = known.groupBy("comp").agg(F.min("copy_id").alias("least"))
     # a least doc_id that names one component alone stays its class_id
     sole = lead.where("least is not null").groupBy("least").agg(F.min("comp").alias("comp"), F.count("*").alias("n")).where("n = 1")
     lead = lead.select("comp").join(sole, "comp", "left").select("comp", F.coalesce("least", "comp").alias("class_id"))
     table = known.join(lead, "comp").select("cid", "comp", "class_id", "copy_id", (F.col("copies") - 1 + F.coalesce("others", F.lit(0))).alias("n_links"))
-    return rows.join(table, "cid").select("h", "c", "doc_id", "comp", "class_id", "copy_id", "n_links"), links
+    rows = told.select("h", "c", "doc_id", "cid")
+    return rows.join(table, "cid").select("h", "c", "doc_id", "comp", "class_id", "copy_id", "n_links"), joins
 
 
 def op2_chosen_path_join(spark, sf_dir: str) -> DataFrame:
@@ -253,8 +289,9 @@ def keep_one(docs: DataFrame) -> DataFrame:
     """One document of each component of near-duplicates, with all its columns: the least doc_id, then the least text key."""
     found = near_duplicates(docs.select("doc_id", "text"))[0]
     best = found.groupBy("comp").agg(F.min(F.struct(F.col("doc_id").isNull().alias("nil"), "doc_id", "h", "c")).alias("k"))
-    lead = best.select(F.col("k.doc_id").alias("__id"), F.col("k.h").alias("__h"), F.col("k.c").alias("__c"))
+    lead = best.select("k.doc_id", "k.h", "k.c")
     text = F.coalesce("text", F.lit(""))
-    met = docs.join(lead, docs["doc_id"].cast("bigint").eqNullSafe(F.col("__id")) & (F.xxhash64(text) == F.col("__h")) & (F.crc32(text) == F.col("__c")))
-    once = met.dropDuplicates(["__id", "__h", "__c"])
-    return once.select(*[docs[c] for c in docs.columns])
+    rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), F.col("doc_id").cast("bigint").alias("doc_id"), F.xxhash64(text).alias("h"), F.crc32(text).alias("c"))
+    same = rows["doc_id"].eqNullSafe(lead["doc_id"]) & (rows["h"] == lead["h"]) & (rows["c"] == lead["c"])
+    met = rows.join(lead, same, "left_semi")
+    return met.dropDuplicates(["doc_id", "h", "c"]).select("row.*")

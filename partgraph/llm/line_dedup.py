@@ -1,16 +1,17 @@
 """Line dedup by a segment-partition edit join, in DataFrame functions alone.
 
-A line leaves when an earlier line (by doc_id, then text, then place) equals it or is near it: within one edit for each
-MIN_CHARS / THRESHOLD code points of the shorter line, THRESHOLD at most. All lines that hold a word take part; lines too
-short for an edit leave as exact copies. Two lines within t edits share one of t + 1 segments: every distinct line
-indexes its segments by (length, segment, content) and probes the substrings that can match a line up to t shorter.
-Candidates pass a letter-count filter inside the join and Spark's levenshtein with a threshold: a banded dynamic programme
-in place of a bit-parallel edit distance, with the same results.
+A line leaves when an earlier line (by doc_id, then a hash of the document, then place) equals it or is near it: within
+one edit for each MIN_CHARS / THRESHOLD code points of the shorter line, THRESHOLD at most. All lines that hold a word
+take part; lines too short for an edit leave as exact copies. Two lines within t edits share one of t + 1 segments: every
+line indexes its segments by (length, segment, content) and probes the substrings that can match a line up to t shorter.
+Signatures that only one line has go first; hot ones are salted. Candidates pass a letter-count filter inside the join
+and a banded bit-parallel edit distance: the band of a column is one integer, moved along the diagonal.
 
-Copies of a line are one row before any join; texts travel only for candidates and for the final cut.
+No text travels with a signature. Texts are shuffled once, by document, for the candidates and for the final cut.
 
 Cases: a null or empty text has no lines and stays as it is; blank lines stay; rows equal in doc_id and text are one
-document and get the same result; a null doc_id comes before all others; other columns are kept by ``dedup_lines``.
+document and get the same result; a null doc_id comes before all others; other columns are kept by ``dedup_lines``,
+whatever their names, but ``n_lines`` and ``n_removed`` give way to its counts.
 """
 
 from __future__ import annotations
@@ -18,13 +19,16 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import WORD_PATTERN
+from .common import WORD_PATTERN, spill
 
 THRESHOLD = 2
 #: Code points from which a line may differ by THRESHOLD edits.
 MIN_CHARS = 30
-#: Letters whose counts are compared before the edit distance; any letters give right results.
+#: Letters whose counts are compared before the edit distance, five bits each; any letters give right results.
 LETTERS = "etnria"
+BITS = 5
+#: Entries of a signature that one task pairs with all others of that signature.
+SPLIT = 1024
 
 
 def _segments(length: Column, t: int) -> list[tuple[Column, Column]]:
@@ -38,16 +42,9 @@ def _segments(length: Column, t: int) -> list[tuple[Column, Column]]:
     return out
 
 
-def _sign(length: Column, i: int, piece: Column) -> Column:
-    return F.xxhash64(length, F.lit(i), piece)
-
-
-def _index_signatures(line: Column, n: Column, t: int) -> Column:
-    return F.array(*[_sign(n, i, F.substring(line, p + 1, size)) for i, (p, size) in enumerate(_segments(n, t))])
-
-
-def _probe_signatures(line: Column, n: Column, t: int) -> Column:
-    """Signatures of the substrings that may equal a segment of a line shorter by d <= t, null where none fits.
+def signatures(wide: Column, n: Column, t: int) -> Column:
+    """Signatures of the substrings of a line (``wide``: four bytes a code point) that may equal a segment of a line
+    shorter by d <= t; null where none fits. The lowest bit marks the line's own segments.
 
     The multi-match-aware window: segment i starts within max(p - i, p + d - (t - i)) .. min(p + i, p + d + (t - i)).
     """
@@ -55,79 +52,151 @@ def _probe_signatures(line: Column, n: Column, t: int) -> Column:
     for d in range(t + 1):
         for i, (p, size) in enumerate(_segments(n - d, t)):
             for shift in range(max(-i, d - (t - i)), min(i, d + (t - i)) + 1):
-                at = p + shift
-                out.append(F.when((at >= 0) & (at + size <= n), _sign(n - d, i, F.substring(line, at + 1, size))))
+                at, own = p + shift, int(d == 0 and shift == 0)
+                value = F.xxhash64(F.substring(wide, at * 4 + 1, size * 4), (n - d) * 64 + (i * 8 + t))
+                out.append(F.when((at >= 0) & (at + size <= n), F.shiftleft(value, 1).bitwiseOR(F.lit(own).cast("bigint"))))
     return F.array(*out)
 
 
 def _letter_counts(line: Column, n: Column) -> Column:
-    """Counts of LETTERS, ten bits each (capped), in one integer."""
-    return sum((F.shiftleft(F.least(n - F.char_length(F.replace(line, F.lit(c), F.lit(""))), F.lit(1023)).cast("bigint"), 10 * i) for i, c in enumerate(LETTERS)), F.lit(0).cast("bigint"))
+    top = F.lit((1 << BITS) - 1)
+    return sum((F.shiftleft(F.least(n - F.char_length(F.replace(line, F.lit(c), F.lit(""))), top).cast("bigint"), BITS * i + 1) for i, c in enumerate(LETTERS)), F.lit(0).cast("bigint"))
 
 
 def _apart(a: Column, b: Column) -> Column:
-    part = lambda x, i: F.shiftright(x, 10 * i).bitwiseAND(F.lit(1023))
+    part = lambda x, i: F.shiftright(x, BITS * i + 1).bitwiseAND(F.lit((1 << BITS) - 1))
     return sum((F.abs(part(a, i) - part(b, i)) for i in range(len(LETTERS))), F.lit(0).cast("bigint"))
 
 
-def lines_of(docs: DataFrame) -> DataFrame:
-    """(doc_id, doc_hash, pos, line, line_id): the lines that take part."""
-    text = F.coalesce("text", F.lit(""))
-    rows = docs.select("doc_id", F.xxhash64(text, F.crc32(text)).alias("doc_hash"), F.posexplode(F.split(text, "\n", -1)).alias("pos", "line"))
-    return rows.where(F.col("line").rlike(WORD_PATTERN)).withColumn("line_id", F.xxhash64("line", F.crc32("line")))
+def _trimmed(a: Column, b: Column, most: int = 20) -> Column:
+    """Code points that two strings share at their start, found by halving steps (up to 2 ** most)."""
+    short = F.least(F.char_length(a), F.char_length(b))
+    steps = F.array(*[F.lit(1 << e) for e in range(most, -1, -1)])
+    grow = lambda p, s: F.when((p + s <= short) & (F.substring(a, p + 1, s) == F.substring(b, p + 1, s)), p + s).otherwise(p)
+    return F.aggregate(steps, F.lit(0), grow)
 
 
-def similar_lines(docs: DataFrame, t: int = THRESHOLD, min_chars: int = MIN_CHARS) -> DataFrame:
-    """(a, b): ids of distinct near lines, once each: k <= t edits where the shorter has at least k * min_chars / t."""
-    lines = lines_of(docs).groupBy("line_id").agg(F.first("line").alias("line")).withColumn("n", F.char_length("line"))
-    found = None
-    for k in range(1, t + 1):
-        low, high = -(-k * min_chars // t), -(-(k + 1) * min_chars // t) - 1 + k
-        pairs = _within(lines.where((F.col("n") >= low) & (F.lit(k == t) | (F.col("n") <= high))), k)
-        found = pairs if found is None else found.unionByName(pairs)
-    return lines.select(F.col("line_id").alias("a"), F.col("line_id").alias("b")).limit(0) if found is None else found.distinct()
+def edits_within(long: Column, short: Column, t: int) -> Column:
+    """Edit distance of two arrays of characters (the first not the shorter one), or a number above ``t``.
 
+    Column j of the table holds rows j - t .. j + t in 2t + 1 bits: ``vp`` and ``vn`` mark vertical steps of +1 and -1.
+    The distance is read off the diagonal that ends in the last cell; it rises where that diagonal's step is not free.
+    """
+    full, gap = (1 << (2 * t + 1)) - 1, F.size(long) - F.size(short)
+    big = lambda x: F.lit(x).cast("bigint")
+
+    def step(s: Column, j: Column) -> Column:
+        c = F.get(short, j)
+        same = [F.when(F.coalesce(F.get(long, j + (b - t)) == c, F.lit(False)), big(1 << b)).otherwise(big(0)) for b in range(2 * t + 1)]
+        # nested one-element transforms name the intermediate integers once each
+        return _let(sum(same[1:], same[0]), lambda x: _let(((x.bitwiseAND(s["vp"]) + s["vp"]).bitwiseXOR(s["vp"])).bitwiseOR(x).bitwiseOR(s["vn"]).bitwiseAND(big(full)), lambda d: _let(s["vn"].bitwiseOR(big(full).bitwiseXOR(d.bitwiseOR(s["vp"]))), lambda hp: F.struct(
+            d.bitwiseAND(s["vp"]).bitwiseOR(big(full).bitwiseXOR(F.shiftright(d, 1).bitwiseOR(hp))).alias("vp"),
+            F.shiftright(d, 1).bitwiseAND(hp).alias("vn"),
+            (s["miss"] + 1 - F.getbit(d, F.lit(t) + gap)).cast("int").alias("miss"),
+        ))))
+
+    start = F.struct(big(full ^ ((1 << t) - 1)).alias("vp"), big(0).alias("vn"), gap.cast("int").alias("miss"))
+    places = F.when(F.size(short) > 0, F.sequence(F.lit(0), F.size(short) - 1)).otherwise(F.array().cast("array<int>"))
+    done = F.aggregate(places, start, lambda s, j: F.when(s["miss"] > t, s).otherwise(step(s, j)), lambda s: s["miss"])
+    return F.when(gap > t, F.lit(t + 1)).otherwise(done)
+
+
+def _let(value: Column, use) -> Column:
+    return F.transform(F.array(value), use)[0]
+
+
+def near(a: Column, b: Column, t: int = THRESHOLD, min_chars: int = MIN_CHARS) -> Column:
+    """Whether two lines are within the edits that the shorter one allows."""
+    x, y = F.when(F.char_length(a) >= F.char_length(b), a).otherwise(b), F.when(F.char_length(a) >= F.char_length(b), b).otherwise(a)
+    allowed = F.least(F.lit(t), F.floor(F.char_length(y) * t / min_chars).cast("int"))
+    head = _trimmed(x, y)
+    left = lambda s: F.substring(s, head + 1, F.char_length(s))
+    tail = lambda s, cut: F.reverse(F.substring(F.reverse(s), cut + 1, F.char_length(s)))
+    cut = _trimmed(F.reverse(left(x)), F.reverse(left(y)))
+    chars = lambda s: F.when(F.char_length(s) > 0, F.split(s, "")).otherwise(F.array().cast("array<string>"))
+    return edits_within(chars(tail(left(x), cut)), chars(tail(left(y), cut)), t) <= allowed
+
+
+def _keyed(docs: DataFrame) -> DataFrame:
+    """(k, c, doc_id, text): k and c name a document by its id and text."""
+    text = F.coalesce("text", F.lit(""))
+    return docs.select(F.xxhash64("doc_id", text).alias("k"), F.crc32(text).alias("c"), "doc_id", text.alias("text"))
 
-def _within(sized: DataFrame, t: int) -> DataFrame:
-    """(a, b): ids of the (line_id, line, n) rows within ``t`` edits, once each."""
-    lines, n = sized.select("line_id", "line"), F.col("n")
-
-    def entries(signatures: Column, side: str) -> DataFrame:
-        rows = sized.select(F.col("line_id").alias(side), _letter_counts(F.col("line"), n).alias(f"{side}_letters"), F.explode(signatures).alias(f"{side}_signature"))
-        return rows.where(F.col(f"{side}_signature").isNotNull())
 
-    index, probe = entries(_index_signatures(F.col("line"), n, t), "x"), entries(_probe_signatures(F.col("line"), n, t), "y")
-    near = (F.col("x_signature") == F.col("y_signature")) & (F.col("x") != F.col("y")) & (_apart(F.col("x_letters"), F.col("y_letters")) <= 2 * t)
-    pairs = index.join(probe, near).select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct()
-    both = pairs.join(lines.select(F.col("line_id").alias("a"), F.col("line").alias("a_line")), "a").join(lines.select(F.col("line_id").alias("b"), F.col("line").alias("b_line")), "b")
-    return both.where(F.levenshtein("a_line", "b_line", t).between(0, t)).select("a", "b")
+def lines_of(keyed: DataFrame) -> DataFrame:
+    """(k, c, doc_id, pos, line, lh, lc): the lines that take part; lh and lc name a line."""
+    rows = keyed.select("k", "c", "doc_id", F.posexplode(F.split("text", "\n", -1)).alias("pos", "line"))
+    return rows.where(F.col("line").rlike(WORD_PATTERN)).select("*", F.xxhash64("line").alias("lh"), F.crc32("line").alias("lc"))
 
 
-def removed_lines(docs: DataFrame, t: int = THRESHOLD, min_chars: int = MIN_CHARS) -> DataFrame:
-    """(doc_id, doc_hash, removed): places of the lines that leave, for the documents that lose any."""
-    occurrences = lines_of(docs).select("doc_id", "doc_hash", "pos", "line_id")
-    place = F.struct("doc_id", "doc_hash", "pos")
-    lines = occurrences.groupBy("line_id").agg(F.min(place).alias("first"), F.max(place).alias("last"))
-    pairs = similar_lines(docs, t, min_chars)
-    first = lines.select("line_id", "first")
-    met = pairs.join(first.select(F.col("line_id").alias("a"), F.col("first").alias("fa")), "a").join(first.select(F.col("line_id").alias("b"), F.col("first").alias("fb")), "b")
-    later = met.select(F.when(F.col("fa") > F.col("fb"), F.col("a")).otherwise(F.col("b")).alias("line_id")).distinct().withColumn("gone", F.lit(True))
-    decided = lines.join(later, "line_id", "left").where(F.col("gone") | (F.col("first") != F.col("last"))).select("line_id", "first", F.coalesce("gone", F.lit(False)).alias("gone"))
-    leaving = occurrences.join(decided, "line_id").where(F.col("gone") | (F.struct("doc_id", "doc_hash", "pos") != F.col("first")))
-    return leaving.groupBy("doc_id", "doc_hash").agg(F.collect_set("pos").alias("removed"))
+def candidate_pairs(lines: DataFrame, t: int, min_chars: int) -> DataFrame:
+    """(a, b): hashes of lines that share a signature and have like letters, once each, a < b."""
+    n = F.char_length("line")
+    wide = lines.select("lh", "line", n.alias("n")).where(F.col("n") >= -(-min_chars // t))
+    wide = wide.select("lh", "n", F.encode("line", "UTF-32").alias("wide"), _letter_counts(F.col("line"), F.col("n")).alias("letters"))
+    classes = []
+    for k in range(1, t + 1):
+        low, high = -(-k * min_chars // t), -(-(k + 1) * min_chars // t) - 1 + k
+        fits = (F.col("n") >= low) & (F.lit(k == t) | (F.col("n") <= high))
+        classes.append(F.when(fits, signatures(F.col("wide"), F.col("n"), k)).otherwise(F.array().cast("array<bigint>")))
+    rows = wide.select("lh", "letters", F.explode(F.concat(*classes)).alias("s")).where("s is not null")
+    rows = rows.select(F.shiftright("s", 1).alias("sign"), "lh", F.col("letters").bitwiseOR(F.col("s").bitwiseAND(F.lit(1))).alias("mark"))
+    dealt = rows.repartition("sign")
+    own = F.col("mark").bitwiseAND(F.lit(1))
+    met = dealt.groupBy("sign").agg(F.min("lh").alias("low"), F.max("lh").alias("high"), F.max(own).alias("any_own"), F.count("*").alias("met"))
+    met = met.where("low <> high and any_own = 1").select("sign", F.ceil(F.col("met") / SPLIT).cast("int").alias("splits"))
+    left = dealt.join(met.hint("shuffle_hash"), "sign")
+    index = left.where(own == 1).select("sign", F.pmod(F.xxhash64("lh"), F.col("splits")).cast("int").alias("salt"), F.col("lh").alias("x"), F.col("mark").alias("x_mark"))
+    probe = left.select("sign", F.explode(F.sequence(F.lit(0), F.col("splits") - 1)).alias("salt"), F.col("lh").alias("y"), F.col("mark").alias("y_mark"))
+    alike = (index["sign"] == probe["sign"]) & (index["salt"] == probe["salt"]) & (F.col("x") != F.col("y")) & (_apart(F.col("x_mark"), F.col("y_mark")) <= 2 * t)
+    return index.join(probe, alike).select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct()
+
+
+def _with_text(keyed: DataFrame, rows: DataFrame, *columns: str, how: str = "inner") -> DataFrame:
+    """``keyed`` with ``columns`` of the row that has its key; equal exchanges of texts are reused."""
+    right = rows.select(F.col("k").alias("__k"), F.col("c").alias("__c"), *columns)
+    return keyed.join(right, (keyed["k"] == right["__k"]) & (keyed["c"] == right["__c"]), how).drop("__k", "__c")
+
+
+def similar_lines(keyed: DataFrame, places: DataFrame, t: int = THRESHOLD, min_chars: int = MIN_CHARS) -> tuple[DataFrame, DataFrame]:
+    """((first, lh, lc) of the later and ``other`` first of the earlier line of each near pair; the spilled candidates).
+
+    ``places`` holds (lh, lc, first): where each distinct line stands first.
+    """
+    pairs = spill(candidate_pairs(lines_of(keyed), t, min_chars))
+    wanted = pairs.select(F.explode(F.array("a", "b")).alias("lh")).distinct()
+    at = places.join(wanted, "lh", "left_semi").select("lh", "lc", "first", "first.k", "first.c")
+    held = at.groupBy("k", "c").agg(F.collect_list(F.struct("lh", "lc", "first")).alias("wanted"))
+    cut = _with_text(keyed, held, "wanted").dropDuplicates(["k", "c"]).select("wanted", F.split("text", "\n", -1).alias("lines"))
+    texts = cut.select(F.explode(F.transform("wanted", lambda w: F.struct(w["lh"].alias("lh"), w["lc"].alias("lc"), w["first"].alias("first"), F.get("lines", w["first"]["pos"]).alias("line")))).alias("x")).select("x.*")
+    one = lambda p, h: texts.select(F.col("lh").alias(h), *[F.col(c).alias(f"{p}_{c}") for c in ("lc", "first", "line")])
+    both = pairs.join(one("a", "a"), "a").join(one("b", "b"), "b").where(near(F.col("a_line"), F.col("b_line"), t, min_chars))
+    ends = [F.struct(F.col(f"{p}_first").alias("first"), F.col(p).alias("lh"), F.col(f"{p}_lc").alias("lc")) for p in "ab"]
+    return both.select(F.least(*ends).alias("earlier"), F.greatest(*ends).alias("later")), pairs
+
+
+def removed_lines(keyed: DataFrame, t: int = THRESHOLD, min_chars: int = MIN_CHARS) -> DataFrame:
+    """(k, c, removed): places of the lines that leave, for the documents that lose any."""
+    occurrences = lines_of(keyed).select("lh", "lc", F.struct("doc_id", "k", "c", "pos").alias("place"))
+    lines = occurrences.groupBy("lh", "lc").agg(F.min("place").alias("first"), F.max("place").alias("last"))
+    found, pairs = similar_lines(keyed, lines.select("lh", "lc", "first"), t, min_chars)
+    later = spill(found.select("later.lh", "later.lc").distinct(), pairs).withColumn("gone", F.lit(True))
+    decided = lines.join(later, ["lh", "lc"], "left").where(F.col("gone") | (F.col("first") != F.col("last"))).select("lh", "lc", "first", F.coalesce("gone", F.lit(False)).alias("gone"))
+    leaving = occurrences.join(decided, ["lh", "lc"]).where(F.col("gone") | (F.col("place") != F.col("first")))
+    return leaving.groupBy("place.k", "place.c").agg(F.collect_set("place.pos").alias("removed"))
 
 
 def dedup_lines(docs: DataFrame, t: int = THRESHOLD, min_chars: int = MIN_CHARS) -> DataFrame:
     """``docs`` with the leaving lines cut from ``text``, and n_lines, n_removed beside all columns."""
-    gone = removed_lines(docs, t, min_chars).select(F.col("doc_id").alias("__id"), F.col("doc_hash").alias("__hash"), "removed")
+    names = [c for c in docs.columns if c not in ("n_lines", "n_removed")]
     text = F.coalesce("text", F.lit(""))
-    keyed = docs.withColumn("__h", F.xxhash64(text, F.crc32(text)))
-    met = keyed.join(gone, (F.col("__h") == F.col("__hash")) & F.col("doc_id").eqNullSafe(F.col("__id")), "left")
-    split = F.split("text", "\n", -1)
-    kept = F.array_join(F.filter(split, lambda x, i: ~F.array_contains("removed", i)), "\n")
+    rows = docs.select(F.xxhash64("doc_id", text).alias("k"), F.crc32(text).alias("c"), F.struct(*[F.col(f"`{c}`") for c in names]).alias("row"))
+    met = _with_text(rows, removed_lines(_keyed(docs), t, min_chars), "removed", how="left")
+    text = F.col("row.text")
+    kept = F.array_join(F.filter(F.split(text, "\n", -1), lambda x, i: ~F.array_contains("removed", i)), "\n")
     return met.select(
-        *[F.when(F.col("removed").isNull(), F.col("text")).otherwise(kept).alias("text") if c == "text" else F.col(c) for c in docs.columns],
-        F.when(text == "", 0).otherwise(F.size(F.split(text, "\n", -1))).cast("bigint").alias("n_lines"),
+        *[(F.when(F.col("removed").isNull(), text).otherwise(kept) if c == "text" else F.col(f"row.`{c}`")).alias(c) for c in names],
+        F.when(F.coalesce(text, F.lit("")) == "", 0).otherwise(F.size(F.split(text, "\n", -1))).cast("bigint").alias("n_lines"),
         F.coalesce(F.size("removed"), F.lit(0)).cast("bigint").alias("n_removed"),
     )
 
@@ -138,5 +207,5 @@ def op8_segment_edit_lines(spark, sf_dir: str) -> DataFrame:
 
 
 def filter_lines(docs: DataFrame) -> DataFrame:
-    """The documents with their kept lines, same columns."""
-    return dedup_lines(docs).select(*docs.columns)
+    """The documents with their kept lines, same columns (but n_lines and n_removed, if there, hold the counts)."""
+    return dedup_lines(docs).select(*[F.col(f"`{c}`") for c in docs.columns])
