@@ -35,39 +35,50 @@ def _closed(wedges: DataFrame, edges: DataFrame) -> DataFrame:
     return wedges.join(close, ["v", "u"], "left_semi")
 
 
-def triangles(g: PartitionedGraph) -> DataFrame:
-    """(a, b, c, tri_type) in one plan: 3 inner edges, an inner edge with two cut edges to one vertex, 3 cut edges."""
-    inner, cut = _owned(g)
+def _local_types(inner: DataFrame, cut: DataFrame) -> DataFrame:
+    """Types i and ii: three inner edges, or an inner edge with two cut edges to one vertex."""
     one = _closed(_wedges(inner, inner), inner).select(F.col("v").alias("a"), F.col("w").alias("b"), F.col("u").alias("c"), F.lit("i").alias("tri_type"))
     half = cut.select(F.col("src").alias("own"), F.col("dst").alias("far")).union(cut.select("dst", "src"))
     left = inner.select("src", "dst").join(half.select(F.col("own").alias("src"), "far"), "src")
     two = left.join(half.select(F.col("own").alias("dst"), "far"), ["dst", "far"], "left_semi").select(*_sorted("src", "dst", "far"), F.lit("ii").alias("tri_type"))
-    three = _closed(_wedges(cut, cut).where("v_sg <> u_sg"), cut).select(F.col("v").alias("a"), F.col("w").alias("b"), F.col("u").alias("c"), F.lit("iii").alias("tri_type"))
-    return reduce(DataFrame.unionByName, [one, two, three])
+    return one.unionByName(two)
 
 
-def triangles_bsp(g: PartitionedGraph, mode: str = "complete") -> tuple[DataFrame, list[dict]]:
+def _three(cut: DataFrame) -> DataFrame:
+    """Type iii: three cut edges between three subgraphs."""
+    return _closed(_wedges(cut, cut).where("v_sg <> u_sg"), cut).select(F.col("v").alias("a"), F.col("w").alias("b"), F.col("u").alias("c"), F.lit("iii").alias("tri_type"))
+
+
+def triangles(g: PartitionedGraph) -> DataFrame:
+    """(a, b, c, tri_type) in one plan: 3 inner edges, an inner edge with two cut edges to one vertex, 3 cut edges."""
+    inner, cut = _owned(g)
+    return _local_types(inner, cut).unionByName(_three(cut))
+
+
+def triangles_bsp(g: PartitionedGraph, mode: str = "complete", prune: bool = False) -> tuple[DataFrame, list[dict]]:
     """Triangles and the log of supersteps (superstep, found, messages); stops as soon as a round sends nothing.
 
     ``as_printed`` finds locally only those whose two smaller vertices share a subgraph, and never those whose smallest
     vertex is alone; ``receive_check`` adds them where the first message arrives; ``complete`` finds all of types i and
-    ii in the first step and sends only what may span three subgraphs.
+    ii in the first step and sends only what may span three subgraphs. ``prune`` (complete only): a cut edge (v, w) is
+    sent only if v has another larger neighbour, outside both subgraphs, that may close the triangle.
     """
     if mode not in ("complete", "as_printed", "receive_check"):
         raise ValueError(mode)
-    inner, cut = (spill(x) for x in _owned(g))
-    every = inner.unionByName(cut)
+    owned = spill(g.owned_edges().select("src", "dst", "src_sg", "dst_sg"))
+    inner, cut = owned.where("src_sg = dst_sg"), owned.where("src_sg <> dst_sg")
     plain = lambda d: d.select(F.col("v").alias("a"), F.col("w").alias("b"), F.col("u").alias("c"))
     if mode == "complete":
-        local = triangles(g).where("tri_type <> 'iii'").select(*NAMES)
+        local = _local_types(inner, cut).select(*NAMES)
     else:
-        local = plain(_closed(_wedges(inner, every), every))
+        local = plain(_closed(_wedges(inner, owned), owned))
     found, log = [spill(local)], []
-    sent = cut.count()
+    asked = sent_pairs(cut) if prune and mode == "complete" else cut
+    sent = asked.count()
     log.append({"superstep": 0, "found": found[0].count(), "messages": sent})
     if not sent:
         return found[0], log
-    second = _wedges(cut, cut)
+    second = _wedges(asked, cut)
     forwarded = spill(second.where("v_sg <> u_sg") if mode == "complete" else second)
     n = 0
     if mode == "receive_check":
@@ -76,11 +87,68 @@ def triangles_bsp(g: PartitionedGraph, mode: str = "complete") -> tuple[DataFram
     sent = forwarded.count()
     log.append({"superstep": 1, "found": n, "messages": sent})
     if sent:
-        found.append(spill(plain(_closed(forwarded, every))))
+        found.append(spill(plain(_closed(forwarded, owned)), forwarded))
         log.append({"superstep": 2, "found": found[-1].count(), "messages": 0})
     return reduce(DataFrame.unionByName, found), log
 
 
+def sent_pairs(cut: DataFrame) -> DataFrame:
+    """The cut edges (v, w) worth sending: v has a larger neighbour beyond w, in neither's subgraph."""
+    other = cut.select(F.col("src").alias("o_src"), F.col("dst").alias("o_dst"), F.col("dst_sg").alias("o_sg"))
+    return cut.join(other, (cut["src"] == F.col("o_src")) & (F.col("o_dst") > cut["dst"]) & (F.col("o_sg") != cut["dst_sg"]), "left_semi")
+
+
+#: Edges of one subgraph (cut edges included) that its kernel takes into memory at once; larger subgraphs go relational.
+KERNEL_EDGES = 4_000_000
+TYPED = "a bigint, b bigint, c bigint, tri_type string"
+
+
+def _with_kernel(owned: DataFrame, count: bool, cap: int) -> DataFrame:
+    """Triangles of types i and ii, listed or counted by type, by a shared-memory routine in each subgraph."""
+    import numpy as np
+    import pyarrow as pa
+
+    from .kernels import triangles_with_inner_edge
+
+    inner = F.col("src_sg") == F.col("dst_sg")
+    sides = F.when(inner, F.array("src_sg")).otherwise(F.array("src_sg", "dst_sg"))
+    rows = owned.select("src", "dst", inner.alias("inner"), F.explode(sides).alias("sg"))
+
+    def run(table: pa.Table) -> pa.Table:
+        src, dst, flag = (np.asarray(table.column(c)) for c in ("src", "dst", "inner"))
+        ones = twos = 0
+        out = []
+        for a, b, c, whole in triangles_with_inner_edge(src, dst, flag):
+            if count:
+                ones, twos = ones + int(whole.sum()), twos + int((~whole).sum())
+            else:
+                out.append(pa.table({"a": a, "b": b, "c": c, "tri_type": pa.array(np.where(whole, "i", "ii"))}))
+        if count:
+            return pa.table({"tri_type": ["i", "ii"], "triangles": pa.array([ones, twos], pa.int64())})
+        return pa.concat_tables(out) if out else pa.table({"a": pa.array([], pa.int64()), "b": pa.array([], pa.int64()), "c": pa.array([], pa.int64()), "tri_type": pa.array([], pa.string())})
+
+    schema = "tri_type string, triangles bigint" if count else TYPED
+    sizes = rows.groupBy("sg").agg(F.count("*").alias("n"))
+    small = rows.join(sizes.where(F.col("n") <= cap).select("sg"), "sg", "left_semi")
+    done = small.groupBy("sg").applyInArrow(run, schema)
+    big = sizes.where(F.col("n") > cap).select(F.col("sg").alias("src_sg"))
+    rest = _local_types(owned.where(inner).join(big, "src_sg", "left_semi"), owned.where(~inner))
+    return done.unionByName(rest.groupBy("tri_type").agg(F.count("*").alias("triangles")) if count else rest)
+
+
+def triangles_kernel(g: PartitionedGraph, cap: int = KERNEL_EDGES) -> DataFrame:
+    """(a, b, c, tri_type): each subgraph finds types i and ii in memory; only cut edges are joined for type iii."""
+    owned = g.owned_edges().select("src", "dst", "src_sg", "dst_sg")
+    return _with_kernel(owned, False, cap).unionByName(_three(owned.where("src_sg <> dst_sg")))
+
+
+def count_kernel(g: PartitionedGraph, cap: int = KERNEL_EDGES) -> DataFrame:
+    """(tri_type, triangles): the same without listing types i and ii."""
+    owned = g.owned_edges().select("src", "dst", "src_sg", "dst_sg")
+    three = _three(owned.where("src_sg <> dst_sg")).groupBy("tri_type").agg(F.count("*").alias("triangles"))
+    return _with_kernel(owned, True, cap).unionByName(three).groupBy("tri_type").agg(F.sum("triangles").alias("triangles")).where("triangles > 0")
+
+
 def triangles_vertex_centric(g: PartitionedGraph) -> DataFrame:
     """Baseline in three supersteps: ids to larger neighbours, forwarded to larger ones, closing test."""
     e = g.edges.select("src", "dst")
@@ -103,10 +171,7 @@ def degrees(g: PartitionedGraph) -> DataFrame:
 
 def triangles_forward(g: PartitionedGraph) -> DataFrame:
     """Baseline: edges point to the larger (degree, id), which bounds out-degrees by sqrt(2m); out-lists intersect."""
-    d = degrees(g)
-    e = g.edges.join(d.select(F.col("vid").alias("src"), F.col("degree").alias("ds")), "src").join(d.select(F.col("vid").alias("dst"), F.col("degree").alias("dd")), "dst")
-    up = F.struct("ds", "src") < F.struct("dd", "dst")
-    arcs = e.select(F.when(up, F.col("src")).otherwise(F.col("dst")).alias("lo"), F.when(up, F.col("dst")).otherwise(F.col("src")).alias("hi"))
+    arcs = orient(g, "degree")
     outs = arcs.groupBy("lo").agg(F.collect_list("hi").alias("out"))
     met = arcs.join(outs, "lo").join(outs.select(F.col("lo").alias("hi"), F.col("out").alias("far")), "hi")
     return met.select("lo", "hi", F.explode(F.array_intersect("out", "far")).alias("u")).select(*_sorted("lo", "hi", "u"))
@@ -142,11 +207,106 @@ def clustering_coefficient(g: PartitionedGraph) -> DataFrame:
     return got.withColumn("coefficient", F.round(2.0 * F.col("triangles") / (F.col("degree") * (F.col("degree") - 1)), 6))
 
 
-def partition_stats(g: PartitionedGraph) -> DataFrame:
-    """(sg, vertices, inner_edges, cut_edges) of each subgraph."""
-    e = g.owned_edges()
-    sides = e.select(F.col("src_sg").alias("sg"), (F.col("src_sg") != F.col("dst_sg")).alias("cut"))
-    far = e.where("src_sg <> dst_sg").select(F.col("dst_sg").alias("sg"), F.lit(True).alias("cut"))
-    counts = sides.unionByName(far).groupBy("sg").agg(F.count_if(~F.col("cut")).alias("inner_edges"), F.count_if("cut").alias("cut_edges"))
-    n = g.vertices.groupBy("sg").agg(F.count("*").alias("vertices"))
-    return n.join(counts, "sg", "left").select("sg", "vertices", F.coalesce("inner_edges", F.lit(0)).alias("inner_edges"), F.coalesce("cut_edges", F.lit(0)).alias("cut_edges"))
+def per_edge(tri: DataFrame) -> DataFrame:
+    """(src, dst, triangles) of the edges in a triangle."""
+    sides = F.array(*[F.struct(F.col(x).alias("src"), F.col(y).alias("dst")) for x, y in ("ab", "ac", "bc")])
+    return tri.select(F.explode(sides).alias("e")).groupBy("e.src", "e.dst").agg(F.count("*").alias("triangles"))
+
+
+def transitivity(g: PartitionedGraph) -> DataFrame:
+    """(triangles, wedges, transitivity): closed wedges among all, in millionths (whole numbers, so engines agree)."""
+    wedges = degrees(g).agg(F.coalesce(F.sum(F.expr("degree * (degree - 1) div 2")), F.lit(0)).alias("wedges"))
+    tri = triangles_forward(g).agg(F.count("*").alias("triangles"))
+    return tri.crossJoin(wedges).select("triangles", "wedges", F.expr("case when wedges > 0 then 3000000 * triangles div wedges end").alias("transitivity"))
+
+
+def classify(tri: DataFrame, vertices: DataFrame) -> DataFrame:
+    """(a, b, c, tri_type, away): the number of subgraphs, and for type ii which vertex is alone."""
+    for n in NAMES:
+        tri = tri.join(vertices.select(F.col("vid").alias(n), F.col("sg").alias(f"{n}_sg")), n)
+    ab, bc, ac = (F.col(f"{x}_sg") == F.col(f"{y}_sg") for x, y in ("ab", "bc", "ac"))
+    kind = F.when(ab & bc, "i").when(ab | bc | ac, "ii").otherwise("iii")
+    away = F.when(ab & bc, None).when(bc, "first").when(ac, "middle").when(ab, "last")
+    return tri.select(*NAMES, kind.alias("tri_type"), away.alias("away"))
+
+
+def type2_placement(g: PartitionedGraph) -> DataFrame:
+    """(away, triangles) of type ii: ``first`` are those that the printed program misses."""
+    return classify(triangles_forward(g), g.vertices).where("tri_type = 'ii'").groupBy("away").agg(F.count("*").alias("triangles"))
+
+
+def triangle_recall(g: PartitionedGraph) -> DataFrame:
+    """(found, total, missed) of the printed program against all triangles."""
+    kinds = classify(triangles_forward(g), g.vertices).agg(F.count_if(F.col("away") == "first").alias("missed"), F.count("*").alias("total"))
+    printed = triangles_bsp(g, "as_printed")[0].agg(F.count("*").alias("found"))
+    return printed.crossJoin(kinds).select("found", "total", "missed")
+
+
+def orient(g: PartitionedGraph, by: str = "id") -> DataFrame:
+    """(lo, hi): each edge once, towards the larger id or the larger (degree, id)."""
+    if by == "id":
+        return g.edges.select(F.col("src").alias("lo"), F.col("dst").alias("hi"))
+    d = degrees(g)
+    e = g.edges.join(d.select(F.col("vid").alias("src"), F.col("degree").alias("ds")), "src").join(d.select(F.col("vid").alias("dst"), F.col("degree").alias("dd")), "dst")
+    up = F.struct("ds", "src") < F.struct("dd", "dst")
+    return e.select(F.when(up, F.col("src")).otherwise(F.col("dst")).alias("lo"), F.when(up, F.col("dst")).otherwise(F.col("src")).alias("hi"))
+
+
+def probes(g: PartitionedGraph) -> DataFrame:
+    """(form, probes): pairs of neighbours that each form tests for a closing edge."""
+    by_id = orient(g).groupBy("lo").agg(F.count("*").alias("o"))
+    by_degree = orient(g, "degree").groupBy("lo").agg(F.count("*").alias("o"))
+    pairs = F.coalesce(F.sum(F.expr("o * (o - 1) div 2")), F.lit(0)).alias("probes")
+    own = g.owned_edges().where("src_sg = dst_sg")
+    deg = degrees(g)
+    ends = own.join(deg.select(F.col("vid").alias("src"), F.col("degree").alias("ds")), "src").join(deg.select(F.col("vid").alias("dst"), F.col("degree").alias("dd")), "dst")
+    local = ends.agg(F.coalesce(F.sum(F.least("ds", "dd")), F.lit(0)).alias("probes"))
+    named = lambda df, form: df.select(F.lit(form).alias("form"), "probes")
+    return named(by_id.agg(pairs), "node_iterator").unionByName(named(by_degree.agg(pairs), "forward")).unionByName(named(local, "subgraph_kernel"))
+
+
+def triangles_colour(g: PartitionedGraph, colours: int = 3) -> DataFrame:
+    """(a, b, c) by colour triples: vertices are hashed to colours, an edge goes to each triple that holds both its
+    colours, and a triangle is kept in the triple of exactly its colours."""
+    from .partitions import hash_part
+
+    e = g.edges.select("src", "dst", hash_part(F.col("src"), colours).alias("i"), hash_part(F.col("dst"), colours).alias("j"))
+    other = F.explode(F.sequence(F.lit(0), F.lit(colours - 1)))
+    dealt = e.withColumn("k", other).select("src", "dst", F.array_join(F.array_sort(F.array("i", "j", "k")), "-").alias("triple")).distinct()
+    x, y = dealt.select("triple", F.col("src").alias("a"), F.col("dst").alias("b")), dealt.select("triple", F.col("src").alias("b"), F.col("dst").alias("c"))
+    near = x.join(y, ["triple", "b"]).join(dealt.select("triple", F.col("src").alias("a"), F.col("dst").alias("c")), ["triple", "a", "c"], "left_semi")
+    exact = F.array_join(F.array_sort(F.array(*[hash_part(F.col(n), colours) for n in NAMES])), "-")
+    return near.where(F.col("triple") == exact).select(*NAMES)
+
+
+def triangles_estimate(g: PartitionedGraph, percent: int = 50, seed: int = 7) -> DataFrame:
+    """(kept_edges, kept_triangles, estimate): triangles among a hash sample of the edges, scaled by the cube."""
+    from .partitions import hash_part
+
+    kept = g.edges.where(hash_part(F.concat_ws(":", F.lit(seed), "src", "dst"), 100) < percent)
+    sample = PartitionedGraph(g.vertices, kept)
+    tri = triangles_forward(sample).agg(F.count("*").alias("kept_triangles"))
+    n = kept.agg(F.count("*").alias("kept_edges"))
+    return n.crossJoin(tri).select("kept_edges", "kept_triangles", F.expr(f"kept_triangles * 1000000 div {percent ** 3}").alias("estimate"))
+
+
+def k_truss(g: PartitionedGraph, k: int, max_rounds: int = 1000) -> DataFrame:
+    """(src, dst): the largest set of edges each of which is in k - 2 triangles of the set, by repeated peeling."""
+    edges = spill(g.edges.select("src", "dst", "weight"))
+    n = edges.count()
+    for _ in range(max_rounds):
+        support = per_edge(triangles_forward(PartitionedGraph(g.vertices, edges)))
+        edges = spill(edges.join(support.where(F.col("triangles") >= k - 2).select("src", "dst"), ["src", "dst"], "left_semi"), edges)
+        left = edges.count()
+        if left == n:
+            return edges.select("src", "dst")
+        n = left
+    raise RuntimeError(f"edges still leave after {max_rounds} rounds")
+
+
+def triangles_vertex_supersteps(g: PartitionedGraph) -> list[dict]:
+    """The baseline's log: always three supersteps, whatever a round sends."""
+    e = g.edges.select("src", "dst")
+    asked = e.select(F.col("src").alias("v"), F.col("dst").alias("w"))
+    second = spill(asked.join(e.select(F.col("src").alias("w"), F.col("dst").alias("u")), "w"))
+    return [{"superstep": 0, "found": 0, "messages": e.count()}, {"superstep": 1, "found": 0, "messages": second.count()}, {"superstep": 2, "found": _closed(second, e).count(), "messages": 0}]

@@ -7,6 +7,8 @@ from dataclasses import dataclass
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from ..storage import spill
+
 
 @dataclass(frozen=True)
 class PartitionedGraph:
@@ -25,6 +27,10 @@ class PartitionedGraph:
         a, b = v.select(F.col("vid").alias("src"), F.col("sg").alias("src_sg")), v.select(F.col("vid").alias("dst"), F.col("sg").alias("dst_sg"))
         return self.edges.join(a, "src").join(b, "dst").select("src", "dst", "weight", "src_sg", "dst_sg")
 
+    def stored(self) -> PartitionedGraph:
+        """The same graph written once to the shared folder, so that loops and branches do not derive it again."""
+        return PartitionedGraph(spill(self.vertices.select("vid", "sg")), spill(self.edges.select("src", "dst", "weight")))
+
     def half_edges(self) -> DataFrame:
         """(u, v, weight): both directions."""
         e = self.edges
@@ -92,4 +98,83 @@ def order_cite(spark: SparkSession, sf_dir: str) -> PartitionedGraph:
     return PartitionedGraph(orders.select(F.col("o_orderkey").alias("vid"), F.year("o_orderdate").cast("bigint").alias("sg")), edges)
 
 
-GRAPHS = {"nation": nation_trade, "cosupp": cosupp, "copart": copart, "copart_strong": copart_strong, "order_cite": order_cite}
+def order_cite_range(spark: SparkSession, sf_dir: str, parts: int = 8) -> PartitionedGraph:
+    """The same citations under a partition that ignores time: equal ranges of the order keys."""
+    g = order_cite(spark, sf_dir)
+    n = g.vertices.agg(F.max("vid") + 1).first()[0] or 1
+    return g.with_partition(F.expr(f"vid * {parts} div {n}"))
+
+
+def order_cite_arrows(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(src, dst): each order and the two orders before it that hold the same part, newer to older, repeats kept."""
+    orders = _table(spark, sf_dir, "orders").select("o_orderkey", "o_orderdate")
+    lines = _table(spark, sf_dir, "lineitem").select("l_partkey", F.col("l_orderkey").alias("o_orderkey")).distinct().join(orders, "o_orderkey")
+    w = Window.partitionBy("l_partkey").orderBy("o_orderdate", "o_orderkey")
+    before = lines.select(F.col("o_orderkey").alias("src"), F.array(F.lag("o_orderkey", 1).over(w), F.lag("o_orderkey", 2).over(w)).alias("p"))
+    return before.select("src", F.explode("p").alias("dst")).where("dst is not null")
+
+
+#: Languages that page addresses name.
+LANGUAGES = ("en", "fr", "de", "es")
+
+
+def page_colink(spark: SparkSession, sf_dir: str) -> PartitionedGraph:
+    """Pages that link to one address; weight falls with the addresses shared; owner is the language in the page's own address."""
+    pages = _table(spark, sf_dir, "pages")
+    found = F.explode(F.regexp_extract_all("html", F.lit('<a href="([^"]+)"'), 1))
+    links = pages.select("page_id", found.alias("href")).select("page_id", F.rtrim("href", F.lit(".,")).alias("href")).distinct()
+    pairs = links.alias("x").join(links.alias("y"), F.expr("x.href = y.href and x.page_id < y.page_id"))
+    met = pairs.groupBy(F.col("x.page_id").alias("src"), F.col("y.page_id").alias("dst")).agg(F.count("*").alias("n"))
+    lang = F.array_position(F.array(*map(F.lit, LANGUAGES)), F.regexp_extract("url", "/([a-z]{2})/", 1))
+    return PartitionedGraph(pages.select(F.col("page_id").alias("vid"), lang.cast("bigint").alias("sg")), met.select("src", "dst", F.expr("1000 div n").alias("weight")))
+
+
+def user_coact(spark: SparkSession, sf_dir: str, minutes: int = 60) -> PartitionedGraph:
+    """Users with an event of one type in one window; weight falls with the pairs of such events; owner is the id modulo 4."""
+    events = _table(spark, sf_dir, "events")
+    window = F.struct(F.date_trunc("hour", "ts").alias("h"), F.floor(F.minute("ts") / minutes).alias("m"))
+    acts = events.select("user_id", "event_type", window.alias("w")).groupBy("user_id", "event_type", "w").agg(F.count("*").alias("n"))
+    pairs = acts.alias("x").join(acts.alias("y"), F.expr("x.event_type = y.event_type and x.w = y.w and x.user_id < y.user_id"))
+    met = pairs.groupBy(F.col("x.user_id").alias("src"), F.col("y.user_id").alias("dst")).agg(F.sum(F.expr("x.n * y.n")).alias("n"))
+    users = events.select(F.col("user_id").alias("vid")).distinct()
+    return PartitionedGraph(users.select("vid", F.pmod("vid", F.lit(4)).cast("bigint").alias("sg")), met.select("src", "dst", F.expr("1000000 div n").alias("weight")))
+
+
+#: Added to part keys where customers and parts share one id space.
+PART_BASE = 1_000_000_000
+
+
+def cust_part(spark: SparkSession, sf_dir: str) -> PartitionedGraph:
+    """Customers and the parts they ordered (two-sided, so no triangles); owners are nations and, from 100 on, brands."""
+    orders = _table(spark, sf_dir, "orders").select(F.col("o_orderkey").alias("l_orderkey"), F.col("o_custkey").alias("src"))
+    lines = _table(spark, sf_dir, "lineitem").select("l_orderkey", (F.col("l_partkey") + PART_BASE).alias("dst"))
+    met = lines.join(orders, "l_orderkey").groupBy("src", "dst").agg(F.count("*").alias("n"))
+    cust = _table(spark, sf_dir, "customer").select(F.col("c_custkey").alias("vid"), F.col("c_nationkey").cast("bigint").alias("sg"))
+    part = _brand(_table(spark, sf_dir, "part")).select((F.col("vid") + PART_BASE).alias("vid"), (F.col("sg") + 100).alias("sg"))
+    return PartitionedGraph(cust.unionByName(part), met.select("src", "dst", F.expr("1000000 div n").alias("weight")))
+
+
+def conv_next(spark: SparkSession, sf_dir: str) -> PartitionedGraph:
+    """Turns of a conversation in order: paths that never leave their owner, the conversation."""
+    turns = _table(spark, sf_dir, "conversations").select("conv_id", (F.col("conv_id") * 10000 + F.col("turn")).alias("vid")).distinct()
+    edges = turns.select(F.col("vid").alias("src"), (F.col("vid") + 1).alias("dst")).join(turns.select(F.col("vid").alias("dst")), "dst", "left_semi")
+    return PartitionedGraph(turns.select("vid", F.col("conv_id").cast("bigint").alias("sg")), edges.select("src", "dst", F.lit(1).cast("bigint").alias("weight")))
+
+
+def emb_knn(spark: SparkSession, sf_dir: str, k: int = 8, dims: int = 64) -> PartitionedGraph:
+    """Each vector and its ``k`` nearest by straight distance (every vector is a stated query against all, in blocks of
+    rows); weight is the distance in millionths; owner is the label."""
+    rows = _table(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("vid"), F.col("embedding").cast("array<double>").alias("x"), F.col("label").cast("bigint").alias("sg"))
+    gap = F.sqrt(F.aggregate(F.zip_with("x", "y", lambda a, b: (a - b) * (a - b)), F.lit(0.0), lambda s, d: s + d))
+    far = rows.select(F.col("vid").alias("dst"), F.col("x").alias("y"))
+    every = rows.select(F.col("vid").alias("src"), "x").join(far, F.col("src") != F.col("dst")).select("src", "dst", gap.alias("d"))
+    w = Window.partitionBy("src").orderBy("d", "dst")
+    best = every.withColumn("r", F.row_number().over(w)).where(F.col("r") <= k)
+    return PartitionedGraph(rows.select("vid", "sg"), symmetrize(best.select("src", "dst", F.round(F.col("d") * 1e6).cast("bigint").alias("weight"))))
+
+
+GRAPHS = {
+    "nation": nation_trade, "cosupp": cosupp, "copart": copart, "copart_strong": copart_strong, "order_cite": order_cite,
+    "order_range": order_cite_range, "page_colink": page_colink, "user_coact": user_coact, "cust_part": cust_part,
+    "conv_next": conv_next, "emb_knn": emb_knn,
+}

@@ -24,16 +24,32 @@ def shared_dir(spark: SparkSession) -> str:
     return made
 
 
-def spill(df: DataFrame) -> DataFrame:
-    """Write ``df`` as Parquet to the shared folder and read it back."""
+def spill(df: DataFrame, *done: DataFrame) -> DataFrame:
+    """Write ``df`` as Parquet to the shared folder and read it back; then ``done``, spilled before, are deleted.
+
+    The shuffle files of the written plan are of no more use: a collection on the driver lets Spark remove them.
+    """
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/spill-{uuid.uuid4().hex}"
     df.write.parquet(path)
-    atexit.register(_forget, spark, path)
-    return spark.read.schema(df.schema).parquet(path)
+    atexit.register(_delete, spark, path)
+    table = spark.read.schema(df.schema).parquet(path)
+    table._spilled = path
+    forget(*done)
+    spark.sparkContext._jvm.System.gc()
+    return table
+
+
+def forget(*tables: DataFrame | None) -> None:
+    """Delete spilled tables that no plan reads any more; other DataFrames are left alone."""
+    for table in tables:
+        path = getattr(table, "_spilled", None)
+        if path:
+            table._spilled = None
+            _delete(table.sparkSession, path)
 
 
-def _forget(spark: SparkSession, path: str) -> None:
+def _delete(spark: SparkSession, path: str) -> None:
     try:
         jvm = spark.sparkContext._jvm
         where = jvm.org.apache.hadoop.fs.Path(path)
