@@ -76,45 +76,58 @@ def _trimmed(a: Column, b: Column, most: int = 20) -> Column:
     return F.aggregate(steps, F.lit(0), grow)
 
 
+def _let(value: Column, use) -> Column:
+    """``use`` of a value that is computed once."""
+    return F.transform(F.array(value), use)[0]
+
+
 def edits_within(long: Column, short: Column, t: int) -> Column:
     """Edit distance of two arrays of characters (the first not the shorter one), or a number above ``t``.
 
     Column j of the table holds rows j - t .. j + t in 2t + 1 bits: ``vp`` and ``vn`` mark vertical steps of +1 and -1.
     The distance is read off the diagonal that ends in the last cell; it rises where that diagonal's step is not free.
     """
-    full, gap = (1 << (2 * t + 1)) - 1, F.size(long) - F.size(short)
+    full = (1 << (2 * t + 1)) - 1
     big = lambda x: F.lit(x).cast("bigint")
 
-    def step(s: Column, j: Column) -> Column:
-        c = F.get(short, j)
-        same = [F.when(F.coalesce(F.get(long, j + (b - t)) == c, F.lit(False)), big(1 << b)).otherwise(big(0)) for b in range(2 * t + 1)]
-        # nested one-element transforms name the intermediate integers once each
-        return _let(sum(same[1:], same[0]), lambda x: _let(((x.bitwiseAND(s["vp"]) + s["vp"]).bitwiseXOR(s["vp"])).bitwiseOR(x).bitwiseOR(s["vn"]).bitwiseAND(big(full)), lambda d: _let(s["vn"].bitwiseOR(big(full).bitwiseXOR(d.bitwiseOR(s["vp"]))), lambda hp: F.struct(
-            d.bitwiseAND(s["vp"]).bitwiseOR(big(full).bitwiseXOR(F.shiftright(d, 1).bitwiseOR(hp))).alias("vp"),
-            F.shiftright(d, 1).bitwiseAND(hp).alias("vn"),
-            (s["miss"] + 1 - F.getbit(d, F.lit(t) + gap)).cast("int").alias("miss"),
-        ))))
+    def run(gap: Column) -> Column:
+        def same(j: Column, c: Column) -> Column:
+            marks = [F.when(F.coalesce(F.get(long, j + (b - t)) == c, F.lit(False)), big(1 << b)).otherwise(big(0)) for b in range(2 * t + 1)]
+            return sum(marks[1:], marks[0])
 
-    start = F.struct(big(full ^ ((1 << t) - 1)).alias("vp"), big(0).alias("vn"), gap.cast("int").alias("miss"))
-    places = F.when(F.size(short) > 0, F.sequence(F.lit(0), F.size(short) - 1)).otherwise(F.array().cast("array<int>"))
-    done = F.aggregate(places, start, lambda s, j: F.when(s["miss"] > t, s).otherwise(step(s, j)), lambda s: s["miss"])
-    return F.when(gap > t, F.lit(t + 1)).otherwise(done)
+        def moved(s: Column, d: Column, hp: Column) -> Column:
+            return F.struct(
+                d.bitwiseAND(s["vp"]).bitwiseOR(big(full).bitwiseXOR(F.shiftright(d, 1).bitwiseOR(hp))).alias("vp"),
+                F.shiftright(d, 1).bitwiseAND(hp).alias("vn"),
+                (s["miss"] + 1 - F.getbit(d, F.lit(t) + gap)).cast("int").alias("miss"),
+            )
 
+        def step(s: Column, j: Column) -> Column:
+            free = lambda x: ((x.bitwiseAND(s["vp"]) + s["vp"]).bitwiseXOR(s["vp"])).bitwiseOR(x).bitwiseOR(s["vn"]).bitwiseAND(big(full))
+            rise = lambda d: s["vn"].bitwiseOR(big(full).bitwiseXOR(d.bitwiseOR(s["vp"])))
+            return _let(F.get(short, j), lambda c: _let(same(j, c), lambda x: _let(free(x), lambda d: _let(rise(d), lambda hp: moved(s, d, hp)))))
 
-def _let(value: Column, use) -> Column:
-    return F.transform(F.array(value), use)[0]
+        start = F.struct(big(full ^ ((1 << t) - 1)).alias("vp"), big(0).alias("vn"), gap.cast("int").alias("miss"))
+        places = F.when(F.size(short) > 0, F.sequence(F.lit(0), F.size(short) - 1)).otherwise(F.array().cast("array<int>"))
+        return F.when(gap > t, F.lit(t + 1)).otherwise(F.aggregate(places, start, lambda s, j: F.when(s["miss"] > t, s).otherwise(step(s, j)), lambda s: s["miss"]))
+
+    return _let(F.size(long) - F.size(short), run)
 
 
 def near(a: Column, b: Column, t: int = THRESHOLD, min_chars: int = MIN_CHARS) -> Column:
-    """Whether two lines are within the edits that the shorter one allows."""
-    x, y = F.when(F.char_length(a) >= F.char_length(b), a).otherwise(b), F.when(F.char_length(a) >= F.char_length(b), b).otherwise(a)
-    allowed = F.least(F.lit(t), F.floor(F.char_length(y) * t / min_chars).cast("int"))
-    head = _trimmed(x, y)
-    left = lambda s: F.substring(s, head + 1, F.char_length(s))
-    tail = lambda s, cut: F.reverse(F.substring(F.reverse(s), cut + 1, F.char_length(s)))
-    cut = _trimmed(F.reverse(left(x)), F.reverse(left(y)))
+    """Whether two lines are within the edits that the shorter one allows; shared starts and ends are cut off first."""
     chars = lambda s: F.when(F.char_length(s) > 0, F.split(s, "")).otherwise(F.array().cast("array<string>"))
-    return edits_within(chars(tail(left(x), cut)), chars(tail(left(y), cut)), t) <= allowed
+    rest = lambda s, cut: F.substring(s, cut + 1, F.char_length(s))
+    pair = lambda x, y: F.struct(x.alias("x"), y.alias("y"))
+
+    def both(p: Column) -> Column:
+        allowed = F.least(F.lit(t), F.floor(F.char_length(p["y"]) * t / min_chars).cast("int"))
+        turned = lambda head: pair(F.reverse(rest(p["x"], head)), F.reverse(rest(p["y"], head)))
+        middle = lambda q: _let(_trimmed(q["x"], q["y"]), lambda cut: _let(pair(chars(rest(q["x"], cut)), chars(rest(q["y"], cut))), lambda w: edits_within(w["x"], w["y"], t)))
+        return _let(_trimmed(p["x"], p["y"]), lambda head: _let(turned(head), middle)) <= allowed
+
+    longer = F.char_length(a) >= F.char_length(b)
+    return _let(F.when(longer, pair(a, b)).otherwise(pair(b, a)), both)
 
 
 def _keyed(docs: DataFrame) -> DataFrame:
