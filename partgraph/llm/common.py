@@ -73,13 +73,18 @@ class Words:
     @property
     def hash(self) -> np.ndarray:
         if self._hash is None:
-            n = len(self.data) + 1
-            with np.errstate(over="ignore"):
-                sums = np.concatenate([np.zeros(1, np.uint64), np.cumsum((self.data.astype(np.uint64) + np.uint64(1)) * _powers(n)[:-1], dtype=np.uint64)])
-                value = (sums[self.end] - sums[self.start]) * _inverse_powers(n)[self.start]
-                self._hash = mix(value ^ ((self.end - self.start).astype(np.uint64) << np.uint64(56)))
+            self._hash = self.hash_of(self.start, self.end)
         return self._hash
 
+    def hash_of(self, start: np.ndarray, end: np.ndarray) -> np.ndarray:
+        """Hashes of the byte spans start:end; equal bytes have equal hashes."""
+        n = len(self.data) + 1
+        with np.errstate(over="ignore"):
+            if getattr(self, "_sums", None) is None:
+                self._sums = np.concatenate([np.zeros(1, np.uint64), np.cumsum((self.data.astype(np.uint64) + np.uint64(1)) * _powers(n)[:-1], dtype=np.uint64)])
+            value = (self._sums[end] - self._sums[start]) * _inverse_powers(n)[start]
+            return mix(value ^ ((end - start).astype(np.uint64) << np.uint64(56)))
+
     def counts(self) -> np.ndarray:
         return np.diff(self.first)
 

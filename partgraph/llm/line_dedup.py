@@ -3,7 +3,7 @@
 A line leaves when an earlier line (by doc_id, then a hash of the document, then place) equals it or is near it: within
 one edit for each MIN_CHARS / THRESHOLD code points of the shorter line, THRESHOLD at most. All lines that hold a word
 take part; lines too short for an edit leave as exact copies. Two lines within t edits share one of t + 1 segments: every
-line indexes its segments by (length, segment, content) and probes the substrings that can match a line up to t shorter.
+line indexes its segments by (length class, segment, content) and probes the substrings that can match one in its class.
 Signatures that only one line has go first; hot ones are salted. Candidates pass a letter-count filter inside the join
 and a banded bit-parallel edit distance: the band of a column is one integer, moved along the diagonal.
 
@@ -24,40 +24,38 @@ from .common import WORD_PATTERN, spill
 THRESHOLD = 2
 #: Code points from which a line may differ by THRESHOLD edits.
 MIN_CHARS = 30
-#: Letters whose counts are compared before the edit distance, five bits each; any letters give right results.
-LETTERS = "etnria"
-BITS = 5
+#: Letters whose counts (up to 2 ** BITS - 1) are compared before the edit distance; any letters give right results.
+LETTERS = "etni"
+BITS = 7
+#: Lengths of a class differ by this factor at most.
+GROWTH = 1.25
 #: Entries of a signature that one task pairs with all others of that signature.
 SPLIT = 1024
 
 
-def _segments(length: Column, t: int) -> list[tuple[Column, Column]]:
-    """(start from 0, size) of the t + 1 even segments of a line of ``length``; the last ones are longer by one."""
-    base, longer = F.floor(length / (t + 1)).cast("int"), F.pmod(length, F.lit(t + 1)).cast("int")
-    out, start = [], F.lit(0)
-    for i in range(t + 1):
-        size = base + F.when(F.lit(i) >= F.lit(t + 1) - longer, 1).otherwise(0)
-        out.append((start, size))
-        start = start + size
-    return out
-
+def signatures(wide: Column, n: Column, c: Column, low: int, t: int) -> Column:
+    """Signatures of a line (``wide``: four bytes a code point) in the length class ``c``; the lowest bit marks those that
+    the line indexes, the others are probes only.
 
-def signatures(wide: Column, n: Column, t: int) -> Column:
-    """Signatures of the substrings of a line (``wide``: four bytes a code point) that may equal a segment of a line
-    shorter by d <= t; null where none fits. The lowest bit marks the line's own segments.
-
-    The multi-match-aware window: segment i starts within max(p - i, p + d - (t - i)) .. min(p + i, p + d + (t - i)).
+    Lines of a class have t + 1 segments of one size. Two lines within t edits share a segment i that has at most i edits
+    to its left and t - i to its right: it is looked for near its place from the start, or, in the second half, from the end.
     """
+    size = F.floor((F.floor(low * F.pow(F.lit(GROWTH), c)) - t - 1) / (t + 1)).cast("int")
     out = []
-    for d in range(t + 1):
-        for i, (p, size) in enumerate(_segments(n - d, t)):
-            for shift in range(max(-i, d - (t - i)), min(i, d + (t - i)) + 1):
-                at, own = p + shift, int(d == 0 and shift == 0)
-                value = F.xxhash64(F.substring(wide, at * 4 + 1, size * 4), (n - d) * 64 + (i * 8 + t))
-                out.append(F.when((at >= 0) & (at + size <= n), F.shiftleft(value, 1).bitwiseOR(F.lit(own).cast("bigint"))))
+    for i in range(t + 1):
+        reach = min(i, t - i)
+        for shift in range(-reach, reach + 1):
+            at = (size * i if 2 * i <= t else n - size * (t + 1 - i)) + shift
+            value = F.xxhash64(F.substring(wide, at * 4 + 1, size * 4), c * 64 + (i * 8 + t))
+            out.append(F.when((at >= 0) & (at + size <= n), F.shiftleft(value, 1).bitwiseOR(F.lit(int(shift == 0)).cast("bigint"))))
     return F.array(*out)
 
 
+def _class(n: Column, low: int) -> Column:
+    """Length class: lines of like length; their segments are cut for the shortest of them."""
+    return F.floor(F.log(n / low) / F.log(F.lit(GROWTH))).cast("int")
+
+
 def _letter_counts(line: Column, n: Column) -> Column:
     top = F.lit((1 << BITS) - 1)
     return sum((F.shiftleft(F.least(n - F.char_length(F.replace(line, F.lit(c), F.lit(""))), top).cast("bigint"), BITS * i + 1) for i, c in enumerate(LETTERS)), F.lit(0).cast("bigint"))
@@ -147,22 +145,36 @@ def candidate_pairs(lines: DataFrame, t: int, min_chars: int) -> DataFrame:
     n = F.char_length("line")
     wide = lines.select("lh", "line", n.alias("n")).where(F.col("n") >= -(-min_chars // t))
     wide = wide.select("lh", "n", F.encode("line", "UTF-32").alias("wide"), _letter_counts(F.col("line"), F.col("n")).alias("letters"))
-    classes = []
+    lists = []
     for k in range(1, t + 1):
         low, high = -(-k * min_chars // t), -(-(k + 1) * min_chars // t) - 1 + k
         fits = (F.col("n") >= low) & (F.lit(k == t) | (F.col("n") <= high))
-        classes.append(F.when(fits, signatures(F.col("wide"), F.col("n"), k)).otherwise(F.array().cast("array<bigint>")))
-    rows = wide.select("lh", "letters", F.explode(F.concat(*classes)).alias("s")).where("s is not null")
+        # a line joins the class of lines that are longer by k edits, too, so that no pair is parted by a border
+        own, next_ = _class(F.col("n"), low), _class(F.col("n") + k, low)
+        lists += [F.when(fits & ok, F.struct(c.alias("c"), F.lit(k).alias("k"))) for c, ok in ((own, F.lit(True)), (next_, next_ != own))]
+    rows = wide.select("lh", "n", "wide", "letters", F.explode(F.array(*lists)).alias("x")).where("x is not null")
+    of = lambda k: signatures(F.col("wide"), F.col("n"), F.col("x.c"), -(-k * min_chars // t), k)
+    signs = of(t)
+    for k in range(1, t):
+        signs = F.when(F.col("x.k") == k, of(k)).otherwise(signs)
+    rows = rows.select("lh", "letters", F.explode(signs).alias("s")).where("s is not null")
     rows = rows.select(F.shiftright("s", 1).alias("sign"), "lh", F.col("letters").bitwiseOR(F.col("s").bitwiseAND(F.lit(1))).alias("mark"))
     dealt = rows.repartition("sign")
     own = F.col("mark").bitwiseAND(F.lit(1))
     met = dealt.groupBy("sign").agg(F.min("lh").alias("low"), F.max("lh").alias("high"), F.max(own).alias("any_own"), F.count("*").alias("met"))
     met = met.where("low <> high and any_own = 1").select("sign", F.ceil(F.col("met") / SPLIT).cast("int").alias("splits"))
     left = dealt.join(met.hint("shuffle_hash"), "sign")
-    index = left.where(own == 1).select("sign", F.pmod(F.xxhash64("lh"), F.col("splits")).cast("int").alias("salt"), F.col("lh").alias("x"), F.col("mark").alias("x_mark"))
-    probe = left.select("sign", F.explode(F.sequence(F.lit(0), F.col("splits") - 1)).alias("salt"), F.col("lh").alias("y"), F.col("mark").alias("y_mark"))
-    alike = (index["sign"] == probe["sign"]) & (index["salt"] == probe["salt"]) & (F.col("x") != F.col("y")) & (_apart(F.col("x_mark"), F.col("y_mark")) <= 2 * t)
-    return index.join(probe, alike).select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct()
+
+    def paired(index: DataFrame, probe: DataFrame, keys: list[str]) -> DataFrame:
+        x = index.where(own == 1).select(*keys, F.col("lh").alias("x"), F.col("mark").alias("x_mark"))
+        y = probe.select(*keys, F.col("lh").alias("y"), F.col("mark").alias("y_mark"))
+        alike = (F.col("x") != F.col("y")) & (_apart(F.col("x_mark"), F.col("y_mark")) <= 2 * t)
+        return y.join(x.hint("shuffle_hash"), keys).where(alike).select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b"))
+
+    some, hot = left.where("splits = 1"), left.where("splits > 1")
+    salted = hot.withColumn("salt", F.pmod(F.xxhash64("lh"), F.col("splits")).cast("int"))
+    spread = hot.withColumn("salt", F.explode(F.sequence(F.lit(0), F.col("splits") - 1)))
+    return paired(some, some, ["sign"]).unionByName(paired(salted, spread, ["sign", "salt"])).distinct()
 
 
 def _with_text(keyed: DataFrame, rows: DataFrame, *columns: str, how: str = "inner") -> DataFrame:

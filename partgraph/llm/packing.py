@@ -1,13 +1,15 @@
 """Best-fit packing into fixed-length sequences by a grouping genetic algorithm on islands.
 
 Documents are encoded once; the pieces (lengths and checksums, no ids) are dealt into packing groups of about GROUP
-pieces by hash. In a group, best-fit decreasing gives the first grouping; bins that are exactly full stay. If the number
-of bins exceeds a proven lower bound, islands evolve the rest: a child gets whole well-filled bins of a second parent,
-loses its own bins that repeat their pieces, and best-fits the displaced pieces; islands send their elite round a ring.
+pieces by hash. In a group, best-fit decreasing gives the first grouping. A group with more bins than a proven lower bound
+evolves: its ISLANDS are rows of a table, each a population of groupings, bred by tasks of their own; a child gets whole
+well-filled bins of a second parent, loses its own bins that repeat their pieces, and best-fits the displaced pieces.
+After each epoch, a job, every island sends its elite to the next one. Islands whose group reached the bound rest; the
+bound proves that nothing is left to gain. Last, the bins that stayed at most half full are packed across groups.
 
 Cases: a null or empty text is one piece holding the end id alone; a text longer than the capacity is cut into full
 pieces behind a shorter first one; repeated rows are packed each; ties go to the first bin found; an empty table gives
-no rows; other columns are ignored.
+no rows; other columns are ignored. Equal rows are interchangeable: which of them goes where depends on the files.
 """
 
 from __future__ import annotations
@@ -18,20 +20,17 @@ import zlib
 from functools import lru_cache
 
 import numpy as np
-import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .bpe import SPLIT, byte_letters
-from .common import mix, partitions
+from .common import mix, spill
 
 CAPACITY = 2048
 END_ID = 0
 #: Pieces in a packing group, on average.
 GROUP = 8192
-ISLANDS, POPULATION, EPOCHS, GENERATIONS = 2, 4, 3, 4
-#: Pieces of the least-filled bins that evolve; the other bins are kept as best-fit made them.
-EVOLVING = 600
+ISLANDS, POPULATION, EPOCHS, GENERATIONS = 4, 4, 3, 6
 PIECE = "doc_id bigint, piece int, start bigint, length bigint, ids_crc32 bigint, deal bigint"
 
 
@@ -54,18 +53,23 @@ def pieces(docs: DataFrame, path: str, capacity: int = CAPACITY) -> DataFrame:
 
     def run(batches):
         enc = fast_encoder(path)
-        seen = 0
         for batch in batches:
             rows: list[tuple] = []
+            met: dict[tuple, int] = {}
             for doc, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
                 ids = np.append(enc.encode_to_numpy(text, allowed_special="all") if text else np.zeros(0, np.uint32), np.uint32(END_ID)).astype("<u4")
                 cuts = [0, *range(len(ids) % capacity or capacity, len(ids) + 1, capacity)]
                 for k, (a, b) in enumerate(zip(cuts, cuts[1:], strict=False)):
-                    seen += 1
-                    rows.append((doc, k, a, b - a, zlib.crc32(ids[a:b].tobytes()), seen))
+                    row = (doc, k, a, b - a, zlib.crc32(ids[a:b].tobytes()))
+                    met[row] = met.get(row, 0) + 1
+                    rows.append((*row, met[row]))
             cols = list(zip(*rows, strict=True)) or [[]] * 6
             with np.errstate(over="ignore"):
-                salt = mix(np.array(cols[4], np.uint64) * np.uint64(0x9E3779B97F4A7C15) + np.array(cols[5], np.uint64)) >> np.uint64(1)
+                # equal pieces of equal rows are dealt apart by their count in the batch
+                salt = np.array([x or 0 for x in cols[0]], np.int64).view(np.uint64)
+                for c in (1, 4, 5):
+                    salt = mix(salt * np.uint64(0x9E3779B97F4A7C15) + np.array(cols[c], np.uint64))
+                salt = mix(salt) >> np.uint64(1)
             yield pa.RecordBatch.from_arrays(
                 [pa.array(cols[0], pa.int64()), pa.array(cols[1], pa.int32()), *(pa.array(c, pa.int64()) for c in cols[2:5]), pa.array(salt.astype(np.int64))],
                 ["doc_id", "piece", "start", "length", "ids_crc32", "deal"],
@@ -144,73 +148,142 @@ def mutate(bins: list[list[int]], size: list[int], capacity: int, rng: random.Ra
     return best_fit([x for i in gone for x in ranked[i]], size, capacity, [b for i, b in enumerate(ranked) if i not in gone])
 
 
-def evolve(items: list[int], start: list[list[int]], size: list[int], capacity: int, goal: int, seed: int) -> list[list[int]]:
-    """Best grouping found by the islands; ends at once when ``goal`` bins are reached."""
+def founders(size: list[int], capacity: int, seed: int) -> list[list[list[int]]]:
+    """First population of an island: best-fit decreasing, and variants in which a third of the bins is refilled at random."""
     rng = random.Random(seed)
+    start = best_fit(list(range(len(size))), size, capacity)
 
-    def score(b):
-        return _fitness(b, size, capacity)
-
-    def shuffled() -> list[list[int]]:
-        dissolved = set(rng.sample(range(len(start)), max(1, len(start) // 3)))
-        loose = [x for i in dissolved for x in start[i]]
-        bins = [b for i, b in enumerate(start) if i not in dissolved]
-        cut = rng.randrange(len(loose) + 1)
+    def variant() -> list[list[int]]:
+        gone = set(rng.sample(range(len(start)), max(1, len(start) // 3)))
+        loose = [x for i in gone for x in start[i]]
         rng.shuffle(loose)
-        return best_fit(loose[cut:], size, capacity, best_fit(loose[:cut], size, capacity, bins))
-
-    islands = [sorted([start, *(shuffled() for _ in range(POPULATION - 1))], key=score, reverse=True) for _ in range(ISLANDS)]
-    for _ in range(EPOCHS):
-        for pop in islands:
-            for _ in range(GENERATIONS):
-                if len(pop[0]) <= goal:
-                    return pop[0]
-                a, b = rng.sample(pop, 2)
-                child = mutate(cross(a, b, size, capacity, rng), size, capacity, rng)
-                pop.append(child)
-                pop.sort(key=score, reverse=True)
-                pop.pop()
-        elite = [pop[0] for pop in islands]
-        for i, pop in enumerate(islands):
-            pop[-1] = elite[i - 1]
-            pop.sort(key=score, reverse=True)
-    return max((pop[0] for pop in islands), key=score)
-
-
-def pack(size: list[int], capacity: int = CAPACITY, seed: int = 0) -> list[list[int]]:
-    """Bins of piece numbers."""
-    bins = best_fit(list(range(len(size))), size, capacity)
-    goal = lower_bound(size, capacity)
-    if len(bins) <= goal:
-        return bins
-    fill = lambda b: sum(size[x] for x in b)
-    bins.sort(key=fill)
-    n, held = 0, 0
-    while n < len(bins) and held < EVOLVING and fill(bins[n]) < capacity:
-        held += len(bins[n])
-        n += 1
-    loose = [x for b in bins[:n] for x in b]
-    return evolve(loose, bins[:n], size, capacity, goal - (len(bins) - n), seed) + bins[n:]
+        cut = rng.randrange(len(loose) + 1)
+        return best_fit(loose[cut:], size, capacity, best_fit(loose[:cut], size, capacity, [b for i, b in enumerate(start) if i not in gone]))
+
+    return [start, *(variant() for _ in range(POPULATION - 1))]
+
+
+def breed(pop: list[list[list[int]]], size: list[int], capacity: int, goal: int, seed: int) -> list[list[list[int]]]:
+    """The population after an epoch, best first; it ends early when ``goal`` bins are reached."""
+    rng = random.Random(seed)
+    score = lambda b: _fitness(b, size, capacity)
+    pop = sorted(pop, key=score, reverse=True)
+    for _ in range(GENERATIONS):
+        if len(pop[0]) <= goal:
+            break
+        a, b = rng.sample(pop, 2)
+        pop.append(mutate(cross(a, b, size, capacity, rng), size, capacity, rng))
+        pop.sort(key=score, reverse=True)
+        pop.pop()
+    return pop
+
+
+def _numbers(bins: list[list[int]], n: int) -> list[int]:
+    out = [0] * n
+    for i, b in enumerate(bins):
+        for x in b:
+            out[x] = i
+    return out
+
+
+def _bins(numbers: list[int]) -> list[list[int]]:
+    out: list[list[int]] = [[] for _ in range(max(numbers, default=-1) + 1)]
+    for x, i in enumerate(numbers):
+        out[i].append(x)
+    return [b for b in out if b]
+
+
+ISLAND = "grp bigint, island int, goal int, bins int, size array<int>, pop array<array<int>>"
+
+
+def islands_of(dealt: DataFrame, capacity: int) -> DataFrame:
+    """(grp, rows, size, numbers, bins, goal): each group's pieces in a fixed order and their best-fit bins."""
+    ordered = F.array_sort(F.collect_list(F.struct("deal", "doc_id", "piece", "start", "length", "ids_crc32")))
+    grouped = dealt.groupBy("grp").agg(ordered.alias("rows")).withColumn("size", F.transform("rows", lambda r: r["length"].cast("int")))
+    import pyarrow as pa
+
+    def run(batches):
+        for batch in batches:
+            numbers, bins, goal = [], [], []
+            for size in batch.column("size").to_pylist():
+                found = best_fit(list(range(len(size))), size, capacity)
+                numbers.append(_numbers(found, len(size)))
+                bins.append(len(found))
+                goal.append(lower_bound(size, capacity))
+            yield pa.RecordBatch.from_arrays([batch.column("grp"), batch.column("rows"), batch.column("size"), pa.array(numbers, pa.list_(pa.int32())), pa.array(bins, pa.int32()), pa.array(goal, pa.int32())], ["grp", "rows", "size", "numbers", "bins", "goal"])
+
+    piece = "array<struct<deal:bigint,doc_id:bigint,piece:int,start:bigint,length:bigint,ids_crc32:bigint>>"
+    return grouped.select("grp", "rows", "size").mapInArrow(run, f"grp bigint, rows {piece}, size array<int>, numbers array<int>, bins int, goal int")
+
+
+def evolve(open_: DataFrame, capacity: int, epochs: int = EPOCHS) -> DataFrame:
+    """(grp, bins, numbers): the best grouping that the islands of each (grp, size, goal) row find."""
+    import pyarrow as pa
+
+    def epoch(number: int):
+        def run(batches):
+            for batch in batches:
+                out = []
+                for r in batch.to_pylist():
+                    size, seed = r["size"], hash((r["grp"], r["island"], number))
+                    pop = [_bins(x) for x in r["pop"]] if r["pop"] else founders(size, capacity, seed)
+                    pop = breed(pop, size, capacity, r["goal"], seed)
+                    out.append(r | {"bins": len(pop[0]), "pop": [_numbers(b, len(size)) for b in pop]})
+                yield pa.RecordBatch.from_pylist(out, schema=batch.schema)
+
+        return run
+
+    rows = open_.select("grp", F.explode(F.sequence(F.lit(0), F.lit(ISLANDS - 1))).alias("island"), "goal", F.lit(0).alias("bins"), "size", F.array().cast("array<array<int>>").alias("pop"))
+    rows = spill(rows.repartition("grp", "island").mapInArrow(epoch(0), ISLAND))
+    for number in range(1, epochs):
+        done = rows.where("bins <= goal").select("grp").distinct()
+        busy = rows.join(done, "grp", "left_anti")
+        if busy.isEmpty():
+            break
+        # the elite of island i takes the place of the worst of island i + 1
+        elite = busy.select("grp", F.pmod(F.col("island") + 1, F.lit(ISLANDS)).cast("int").alias("island"), F.col("pop")[0].alias("elite"))
+        met = busy.join(elite, ["grp", "island"]).withColumn("pop", F.concat(F.slice("pop", 1, POPULATION - 1), F.array("elite")))
+        bred = met.select("grp", "island", "goal", "bins", "size", "pop").repartition("grp", "island").mapInArrow(epoch(number), ISLAND)
+        rows = spill(bred.unionByName(rows.join(done, "grp", "left_semi")), rows)
+    best = rows.groupBy("grp").agg(F.min_by(F.struct("bins", F.col("pop")[0].alias("numbers")), F.struct("bins", "island")).alias("x"))
+    return best.select("grp", "x.bins", "x.numbers")
 
 
 def pack_pieces(dealt: DataFrame, count: int, capacity: int = CAPACITY) -> DataFrame:
     """Pieces with sequence_id and offset; ``count`` (documents) sets the number of groups."""
     groups = max(1, round(count / GROUP))
+    first = spill(islands_of(dealt.withColumn("grp", F.pmod("deal", F.lit(groups))), capacity))
+    better = evolve(first.where("bins > goal"), capacity).select("grp", F.col("numbers").alias("evolved"))
+    final = first.join(better, "grp", "left").select("grp", "rows", F.coalesce("evolved", "numbers").alias("numbers"))
+    pieces_ = final.select("grp", F.explode(F.arrays_zip("rows", "numbers")).alias("z")).select("grp", F.col("z.numbers").alias("bin"), "z.rows.*")
+    fill = pieces_.groupBy("grp", "bin").agg(F.sum("length").alias("fill"))
+    merged = _merge_loose(fill.where(F.col("fill") <= capacity // 2), capacity)
+    placed = pieces_.join(merged, ["grp", "bin"], "left")
+    # sequence ids: the group's own bins, or negative numbers for bins merged across groups
+    own = F.col("grp") * F.lit(1 << 20) + F.col("bin")
+    in_bin = Window.partitionBy("grp", "bin").orderBy("deal", "doc_id", "piece", "start").rowsBetween(Window.unboundedPreceding, -1)
+    offset = F.coalesce(F.sum("length").over(in_bin), F.lit(0)) + F.coalesce("base", F.lit(0))
+    return placed.select("doc_id", "piece", "start", "length", "ids_crc32", F.coalesce("merged", own).cast("bigint").alias("sequence_id"), offset.cast("bigint").alias("offset"))
+
+
+def _merge_loose(loose: DataFrame, capacity: int) -> DataFrame:
+    """(grp, bin, merged, base): bins at most half full (one for each group, about) packed together, best fit again."""
+    import pyarrow as pa
 
-    def run(pdf: pd.DataFrame) -> pd.DataFrame:
-        pdf = pdf.sort_values(["deal", "doc_id", "piece"], kind="stable").reset_index(drop=True)
-        size = pdf["length"].tolist()
-        sequence, offset = np.zeros(len(size), np.int64), np.zeros(len(size), np.int64)
-        group = int(pdf["group"].iloc[0])
-        for i, b in enumerate(pack(size, capacity, group)):
+    def run(table: pa.Table) -> pa.Table:
+        table = table.sort_by([("grp", "ascending"), ("bin", "ascending")])
+        size = table.column("fill").to_pylist()
+        number, base = [0] * len(size), [0] * len(size)
+        deal = table.column("deal")[0].as_py()
+        for i, b in enumerate(best_fit(list(range(len(size))), size, capacity)):
             at = 0
             for x in b:
-                sequence[x], offset[x] = (group << 32) + i, at
+                number[x], base[x] = -1 - ((deal << 20) + i), at
                 at += size[x]
-        return pdf.assign(sequence_id=sequence, offset=offset)[["doc_id", "piece", "start", "length", "ids_crc32", "sequence_id", "offset"]]
+        return pa.table({"grp": table.column("grp"), "bin": table.column("bin"), "merged": pa.array(number, pa.int64()), "base": pa.array(base, pa.int64())})
 
-    with_group = dealt.withColumn("group", F.pmod("deal", F.lit(groups))).repartition(max(partitions(dealt.sparkSession), 1), "group")
-    return with_group.groupBy("group").applyInPandas(run, "doc_id bigint, piece int, start bigint, length bigint, ids_crc32 bigint, sequence_id bigint, offset bigint")
+    dealt = loose.withColumn("deal", F.expr(f"grp div {GROUP}"))
+    return dealt.groupBy("deal").applyInArrow(run, "grp bigint, bin int, merged bigint, base bigint")
 
 
 def pack_documents(docs: DataFrame, path: str, capacity: int = CAPACITY) -> DataFrame:

@@ -1,8 +1,9 @@
 """Quality rules with adaptive thresholds: mergeable quantile sketches for each language and source.
 
 Each measure is an integer and falls into a log-linear bucket (relative width 1/32); bucket counts of a group are its
-sketch. Counts add up, so sketches merge exactly in any order: partial aggregation merges them before the shuffle, and a
-small group borrows the merged sketch of its language, then of the whole corpus.
+sketch. Counts add up, so sketches merge exactly in any order: partial aggregation merges them before the shuffle. Each
+quantile of a group is drawn towards that of its language, and this one towards that of the whole corpus, with the weight
+of SHRINK documents: large groups follow their own sketch, small ones are steadied by the wider ones.
 
 Cases: null or empty text has no words and fails the base rule; a null language or source is a group of its own; ties
 fall into one bucket; repeated rows count each; an empty table gives no rows; other columns are ignored by ``measure``
@@ -27,12 +28,13 @@ MAX_REPEAT_PERCENT = 20
 WINDOW = 5
 #: Sub-buckets of a power of two: thresholds are exact to 1/32.
 SUB = 32
-#: Groups with fewer documents take the next wider sketch.
-MIN_GROUP = 200
+#: Documents' worth of the wider sketch in each quantile of a group.
+SHRINK = 100
 #: (measure, side, least spread): a document leaves when it is beyond median -/+ REACH spreads on that side.
-#: A spread is the distance from the median to the quartile on that side, or the least spread if that is larger.
-RULES = (("symbol_rate", "high", 100), ("mark_rate", "high", 300), ("word_len", "high", 60), ("word_len", "low", 60), ("dup_line_rate", "high", 1000), ("stutter_rate", "high", 400))
-REACH = 5
+#: A spread is the distance from the median to the quartile on that side. The least spread takes its place where most
+#: documents have the same value, as with measures that are 0 in clean text.
+RULES = (("symbol_rate", "high", 30), ("mark_rate", "high", 100), ("word_len", "high", 15), ("word_len", "low", 15), ("dup_line_rate", "high", 300), ("stutter_rate", "high", 80))
+REACH = 16
 DIGEST = "n_words bigint, word_chars bigint, n_symbols bigint, n_dup_lines bigint, n_repeat_words bigint, n_lines bigint, n_marked bigint, n_stutter bigint"
 
 _SYMBOL = np.zeros(256, bool)
@@ -132,9 +134,10 @@ def limits(sketch: DataFrame) -> DataFrame:
     all_ = quantiles(sketch.withColumn("all", F.lit(1)), ["all"])
     wider = lambda df, p: df.select(*[c for c in df.columns if c.startswith("group")], "measure", *[F.col(c).alias(f"{p}_{c}") for c in ("total", "q25", "q50", "q75")])
     got = source.join(wider(lang, "l"), ["group_lang", "measure"]).join(wider(all_, "a"), ["measure"])
-    level = F.when(F.col("total") >= MIN_GROUP, "own").when(F.col("l_total") >= MIN_GROUP, "lang").otherwise("all")
-    pick = lambda q: F.when(F.col("level") == "own", F.col(q)).when(F.col("level") == "lang", F.col(f"l_{q}")).otherwise(F.col(f"a_{q}"))
-    got = got.withColumn("level", level).select("group_lang", "group_source", "measure", *[pick(q).alias(q) for q in ("q25", "q50", "q75")])
+    drawn = lambda total, q, towards: F.expr(f"({total} * {q} + {SHRINK} * ({towards})) div ({total} + {SHRINK})")
+    for q in ("q25", "q50", "q75"):
+        got = got.withColumn(f"l_{q}", drawn("l_total", f"l_{q}", f"a_{q}"))
+        got = got.withColumn(q, drawn("total", q, f"l_{q}"))
     cols = []
     for m, side, least in RULES:
         spread = F.greatest(F.col("q75") - F.col("q50") if side == "high" else F.col("q50") - F.col("q25"), F.lit(least))
