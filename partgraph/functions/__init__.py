@@ -1 +1 @@
-
+"""Functions of the library that Spark does not have."""
