@@ -4,8 +4,8 @@ A line leaves when an earlier line (by doc_id, then a hash of the document, then
 one edit for each MIN_CHARS / THRESHOLD code points of the shorter line, THRESHOLD at most. All lines that hold a word
 take part; lines too short for an edit leave as exact copies. Two lines within t edits share one of t + 1 segments: every
 line indexes its segments by (length class, segment, content) and probes the substrings that can match one in its class.
-Signatures that only one line has go first; hot ones are salted. Candidates pass a letter-count filter inside the join
-and a banded bit-parallel edit distance: the band of a column is one integer, moved along the diagonal.
+Signatures that only one line has go first; hot ones are salted. Candidates pass a length filter inside the join and a
+banded bit-parallel edit distance: the band of a column is one integer, moved along the diagonal.
 
 No text travels with a signature. Texts are shuffled once, by document, for the candidates and for the final cut.
 
@@ -19,53 +19,43 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import WORD_PATTERN, spill
+from .common import forget, spill
 
 THRESHOLD = 2
 #: Code points from which a line may differ by THRESHOLD edits.
 MIN_CHARS = 30
-#: Letters whose counts (up to 2 ** BITS - 1) are compared before the edit distance; any letters give right results.
-LETTERS = "etni"
-BITS = 7
 #: Lengths of a class differ by this factor at most.
 GROWTH = 1.25
 #: Entries of a signature that one task pairs with all others of that signature.
 SPLIT = 1024
 
 
-def signatures(wide: Column, n: Column, c: Column, low: int, t: int) -> Column:
-    """Signatures of a line (``wide``: four bytes a code point) in the length class ``c``; the lowest bit marks those that
-    the line indexes, the others are probes only.
+def _places(n: Column, size: Column, t: int) -> Column:
+    """Where segments and what may equal them start: (at, code) structs; the lowest bit of ``code`` marks a line's own
+    segments, which it indexes, the others are probes only.
 
-    Lines of a class have t + 1 segments of one size. Two lines within t edits share a segment i that has at most i edits
-    to its left and t - i to its right: it is looked for near its place from the start, or, in the second half, from the end.
+    Lines of a length class have t + 1 segments of one size. Two lines within t edits share a segment i that has at most i
+    edits to its left and t - i to its right: it is looked for near its place from the start, or, in the second half, from
+    the end.
     """
-    size = F.floor((F.floor(low * F.pow(F.lit(GROWTH), c)) - t - 1) / (t + 1)).cast("int")
     out = []
     for i in range(t + 1):
         reach = min(i, t - i)
         for shift in range(-reach, reach + 1):
             at = (size * i if 2 * i <= t else n - size * (t + 1 - i)) + shift
-            value = F.xxhash64(F.substring(wide, at * 4 + 1, size * 4), c * 64 + (i * 8 + t))
-            out.append(F.when((at >= 0) & (at + size <= n), F.shiftleft(value, 1).bitwiseOR(F.lit(int(shift == 0)).cast("bigint"))))
+            out.append(F.struct(at.cast("int").alias("at"), F.lit((i * 8 + t) * 2 + int(shift == 0)).alias("code")))
     return F.array(*out)
 
 
+def _size(c: Column, low: int, t: int) -> Column:
+    return F.floor((F.floor(low * F.pow(F.lit(GROWTH), c)) - t - 1) / (t + 1)).cast("int")
+
+
 def _class(n: Column, low: int) -> Column:
     """Length class: lines of like length; their segments are cut for the shortest of them."""
     return F.floor(F.log(n / low) / F.log(F.lit(GROWTH))).cast("int")
 
 
-def _letter_counts(line: Column, n: Column) -> Column:
-    top = F.lit((1 << BITS) - 1)
-    return sum((F.shiftleft(F.least(n - F.char_length(F.replace(line, F.lit(c), F.lit(""))), top).cast("bigint"), BITS * i + 1) for i, c in enumerate(LETTERS)), F.lit(0).cast("bigint"))
-
-
-def _apart(a: Column, b: Column) -> Column:
-    part = lambda x, i: F.shiftright(x, BITS * i + 1).bitwiseAND(F.lit((1 << BITS) - 1))
-    return sum((F.abs(part(a, i) - part(b, i)) for i in range(len(LETTERS))), F.lit(0).cast("bigint"))
-
-
 def _trimmed(a: Column, b: Column, most: int = 20) -> Column:
     """Code points that two strings share at their start, found by halving steps (up to 2 ** most)."""
     short = F.least(F.char_length(a), F.char_length(b))
@@ -137,44 +127,39 @@ def _keyed(docs: DataFrame) -> DataFrame:
 def lines_of(keyed: DataFrame) -> DataFrame:
     """(k, c, doc_id, pos, line, lh, lc): the lines that take part; lh and lc name a line."""
     rows = keyed.select("k", "c", "doc_id", F.posexplode(F.split("text", "\n", -1)).alias("pos", "line"))
-    return rows.where(F.col("line").rlike(WORD_PATTERN)).select("*", F.xxhash64("line").alias("lh"), F.crc32("line").alias("lc"))
+    return rows.where(F.ltrim("line", F.lit(" \t\n\v\f\r")) != "").select("*", F.xxhash64("line").alias("lh"), F.crc32("line").alias("lc"))
 
 
 def candidate_pairs(lines: DataFrame, t: int, min_chars: int) -> DataFrame:
-    """(a, b): hashes of lines that share a signature and have like letters, once each, a < b."""
-    n = F.char_length("line")
-    wide = lines.select("lh", "line", n.alias("n")).where(F.col("n") >= -(-min_chars // t))
-    wide = wide.select("lh", "n", F.encode("line", "UTF-32").alias("wide"), _letter_counts(F.col("line"), F.col("n")).alias("letters"))
+    """(a, b), spilled: hashes of lines that share a signature and are about equally long, once each, a < b."""
+    wide = lines.select("lh", "line", F.char_length("line").alias("n")).where(F.col("n") >= -(-min_chars // t))
+    wide = wide.select("lh", "n", F.encode("line", "UTF-32").alias("wide"))
     lists = []
     for k in range(1, t + 1):
         low, high = -(-k * min_chars // t), -(-(k + 1) * min_chars // t) - 1 + k
         fits = (F.col("n") >= low) & (F.lit(k == t) | (F.col("n") <= high))
         # a line joins the class of lines that are longer by k edits, too, so that no pair is parted by a border
         own, next_ = _class(F.col("n"), low), _class(F.col("n") + k, low)
-        lists += [F.when(fits & ok, F.struct(c.alias("c"), F.lit(k).alias("k"))) for c, ok in ((own, F.lit(True)), (next_, next_ != own))]
-    rows = wide.select("lh", "n", "wide", "letters", F.explode(F.array(*lists)).alias("x")).where("x is not null")
-    of = lambda k: signatures(F.col("wide"), F.col("n"), F.col("x.c"), -(-k * min_chars // t), k)
-    signs = of(t)
+        for c, ok in ((own, F.lit(True)), (next_, next_ != own)):
+            lists.append(F.when(fits & ok, F.struct(c.alias("c"), F.lit(k).alias("k"), _size(c, low, k).alias("size"))))
+    rows = wide.select("lh", "n", "wide", F.explode(F.array(*lists)).alias("x")).where("x is not null").select("lh", "n", "wide", "x.*")
+    places = _places(F.col("n"), F.col("size"), t)
     for k in range(1, t):
-        signs = F.when(F.col("x.k") == k, of(k)).otherwise(signs)
-    rows = rows.select("lh", "letters", F.explode(signs).alias("s")).where("s is not null")
-    rows = rows.select(F.shiftright("s", 1).alias("sign"), "lh", F.col("letters").bitwiseOR(F.col("s").bitwiseAND(F.lit(1))).alias("mark"))
+        places = F.when(F.col("k") == k, _places(F.col("n"), F.col("size"), k)).otherwise(places)
+    rows = rows.select("lh", "n", "wide", "c", "size", F.explode(places).alias("p")).select("*", "p.at", "p.code")
+    rows = rows.where((F.col("at") >= 0) & (F.col("at") + F.col("size") <= F.col("n")))
+    sign = F.xxhash64(F.substring("wide", F.col("at") * 4 + 1, F.col("size") * 4), F.col("c") * 64 + F.shiftright("code", 1))
+    rows = rows.select(sign.alias("sign"), "lh", (F.col("n") * 2 + F.col("code").bitwiseAND(F.lit(1))).alias("mark"))
     dealt = rows.repartition("sign")
     own = F.col("mark").bitwiseAND(F.lit(1))
     met = dealt.groupBy("sign").agg(F.min("lh").alias("low"), F.max("lh").alias("high"), F.max(own).alias("any_own"), F.count("*").alias("met"))
     met = met.where("low <> high and any_own = 1").select("sign", F.ceil(F.col("met") / SPLIT).cast("int").alias("splits"))
-    left = dealt.join(met.hint("shuffle_hash"), "sign")
-
-    def paired(index: DataFrame, probe: DataFrame, keys: list[str]) -> DataFrame:
-        x = index.where(own == 1).select(*keys, F.col("lh").alias("x"), F.col("mark").alias("x_mark"))
-        y = probe.select(*keys, F.col("lh").alias("y"), F.col("mark").alias("y_mark"))
-        alike = (F.col("x") != F.col("y")) & (_apart(F.col("x_mark"), F.col("y_mark")) <= 2 * t)
-        return y.join(x.hint("shuffle_hash"), keys).where(alike).select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b"))
-
-    some, hot = left.where("splits = 1"), left.where("splits > 1")
-    salted = hot.withColumn("salt", F.pmod(F.xxhash64("lh"), F.col("splits")).cast("int"))
-    spread = hot.withColumn("salt", F.explode(F.sequence(F.lit(0), F.col("splits") - 1)))
-    return paired(some, some, ["sign"]).unionByName(paired(salted, spread, ["sign", "salt"])).distinct()
+    left = spill(dealt.join(met.hint("shuffle_hash"), "sign"))
+    index = left.where(own == 1).select("sign", F.pmod(F.xxhash64("lh"), F.col("splits")).cast("int").alias("salt"), F.col("lh").alias("x"), F.col("mark").alias("x_mark"))
+    probe = left.select("sign", F.explode(F.sequence(F.lit(0), F.col("splits") - 1)).alias("salt"), F.col("lh").alias("y"), F.col("mark").alias("y_mark"))
+    alike = (F.col("x") != F.col("y")) & (F.abs(F.shiftright("x_mark", 1) - F.shiftright("y_mark", 1)) <= t)
+    pairs = index.join(probe, ["sign", "salt"]).where(alike).select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b"))
+    return spill(pairs.distinct(), left)
 
 
 def _with_text(keyed: DataFrame, rows: DataFrame, *columns: str, how: str = "inner") -> DataFrame:
@@ -184,11 +169,11 @@ def _with_text(keyed: DataFrame, rows: DataFrame, *columns: str, how: str = "inn
 
 
 def similar_lines(keyed: DataFrame, places: DataFrame, t: int = THRESHOLD, min_chars: int = MIN_CHARS) -> tuple[DataFrame, DataFrame]:
-    """((first, lh, lc) of the later and ``other`` first of the earlier line of each near pair; the spilled candidates).
+    """((earlier, later) structs (first, lh, lc) of each near pair; the spilled candidates).
 
     ``places`` holds (lh, lc, first): where each distinct line stands first.
     """
-    pairs = spill(candidate_pairs(lines_of(keyed), t, min_chars))
+    pairs = candidate_pairs(lines_of(keyed), t, min_chars)
     wanted = pairs.select(F.explode(F.array("a", "b")).alias("lh")).distinct()
     at = places.join(wanted, "lh", "left_semi").select("lh", "lc", "first", "first.k", "first.c")
     held = at.groupBy("k", "c").agg(F.collect_list(F.struct("lh", "lc", "first")).alias("wanted"))
@@ -202,13 +187,16 @@ def similar_lines(keyed: DataFrame, places: DataFrame, t: int = THRESHOLD, min_c
 
 def removed_lines(keyed: DataFrame, t: int = THRESHOLD, min_chars: int = MIN_CHARS) -> DataFrame:
     """(k, c, removed): places of the lines that leave, for the documents that lose any."""
-    occurrences = lines_of(keyed).select("lh", "lc", F.struct("doc_id", "k", "c", "pos").alias("place"))
-    lines = occurrences.groupBy("lh", "lc").agg(F.min("place").alias("first"), F.max("place").alias("last"))
+    occurrences = spill(lines_of(keyed).select("lh", "lc", "doc_id", "k", "c", "pos"))
+    place = F.struct("doc_id", "k", "c", "pos")
+    lines = spill(occurrences.groupBy("lh", "lc").agg(F.min(place).alias("first"), F.max(place).alias("last")))
     found, pairs = similar_lines(keyed, lines.select("lh", "lc", "first"), t, min_chars)
     later = spill(found.select("later.lh", "later.lc").distinct(), pairs).withColumn("gone", F.lit(True))
     decided = lines.join(later, ["lh", "lc"], "left").where(F.col("gone") | (F.col("first") != F.col("last"))).select("lh", "lc", "first", F.coalesce("gone", F.lit(False)).alias("gone"))
-    leaving = occurrences.join(decided, ["lh", "lc"]).where(F.col("gone") | (F.col("place") != F.col("first")))
-    return leaving.groupBy("place.k", "place.c").agg(F.collect_set("place.pos").alias("removed"))
+    leaving = occurrences.join(decided, ["lh", "lc"]).where(F.col("gone") | (place != F.col("first")))
+    removed = spill(leaving.groupBy("k", "c").agg(F.collect_set("pos").alias("removed")), lines)
+    forget(occurrences)
+    return removed
 
 
 def dedup_lines(docs: DataFrame, t: int = THRESHOLD, min_chars: int = MIN_CHARS) -> DataFrame:

@@ -54,6 +54,10 @@ class Sparse:
     def __init__(self, row: np.ndarray, col: np.ndarray, rows: int, cols: int):
         self.row, self.col, self.rows, self.cols = row, col, rows, cols
 
+    @classmethod
+    def of(cls, x: np.ndarray | Sparse) -> Sparse:
+        return x if isinstance(x, Sparse) else cls(*np.nonzero(x), *x.shape)
+
     def times(self, w: np.ndarray) -> np.ndarray:
         return np.bincount(self.row, w[self.col], self.rows) + w[-1]
 
@@ -61,8 +65,9 @@ class Sparse:
         return np.append(np.bincount(self.col, g[self.row], self.cols), g.sum())
 
 
-def fit_nnpu(pos: Sparse, unl: Sparse, prior: float) -> tuple[np.ndarray, float]:
-    """Weights and bias of the least non-negative risk under the logistic loss (Adam, full batches)."""
+def fit_nnpu(pos: Sparse | np.ndarray, unl: Sparse | np.ndarray, prior: float) -> tuple[np.ndarray, float]:
+    """Weights and bias of the least non-negative risk under the logistic loss (Adam, full batches); rows of flags."""
+    pos, unl = Sparse.of(pos), Sparse.of(unl)
     w = np.zeros(pos.cols + 1)
     m, v = np.zeros_like(w), np.zeros_like(w)
     sig = lambda z: 1 / (1 + np.exp(-np.clip(z, -40, 40)))
