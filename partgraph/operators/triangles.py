@@ -128,11 +128,11 @@ def _with_kernel(owned: DataFrame, count: bool, cap: int) -> DataFrame:
         return pa.concat_tables(out) if out else pa.table({"a": pa.array([], pa.int64()), "b": pa.array([], pa.int64()), "c": pa.array([], pa.int64()), "tri_type": pa.array([], pa.string())})
 
     schema = "tri_type string, triangles bigint" if count else TYPED
-    sizes = rows.groupBy("sg").agg(F.count("*").alias("n"))
-    small = rows.join(sizes.where(F.col("n") <= cap).select("sg"), "sg", "left_semi")
-    done = small.groupBy("sg").applyInArrow(run, schema)
-    big = sizes.where(F.col("n") > cap).select(F.col("sg").alias("src_sg"))
-    rest = _local_types(owned.where(inner).join(big, "src_sg", "left_semi"), owned.where(~inner))
+    big = spill(rows.groupBy("sg").agg(F.count("*").alias("n")).where(F.col("n") > cap).select("sg"))
+    if big.isEmpty():
+        return rows.groupBy("sg").applyInArrow(run, schema)
+    done = rows.join(big, "sg", "left_anti").groupBy("sg").applyInArrow(run, schema)
+    rest = _local_types(owned.where(inner).join(big.withColumnRenamed("sg", "src_sg"), "src_sg", "left_semi"), owned.where(~inner))
     return done.unionByName(rest.groupBy("tri_type").agg(F.count("*").alias("triangles")) if count else rest)
 
 

@@ -12,10 +12,12 @@ from ..storage import spill
 
 @dataclass(frozen=True)
 class PartitionedGraph:
-    """``vertices`` (vid, sg) and ``edges`` (src, dst, weight), src < dst, each pair once."""
+    """``vertices`` (vid, sg) and ``edges`` (src, dst, weight), src < dst, each pair once; ``owned``: edges with the owners
+    of their ends, where these are stored."""
 
     vertices: DataFrame
     edges: DataFrame
+    owned: DataFrame | None = None
 
     def with_partition(self, sg) -> PartitionedGraph:
         """The same graph under another owner of each vertex, given as a column of ``vid``."""
@@ -23,13 +25,17 @@ class PartitionedGraph:
 
     def owned_edges(self) -> DataFrame:
         """(src, dst, weight, src_sg, dst_sg)."""
+        if self.owned is not None:
+            return self.owned
         v = self.vertices
         a, b = v.select(F.col("vid").alias("src"), F.col("sg").alias("src_sg")), v.select(F.col("vid").alias("dst"), F.col("sg").alias("dst_sg"))
         return self.edges.join(a, "src").join(b, "dst").select("src", "dst", "weight", "src_sg", "dst_sg")
 
     def stored(self) -> PartitionedGraph:
-        """The same graph written once to the shared folder, so that loops and branches do not derive it again."""
-        return PartitionedGraph(spill(self.vertices.select("vid", "sg")), spill(self.edges.select("src", "dst", "weight")))
+        """The same graph written once to the shared folder, edges with their owners, as a partitioner leaves it."""
+        vertices, edges = spill(self.vertices.select("vid", "sg")), spill(self.edges.select("src", "dst", "weight"))
+        owned = spill(PartitionedGraph(vertices, edges).owned_edges(), edges)
+        return PartitionedGraph(vertices, owned.select("src", "dst", "weight"), owned)
 
     def half_edges(self) -> DataFrame:
         """(u, v, weight): both directions."""
