@@ -4,20 +4,21 @@ from __future__ import annotations
 
 import pandas as pd
 from pyspark.sql.functions import pandas_udf, udtf
+from pyspark.sql.types import DoubleType, LongType, StringType, StructType
 
 
-@pandas_udf("string")
+@pandas_udf(StringType())
 def edge_id(src: pd.Series, dst: pd.Series) -> pd.Series:
     """Text name of an edge."""
     return src.astype(str) + "-" + dst.astype(str)
 
 
-@pandas_udf("bigint")
+@pandas_udf(LongType())
 def edge_code(src: pd.Series, dst: pd.Series) -> pd.Series:
     return src * 1000 + dst
 
 
-@pandas_udf("double")
+@pandas_udf(DoubleType())
 def gini(values: pd.Series) -> float:
     """Gini coefficient of non-negative values; 0 where all are equal or none is positive."""
     x = values.sort_values().to_numpy(dtype=float)
@@ -25,7 +26,7 @@ def gini(values: pd.Series) -> float:
     return float(((2 * pd.RangeIndex(1, n + 1).to_numpy() - n - 1) * x).sum() / (n * total)) if total else 0.0
 
 
-@udtf(returnType="vid bigint, a bigint, b bigint")
+@udtf(returnType=StructType().add("vid", LongType()).add("a", LongType()).add("b", LongType()))
 class NeighbourPairs:
     """Pairs a < b of a vertex's sorted neighbours."""
 
@@ -35,7 +36,7 @@ class NeighbourPairs:
                 yield vid, a, b
 
 
-@udtf(returnType="vid bigint, degree bigint")
+@udtf(returnType=StructType().add("vid", LongType()).add("degree", LongType()))
 class GraphDegree:
     """Rows of each vertex in a table of edge ends, partitioned by vertex."""
 
