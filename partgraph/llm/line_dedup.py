@@ -4,8 +4,9 @@ A line leaves when an earlier line (by doc_id, then a hash of the document, then
 one edit for each MIN_CHARS / THRESHOLD code points of the shorter line, THRESHOLD at most. All lines that hold a word
 take part; lines too short for an edit leave as exact copies. Two lines within t edits share one of t + 1 segments: every
 line indexes its segments by (length class, segment, content) and probes the substrings that can match one in its class.
-Signatures that only one line has go first; hot ones are salted. Candidates pass a length filter inside the join and a
-banded bit-parallel edit distance: the band of a column is one integer, moved along the diagonal.
+Signatures that only one line has go first; hot ones are salted. Candidates pass a filter by length and by letters held an
+odd number of times inside the join, and then a banded bit-parallel edit distance: the band of a column is one integer,
+moved along the diagonal.
 
 No text travels with a signature. Texts are shuffled once, by document, for the candidates and for the final cut.
 
@@ -130,8 +131,9 @@ def lines_of(keyed: DataFrame) -> DataFrame:
     return rows.where(F.ltrim("line", F.lit(" \t\n\v\f\r")) != "").select("*", F.xxhash64("line").alias("lh"), F.crc32("line").alias("lc"))
 
 
-def candidate_pairs(lines: DataFrame, t: int, min_chars: int) -> DataFrame:
-    """(a, b), spilled: hashes of lines that share a signature and are about equally long, once each, a < b."""
+def shared_signatures(lines: DataFrame, t: int, min_chars: int) -> DataFrame:
+    """(sign, lh, mark, splits), spilled: the signatures that several lines have. ``mark`` holds the line's length and, in
+    its lowest bit, whether the line indexes the signature; ``splits`` is in how many parts those are joined."""
     wide = lines.select("lh", "line", F.char_length("line").alias("n")).where(F.col("n") >= -(-min_chars // t))
     wide = wide.select("lh", "n", F.encode("line", "UTF-32").alias("wide"))
     lists = []
@@ -154,12 +156,25 @@ def candidate_pairs(lines: DataFrame, t: int, min_chars: int) -> DataFrame:
     own = F.col("mark").bitwiseAND(F.lit(1))
     met = dealt.groupBy("sign").agg(F.min("lh").alias("low"), F.max("lh").alias("high"), F.max(own).alias("any_own"), F.count("*").alias("met"))
     met = met.where("low <> high and any_own = 1").select("sign", F.ceil(F.col("met") / SPLIT).cast("int").alias("splits"))
-    left = spill(dealt.join(met.hint("shuffle_hash"), "sign"))
-    index = left.where(own == 1).select("sign", F.pmod(F.xxhash64("lh"), F.col("splits")).cast("int").alias("salt"), F.col("lh").alias("x"), F.col("mark").alias("x_mark"))
-    probe = left.select("sign", F.explode(F.sequence(F.lit(0), F.col("splits") - 1)).alias("salt"), F.col("lh").alias("y"), F.col("mark").alias("y_mark"))
-    alike = (F.col("x") != F.col("y")) & (F.abs(F.shiftright("x_mark", 1) - F.shiftright("y_mark", 1)) <= t)
-    pairs = index.join(probe, ["sign", "salt"]).where(alike).select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b"))
-    return spill(pairs.distinct(), left)
+    return spill(dealt.join(met.hint("shuffle_hash"), "sign"))
+
+
+def _odd_letters(line: Column) -> Column:
+    """64 bits: which characters (by code modulo 64) a line holds an odd number of times; an edit changes two at most."""
+    flip = lambda x, c: x.bitwiseXOR(F.call_function("shiftleft", F.lit(1).cast("bigint"), F.pmod(F.ascii(c), F.lit(64))))
+    return F.aggregate(F.split(line, ""), F.lit(0).cast("bigint"), flip)
+
+
+def candidate_pairs(shared: DataFrame, odd: DataFrame, t: int) -> DataFrame:
+    """(a, b): hashes of lines that share a signature, once each, a < b. Lines whose lengths or odd letters (lh, odd) tell
+    that they are further apart than ``t`` do not leave the join."""
+    rows = shared.join(odd, "lh")
+    own = F.col("mark").bitwiseAND(F.lit(1)) == 1
+    index = rows.where(own).select("sign", F.pmod(F.xxhash64("lh"), F.col("splits")).cast("int").alias("salt"), F.col("lh").alias("x"), F.col("mark").alias("x_mark"), F.col("odd").alias("x_odd"))
+    probe = rows.select("sign", F.explode(F.sequence(F.lit(0), F.col("splits") - 1)).alias("salt"), F.col("lh").alias("y"), F.col("mark").alias("y_mark"), F.col("odd").alias("y_odd"))
+    alike = (index["sign"] == probe["sign"]) & (index["salt"] == probe["salt"]) & (F.col("x") != F.col("y"))
+    alike &= (F.abs(F.shiftright("x_mark", 1) - F.shiftright("y_mark", 1)) <= t) & (F.bit_count(F.col("x_odd").bitwiseXOR(F.col("y_odd"))) <= 2 * t)
+    return index.join(probe, alike).select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct()
 
 
 def _with_text(keyed: DataFrame, rows: DataFrame, *columns: str, how: str = "inner") -> DataFrame:
@@ -168,21 +183,23 @@ def _with_text(keyed: DataFrame, rows: DataFrame, *columns: str, how: str = "inn
     return keyed.join(right, (keyed["k"] == right["__k"]) & (keyed["c"] == right["__c"]), how).drop("__k", "__c")
 
 
-def similar_lines(keyed: DataFrame, places: DataFrame, t: int = THRESHOLD, min_chars: int = MIN_CHARS) -> tuple[DataFrame, DataFrame]:
-    """((earlier, later) structs (first, lh, lc) of each near pair; the spilled candidates).
+def similar_lines(keyed: DataFrame, places: DataFrame, t: int = THRESHOLD, min_chars: int = MIN_CHARS) -> tuple[DataFrame, list[DataFrame]]:
+    """((earlier, later) structs (first, lh, lc) of each near pair; the spilled tables it reads).
 
     ``places`` holds (lh, lc, first): where each distinct line stands first.
     """
-    pairs = candidate_pairs(lines_of(keyed), t, min_chars)
-    wanted = pairs.select(F.explode(F.array("a", "b")).alias("lh")).distinct()
+    shared = shared_signatures(lines_of(keyed), t, min_chars)
+    wanted = shared.select("lh").distinct()
     at = places.join(wanted, "lh", "left_semi").select("lh", "lc", "first", "first.k", "first.c")
     held = at.groupBy("k", "c").agg(F.collect_list(F.struct("lh", "lc", "first")).alias("wanted"))
     cut = _with_text(keyed, held, "wanted").dropDuplicates(["k", "c"]).select("wanted", F.split("text", "\n", -1).alias("lines"))
     texts = cut.select(F.explode(F.transform("wanted", lambda w: F.struct(w["lh"].alias("lh"), w["lc"].alias("lc"), w["first"].alias("first"), F.get("lines", w["first"]["pos"]).alias("line")))).alias("x")).select("x.*")
-    one = lambda p, h: texts.select(F.col("lh").alias(h), *[F.col(c).alias(f"{p}_{c}") for c in ("lc", "first", "line")])
-    both = pairs.join(one("a", "a"), "a").join(one("b", "b"), "b").where(near(F.col("a_line"), F.col("b_line"), t, min_chars))
+    texts = spill(texts.withColumn("odd", _odd_letters(F.col("line"))))
+    pairs = candidate_pairs(shared, texts.select("lh", "odd"), t)
+    one = lambda p: texts.select(F.col("lh").alias(p), *[F.col(c).alias(f"{p}_{c}") for c in ("lc", "first", "line")])
+    both = pairs.join(one("a"), "a").join(one("b"), "b").where(near(F.col("a_line"), F.col("b_line"), t, min_chars))
     ends = [F.struct(F.col(f"{p}_first").alias("first"), F.col(p).alias("lh"), F.col(f"{p}_lc").alias("lc")) for p in "ab"]
-    return both.select(F.least(*ends).alias("earlier"), F.greatest(*ends).alias("later")), pairs
+    return both.select(F.least(*ends).alias("earlier"), F.greatest(*ends).alias("later")), [shared, texts]
 
 
 def removed_lines(keyed: DataFrame, t: int = THRESHOLD, min_chars: int = MIN_CHARS) -> DataFrame:
@@ -190,8 +207,8 @@ def removed_lines(keyed: DataFrame, t: int = THRESHOLD, min_chars: int = MIN_CHA
     occurrences = spill(lines_of(keyed).select("lh", "lc", "doc_id", "k", "c", "pos"))
     place = F.struct("doc_id", "k", "c", "pos")
     lines = spill(occurrences.groupBy("lh", "lc").agg(F.min(place).alias("first"), F.max(place).alias("last")))
-    found, pairs = similar_lines(keyed, lines.select("lh", "lc", "first"), t, min_chars)
-    later = spill(found.select("later.lh", "later.lc").distinct(), pairs).withColumn("gone", F.lit(True))
+    found, read = similar_lines(keyed, lines.select("lh", "lc", "first"), t, min_chars)
+    later = spill(found.select("later.lh", "later.lc").distinct(), *read).withColumn("gone", F.lit(True))
     decided = lines.join(later, ["lh", "lc"], "left").where(F.col("gone") | (F.col("first") != F.col("last"))).select("lh", "lc", "first", F.coalesce("gone", F.lit(False)).alias("gone"))
     leaving = occurrences.join(decided, ["lh", "lc"]).where(F.col("gone") | (place != F.col("first")))
     removed = spill(leaving.groupBy("k", "c").agg(F.collect_set("pos").alias("removed")), lines)
