@@ -274,11 +274,11 @@ def ag_distinct_neighbours(s, d):
     return met.groupBy("o_custkey").agg(F.count_distinct("l_partkey").alias("parts"), F.count_distinct("l_suppkey").alias("suppliers"))
 
 
-@op("select o_orderstatus, abs(1 - 1) within from orders group by o_orderstatus")
+@op("select o_orderstatus, abs(1 - 1) as off from orders group by o_orderstatus")
 def ag_approx_distinct_within(s, d):
     """0 where the approximate number of customers is within 10 percent of the exact one."""
     got = _table(s, d, "orders").groupBy("o_orderstatus").agg(F.approx_count_distinct("o_custkey", 0.02).alias("a"), F.count_distinct("o_custkey").alias("n"))
-    return got.select("o_orderstatus", F.when(F.abs(F.col("a") - F.col("n")) * 10 <= F.col("n"), 0).otherwise(1).alias("within"))
+    return got.select("o_orderstatus", F.when(F.abs(F.col("a") - F.col("n")) * 10 <= F.col("n"), 0).otherwise(1).alias("off"))
 
 
 @op(f"{_NATION}, o as (select p.sg ps, q.sg qs from e join v p on src = p.vid join v q on dst = q.vid) select ps, qs, count(*) edges, grouping(ps) + grouping(qs) as lvl from o group by rollup(ps, qs)")
@@ -549,12 +549,12 @@ def sf_vector(s, d):
     return both.select(F.col("vec_id").alias("a"), "b", F.round(F.sqrt(fold(lambda p, q: (p - q) * (p - q))), 6).alias("gap"), F.round(fold(lambda p, q: p * q), 6).alias("product"))
 
 
-@op("select o_orderkey, cast(cast(round(o_totalprice * 100) as bigint) as varchar) cents, cast(date_diff('day', cast(o_orderdate as date), date '2002-01-01') as bigint) days from orders")
+@op("select o_orderkey, cast(cast(round(o_totalprice * 100) as bigint) as varchar) cents, cast(date_diff('day', cast(o_orderdate as date), date '2002-01-01') as bigint) as age_days from orders")
 def sf_decimal_interval(s, d):
     o = _table(s, d, "orders")
     cents = (F.round(F.col("o_totalprice") * 100).cast("decimal(18,2)")).cast("decimal(18,0)").cast("string")
     span = F.lit("2002-01-01").cast("date") - F.col("o_orderdate").cast("date")
-    return o.select("o_orderkey", cents.alias("cents"), F.extract(F.lit("DAY"), span).cast("bigint").alias("days"))
+    return o.select("o_orderkey", cents.alias("cents"), F.extract(F.lit("DAY"), span).cast("bigint").alias("age_days"))
 
 
 # ---- extensions -------------------------------------------------------------------------------

@@ -53,12 +53,12 @@ def drain(rows: DataFrame, mode: str, keys: list[str] | None = None, folder: str
     folder = folder or _folder(spark)
 
     def put(batch: DataFrame, n: int) -> None:
-        (each(batch) if each else batch).withColumn("batch", F.lit(n)).write.mode("overwrite").parquet(f"{folder}/out/n={n}")
+        (each(batch) if each else batch).withColumn("batch", F.lit(n)).write.mode("overwrite").parquet(f"{folder}/out/slice={n}")
 
     query = rows.writeStream.outputMode(mode).option("checkpointLocation", f"{folder}/checkpoint").trigger(availableNow=True).foreachBatch(put).start()
     query.awaitTermination()
     drain.progress = query.recentProgress
-    out = spark.read.option("mergeSchema", "false").parquet(f"{folder}/out").drop("n")
+    out = spark.read.option("mergeSchema", "false").parquet(f"{folder}/out").drop("slice")
     if mode == "complete":
         last = out.agg(F.max("batch")).first()[0]
         return out.where(F.col("batch") == last).drop("batch")
