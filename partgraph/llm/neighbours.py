@@ -160,10 +160,10 @@ def _descend(graph: DataFrame, placed: DataFrame) -> DataFrame:
     worst = graph.groupBy(F.col("u").alias("id")).agg(F.min("s").alias("low"), F.count("*").alias("n"))
     known = placed.join(worst, "id", "left").select(F.col("id").alias("v"), "x", F.when(F.col("n") >= DEGREE, F.col("low")).otherwise(F.lit(-2.0)).alias("low"))
     dealt = members.join(placed.select(F.col("id").alias("u"), "cell"), "u")
-    needed = dealt.select("cell", "v").distinct().join(known, "v").select(F.col("cell").alias("at"), "v", "x", "low")
+    needed = dealt.select("cell", "v").distinct().join(known, "v").select(F.col("cell").alias("at"), F.col("v").alias("node"), "x", "low")
 
     def meet(asked: pa.Table, have: pa.Table) -> pa.Table:
-        ids, x, low = np.asarray(have.column("v")), _matrix(have.column("x")), np.asarray(have.column("low"))
+        ids, x, low = np.asarray(have.column("node")), _matrix(have.column("x")), np.asarray(have.column("low"))
         order = np.argsort(ids)
         u, v, fresh = (np.asarray(asked.column(c)) for c in ("u", "v", "fresh"))
         by = np.argsort(u, kind="stable")
@@ -284,13 +284,13 @@ def complete(found: DataFrame, points: DataFrame, queries: DataFrame, top: int =
     short = queries.join(have, F.col("id") == F.col("query_id"), "left").where(F.coalesce("n", F.lit(0)) < goal).select("id", "v")
     if short.isEmpty():
         return found
-    sent = short.crossJoin(points.select(F.col("cell").alias("at")).distinct())
+    sent = short.select(F.col("id").alias("asker"), F.col("v").alias("y")).crossJoin(points.select(F.col("cell").alias("at")).distinct())
 
     def best(cell: pa.Table, asks: pa.Table) -> pa.Table:
-        ids, q = np.asarray(cell.column("id")), np.asarray(asks.column("id"))
+        ids, q = np.asarray(cell.column("id")), np.asarray(asks.column("asker"))
         if not len(ids) or not len(q):
             return pa.table({"q": pa.array([], pa.int64()), "v": pa.array([], pa.int64())})
-        x, y = _matrix(cell.column("v")), _matrix(asks.column("v"))
+        x, y = _matrix(cell.column("v")), _matrix(asks.column("y"))
         out: list[list[np.ndarray]] = [[], []]
         for i in range(len(q)):
             s = x @ y[i]

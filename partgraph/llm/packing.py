@@ -3,7 +3,7 @@
 Documents are encoded once; the pieces (lengths and checksums, no ids) are dealt into packing groups of about GROUP
 pieces by hash. In a group, best-fit decreasing gives the first grouping. A group with more bins than a proven lower bound
 evolves: its ISLANDS are rows of a table, each a population of groupings, bred by tasks of their own; a child gets whole
-well-filled bins of a second parent, loses its own bins that repeat their pieces, and best-fits the displaced pieces.
+well-filled bins of a second parent, loses its own bins that repeat their pieces, and best-fits the displaced pieces, after trades that fill bins better.
 After each epoch, a job, every island sends its elite to the next one. Islands whose group reached the bound rest; the
 bound proves that nothing is left to gain. Last, the bins that stayed at most half full are packed across groups.
 
@@ -14,6 +14,7 @@ no rows; other columns are ignored. Equal rows are interchangeable: which of the
 
 from __future__ import annotations
 
+import bisect
 import json
 import random
 import zlib
@@ -30,7 +31,9 @@ CAPACITY = 2048
 END_ID = 0
 #: Pieces in a packing group, on average.
 GROUP = 8192
-ISLANDS, POPULATION, EPOCHS, GENERATIONS = 4, 4, 3, 6
+ISLANDS, POPULATION, EPOCHS, GENERATIONS = 4, 4, 3, 12
+#: Pieces of a bin, and loose ones, of which pairs are tried in a trade.
+TRADED = 24
 PIECE = "doc_id bigint, piece int, start bigint, length bigint, ids_crc32 bigint, deal bigint"
 
 
@@ -125,6 +128,36 @@ def _fitness(bins: list[list[int]], size: list[int], capacity: int) -> tuple[int
     return -len(bins), sum((sum(size[x] for x in b) / capacity) ** 2 for b in bins) / max(1, len(bins))
 
 
+def trade(bins: list[list[int]], loose: list[int], size: list[int], capacity: int) -> tuple[list[list[int]], list[int]]:
+    """Bins give one or two pieces for one or two larger loose ones that still fit: bins get fuller, loose pieces smaller."""
+    have = sorted((size[x], x) for x in loose)
+    out = []
+    for b in bins:
+        room, best = capacity - sum(size[x] for x in b), None
+        if room and have:
+            gives = [(x,) for x in b] + [(x, y) for i, x in enumerate(b[:TRADED]) for y in b[i + 1 : TRADED]]
+            for give in gives:
+                s = sum(size[x] for x in give)
+                k = bisect.bisect_right(have, (s + room, len(size))) - 1
+                if k >= 0 and have[k][0] > s and (best is None or have[k][0] - s > best[0]):
+                    best = have[k][0] - s, give, (k,)
+                low, high = 0, min(k, TRADED)
+                while low < high:  # two loose pieces, from both ends
+                    pair = have[low][0] + have[high][0]
+                    if pair > s + room:
+                        high -= 1
+                        continue
+                    if pair > s and (best is None or pair - s > best[0]):
+                        best = pair - s, give, (low, high)
+                    low += 1
+        if best:
+            _, give, take = best
+            b = [x for x in b if x not in give] + [have[k][1] for k in take]
+            have = sorted([h for k, h in enumerate(have) if k not in take] + [(size[x], x) for x in give])
+        out.append(b)
+    return out, [x for _, x in have]
+
+
 def cross(first: list[list[int]], second: list[list[int]], size: list[int], capacity: int, rng: random.Random) -> list[list[int]]:
     """Whole well-filled bins of ``second`` go into ``first``; what they displace is best-fitted again."""
     ranked = sorted(second, key=lambda b: sum(size[x] for x in b), reverse=True)
@@ -137,15 +170,18 @@ def cross(first: list[list[int]], second: list[list[int]], size: list[int], capa
             kept.append(b)
         else:
             loose.extend(x for x in b if x not in there)
+    kept, loose = trade(kept, loose, size, capacity)
     return best_fit(loose, size, capacity, kept)
 
 
 def mutate(bins: list[list[int]], size: list[int], capacity: int, rng: random.Random) -> list[list[int]]:
-    """Dissolve the least-filled bin and a few others, and best-fit their pieces."""
+    """Dissolve the least-filled bin and a few others, trade their pieces with the rest, and best-fit them."""
     ranked = sorted(bins, key=lambda b: sum(size[x] for x in b))
-    k = min(len(ranked), 4)
-    gone = {0, *rng.sample(range(len(ranked)), k)} if ranked else set()
-    return best_fit([x for i in gone for x in ranked[i]], size, capacity, [b for i, b in enumerate(ranked) if i not in gone])
+    gone = {0, *rng.sample(range(len(ranked)), min(len(ranked), 4))} if ranked else set()
+    rest = [b for i, b in enumerate(ranked) if i not in gone]
+    rng.shuffle(rest)
+    rest, loose = trade(rest, [x for i in gone for x in ranked[i]], size, capacity)
+    return best_fit(loose, size, capacity, rest)
 
 
 def founders(size: list[int], capacity: int, seed: int) -> list[list[list[int]]]:
