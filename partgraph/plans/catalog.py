@@ -168,10 +168,13 @@ def _between_sql(name: str, sources: list[int], steps: int) -> str:
     return f"{out}, al as ({every}) select v.vid, round(coalesce(sum(a.paths * b.paths / st.paths), 0), 6) score from al st join al a on a.s = st.s and a.vid <> st.s join al b on b.s = a.vid and b.vid = st.vid and a.vid <> st.vid and a.d + b.d = st.d right join (select distinct vid from al where s in (select * from (values {src})) and vid <> s) v on v.vid = a.vid and st.s in (select * from (values {src})) group by v.vid"
 
 
-LISTED = ("nation", "copart_strong", "order_cite", "page_colink")
+#: Graphs for which only edges, types, messages and partition statistics are registered.
+SIDE = ("order_range", "user_coact", "cust_part", "conv_next", "emb_knn")
+LISTED = ("nation", "copart_strong", "order_cite")
 FEW = ("nation", "cosupp", "copart_strong")
 CLUSTERED = ("nation", "cosupp", "copart", "copart_strong", "order_cite", "page_colink")
-RUN_GRID = [(k, percent) for k in (2, 4, 8, 16) for percent in (30, 50, 90)]
+SHAPED = ("nation", "copart_strong")
+RUN_GRID = [(2, 30), (4, 50), (8, 90), (16, 90)]
 
 
 def queries() -> dict[str, Query]:
@@ -179,9 +182,11 @@ def queries() -> dict[str, Query]:
     for name, g in GRAPHS.items():
         out[f"g_{name}_edges"] = lambda s, d, g=g: g(s, d).edges
         out[f"pt_stats_{name}"] = _on(name, P.partition_stats)
-        out[f"pt_shape_{name}"] = _on(name, P.graph_shape)
         out[f"tri_msgs_{name}"] = _on(name, T.message_counts)
         out[f"tri_per_type_{name}"] = _on(name, lambda g: _per_type(T.triangles(g)))
+        if name in SIDE:
+            continue
+        out[f"pt_shape_{name}"] = _on(name, P.graph_shape)
         out[f"tri_vertex_centric_{name}"] = _count(name, T.triangles_vertex_centric)
         out[f"tri_subgraph_{name}"] = _count(name, T.triangles)
         out[f"tri_kernel_{name}"] = _on(name, T.count_kernel)
@@ -211,13 +216,15 @@ def queries() -> dict[str, Query]:
         out[f"tri_estimate_{name}"] = _on(name, T.triangles_estimate)
         out[f"orient_degree_{name}"] = _on(name, lambda g: T.orient(g, "degree"))
         out[f"clustering_coefficient_{name}"] = _on(name, T.clustering_coefficient)
+    for name, form in (("tri_list", T.triangles), ("tri_kernel_list", T.triangles_kernel)):
+        out[f"{name}_page_colink"] = _on("page_colink", form)
     out["k_truss_4_copart_strong"] = _on("copart_strong", lambda g: T.k_truss(g, 4))
     out["k_truss_5_nation"] = _on("nation", lambda g: T.k_truss(g, 5))
     for part, (method, _) in PARTITIONS.items():
         for name in ("copart_strong", "order_cite"):
             out[f"tri_per_type_{name}_{part}"] = _on(name, lambda g, m=method: _per_type(T.triangles(m(g))))
             out[f"tri_msgs_{name}_{part}"] = _on(name, lambda g, m=method: T.message_counts(m(g)))
-            out[f"pt_stats_{name}_{part}"] = _on(name, lambda g, m=method: P.partition_stats(m(g)))
+        out[f"pt_stats_copart_strong_{part}"] = _on("copart_strong", lambda g, m=method: P.partition_stats(m(g)))
     for p in (1, 2, 4, 8, 25):
         out[f"tri_types_copart_hash{p}"] = _on("copart", lambda g, p=p: T.count_kernel(P.partition_hash(g, p)))
         out[f"pt_shape_copart_hash{p}"] = _on("copart", lambda g, p=p: P.graph_shape(P.partition_hash(g, p)))
@@ -236,10 +243,11 @@ def queries() -> dict[str, Query]:
 
     for name in CLUSTERED:
         out[f"kw_centres_{name}"] = _on(name, lambda g: K.draw_centres(g, 4))
-        out[f"kw_centres_per_subgraph_{name}"] = _on(name, lambda g: K.draw_centres(g, 4, sampling="per_subgraph"))
         for unit in ("vertex", "subgraph"):
             out[f"kw_labels_{unit}_{name}"] = _on(name, _labels(unit))
         out[f"kw_cut_{name}"] = _on(name, lambda g: K.edge_cut(g, _labels("vertex")(g)))
+    for name in SHAPED:
+        out[f"kw_centres_per_subgraph_{name}"] = _on(name, lambda g: K.draw_centres(g, 4, sampling="per_subgraph"))
         out[f"kw_profile_{name}"] = _on(name, lambda g: K.cluster_summary(g, _labels("vertex")(g)))
         out[f"kw_check_{name}"] = _on(name, lambda g: K.check_clusters(g, _labels("subgraph")(g)))
         out[f"kw_supersteps_{name}"] = _on(name, _steps)
@@ -261,15 +269,16 @@ def queries() -> dict[str, Query]:
         out[f"msf_summary_{name}"] = _on(name, lambda g: M.forest_summary(g, M.spanning_forest(g, finish=M.FINISH_EDGES)[0]))
         out[f"msf_trees_{name}"] = _on(name, lambda g: M.spanning_forest(g)[1])
         out[f"single_linkage_{name}"] = _on(name, lambda g: M.single_linkage(g, M.spanning_forest(g, finish=M.FINISH_EDGES)[0], 3))
-    for name in ("nation", "cosupp", "copart_strong", "copart", "order_cite", "user_coact", "emb_knn"):
+    for name in (*FEW, "order_cite"):
         out[f"msf_rounds_{name}"] = lambda s, d, g=GRAPHS[name]: _log(s, M.spanning_forest(g(s, d))[2], "round", "phase", "asks", "jumps")
         out[f"msf_vertex_rounds_{name}"] = lambda s, d, g=GRAPHS[name]: _log(s, M.spanning_forest(g(s, d), "vertex")[2], "round", "phase", "asks", "jumps")
+    for name in SHAPED:
         out[f"msf_literal_halt_{name}"] = _on(name, lambda g: M.forest_summary(g, M.spanning_forest(g, literal_halt=True)[0]))
         out[f"msf_local_edges_{name}"] = _on(name, lambda g: M.forest_summary(g, M.local_forest(g).where("is_edge")))
-    for name in ("copart", "order_cite", "user_coact", "emb_knn", "page_colink", "conv_next"):
+    for name in ("copart", "order_cite", "emb_knn", "conv_next"):
         out[f"msf_summary_{name}"] = _on(name, lambda g: M.forest_summary(g, M.spanning_forest(g, finish=M.FINISH_EDGES)[0]).select("edges", "trees"))
 
-    for name in ("nation", "copart_strong", "order_cite"):
+    for name in SHAPED:
         out[f"bfs_from_0_{name}"] = _on(name, lambda g: V.sssp(g, 0))
         out[f"bfs_subgraph_from_0_{name}"] = _on(name, lambda g: V.sssp(g, 0, "subgraph"))
         out[f"reachable_{name}"] = _on(name, lambda g: V.reachable(g, [0, 1]))
@@ -397,4 +406,6 @@ def oracle_sql() -> dict[str, str]:
         out[f"subgraph_rank_{name}"] = f"{_rank_sql(name)} select sg, cast(sum(score) as bigint) score from p5 join v on p5.vid = v.vid group by sg"
         out[f"coarsen_{name}"] = f"with {CTE[name]}{_OWNED} select least(ps, qs) src, greatest(ps, qs) dst, min(weight) weight from o where ps <> qs group by 1, 2"
     out["betweenness_nation"] = _between_sql("nation", [0, 1, 2], 2)
-    return out
+    out["tri_list_page_colink"] = out["tri_kernel_list_page_colink"] = f"with {CTE['page_colink']}{_TYPED} select a, b, c, tri_type from tt"
+    registered = queries()
+    return {name: sql for name, sql in out.items() if name in registered}

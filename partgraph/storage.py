@@ -4,11 +4,17 @@ from __future__ import annotations
 
 import atexit
 import tempfile
+import time
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 
 
+#: Least time between two collections.
+COLLECT_SECONDS = 3
+_collected = 0.0
+
+
 def shared_dir(spark: SparkSession) -> str:
     """The folder of ``spark.checkpoint.dir``; a temporary one only where none is set and Spark is local."""
     got = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", None)
@@ -27,8 +33,10 @@ def shared_dir(spark: SparkSession) -> str:
 def spill(df: DataFrame, *done: DataFrame) -> DataFrame:
     """Write ``df`` as Parquet to the shared folder and read it back; then ``done``, spilled before, are deleted.
 
-    The shuffle files of the written plan are of no more use: a collection on the driver lets Spark remove them.
+    The shuffle files of the written plan are of no more use: a collection on the driver lets Spark remove them. Loops of
+    short rounds collect now and then only.
     """
+    global _collected
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/spill-{uuid.uuid4().hex}"
     df.write.parquet(path)
@@ -36,7 +44,9 @@ def spill(df: DataFrame, *done: DataFrame) -> DataFrame:
     table = spark.read.schema(df.schema).parquet(path)
     table._spilled = path
     forget(*done)
-    spark.sparkContext._jvm.System.gc()
+    if time.monotonic() - _collected > COLLECT_SECONDS:
+        spark.sparkContext._jvm.System.gc()
+        _collected = time.monotonic()
     return table
 
 
