@@ -130,7 +130,7 @@ def leaves(sets: DataFrame, texts: DataFrame) -> DataFrame:
     """(node, cid, blocks): the members of the nodes to compare, spilled."""
     low = F.get("sketch", F.lit(0)).alias("low")
     members = sets.select(F.explode("nodes").alias("node"), "cid", low)
-    out, used = None, []
+    out, used, held = None, [], None
     for depth in range(1, DEPTH + 1):
         marks = members.groupBy("node", "low").agg(F.count("*").alias("n"))
         nodes = marks.groupBy("node").agg(F.sum("n").alias("n"), F.max("n").alias("most")).where("n > 1")
@@ -142,8 +142,10 @@ def leaves(sets: DataFrame, texts: DataFrame) -> DataFrame:
         if depth == DEPTH or nodes.where("not stop").isEmpty():
             break
         deeper = members.join(nodes.where("not stop"), "node").groupBy("cid").agg(F.collect_set("node").alias("nodes"))
-        members = spill(_descend(deeper.join(sets.select("cid", low, "h", "c"), "cid").join(texts, ["h", "c"])))
-    return spill(out, *used)
+        if held is None:  # sets that go deeper later are among these: the texts of all are shuffled once
+            held = spill(deeper.select("cid").join(sets.select("cid", low, "h", "c"), "cid").join(texts, ["h", "c"]).select("cid", "low", "text"))
+        members = spill(_descend(deeper.join(held, "cid")))
+    return spill(out, held, *used)
 
 
 def sketch_pairs(size: np.ndarray, sketch: list[np.ndarray], threshold: float) -> np.ndarray:
