@@ -103,8 +103,11 @@ KERNEL_EDGES = 4_000_000
 TYPED = "a bigint, b bigint, c bigint, tri_type string"
 
 
-def _with_kernel(owned: DataFrame, count: bool, cap: int) -> DataFrame:
-    """Triangles of types i and ii, listed or counted by type, by a shared-memory routine in each subgraph."""
+def _with_kernel(owned: DataFrame, count: bool, cap: int | None) -> DataFrame:
+    """Triangles of types i and ii, listed or counted by type, by a shared-memory routine in each subgraph.
+
+    ``cap`` None: all subgraphs are known to fit into memory.
+    """
     import numpy as np
     import pyarrow as pa
 
@@ -128,6 +131,8 @@ def _with_kernel(owned: DataFrame, count: bool, cap: int) -> DataFrame:
         return pa.concat_tables(out) if out else pa.table({"a": pa.array([], pa.int64()), "b": pa.array([], pa.int64()), "c": pa.array([], pa.int64()), "tri_type": pa.array([], pa.string())})
 
     schema = "tri_type string, triangles bigint" if count else TYPED
+    if cap is None:
+        return rows.groupBy("sg").applyInArrow(run, schema)
     big = spill(rows.groupBy("sg").agg(F.count("*").alias("n")).where(F.col("n") > cap).select("sg"))
     if big.isEmpty():
         return rows.groupBy("sg").applyInArrow(run, schema)
@@ -136,13 +141,13 @@ def _with_kernel(owned: DataFrame, count: bool, cap: int) -> DataFrame:
     return done.unionByName(rest.groupBy("tri_type").agg(F.count("*").alias("triangles")) if count else rest)
 
 
-def triangles_kernel(g: PartitionedGraph, cap: int = KERNEL_EDGES) -> DataFrame:
+def triangles_kernel(g: PartitionedGraph, cap: int | None = KERNEL_EDGES) -> DataFrame:
     """(a, b, c, tri_type): each subgraph finds types i and ii in memory; only cut edges are joined for type iii."""
     owned = g.owned_edges().select("src", "dst", "src_sg", "dst_sg")
     return _with_kernel(owned, False, cap).unionByName(_three(owned.where("src_sg <> dst_sg")))
 
 
-def count_kernel(g: PartitionedGraph, cap: int = KERNEL_EDGES) -> DataFrame:
+def count_kernel(g: PartitionedGraph, cap: int | None = KERNEL_EDGES) -> DataFrame:
     """(tri_type, triangles): the same without listing types i and ii."""
     owned = g.owned_edges().select("src", "dst", "src_sg", "dst_sg")
     three = _three(owned.where("src_sg <> dst_sg")).groupBy("tri_type").agg(F.count("*").alias("triangles"))
