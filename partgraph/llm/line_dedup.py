@@ -4,11 +4,11 @@ A line leaves when an earlier line (by doc_id, then a hash of the document, then
 one edit for each MIN_CHARS / THRESHOLD code points of the shorter line, THRESHOLD at most. All lines that hold a word
 take part; lines too short for an edit leave as exact copies. Two lines within t edits share one of t + 1 segments: every
 line indexes its segments by (length class, segment, content) and probes the substrings that can match one in its class.
-Signatures that only one line has go first; hot ones are salted. Candidates pass a filter by length and by letters held an
-odd number of times inside the join, and then a banded bit-parallel edit distance: the band of a column is one integer,
-moved along the diagonal.
+Signatures that only one line has go first; hot ones are split. A semi join keeps the lines that meet an earlier near one:
+it tests length, letters and pairs of them held an odd number of times, and then a banded bit-parallel edit distance: the band of a column
+is one integer, moved along the diagonal. It makes no rows for pairs, so a group of near copies costs a row for each line.
 
-No text travels with a signature. Texts are shuffled once, by document, for the candidates and for the final cut.
+Texts are shuffled by document for the lines that share a signature and for the final cut, and with these signatures.
 
 Cases: a null or empty text has no lines and stays as it is; blank lines stay; rows equal in doc_id and text are one
 document and get the same result; a null doc_id comes before all others; other columns are kept by ``dedup_lines``,
@@ -165,16 +165,60 @@ def _odd_letters(line: Column) -> Column:
     return F.aggregate(F.split(line, ""), F.lit(0).cast("bigint"), flip)
 
 
-def candidate_pairs(shared: DataFrame, odd: DataFrame, t: int) -> DataFrame:
-    """(a, b): hashes of lines that share a signature, once each, a < b. Lines whose lengths or odd letters (lh, odd) tell
-    that they are further apart than ``t`` do not leave the join."""
-    rows = shared.join(odd, "lh")
-    own = F.col("mark").bitwiseAND(F.lit(1)) == 1
-    index = rows.where(own).select("sign", F.pmod(F.xxhash64("lh"), F.col("splits")).cast("int").alias("salt"), F.col("lh").alias("x"), F.col("mark").alias("x_mark"), F.col("odd").alias("x_odd"))
-    probe = rows.select("sign", F.explode(F.sequence(F.lit(0), F.col("splits") - 1)).alias("salt"), F.col("lh").alias("y"), F.col("mark").alias("y_mark"), F.col("odd").alias("y_odd"))
-    alike = (index["sign"] == probe["sign"]) & (index["salt"] == probe["salt"]) & (F.col("x") != F.col("y"))
-    alike &= (F.abs(F.shiftright("x_mark", 1) - F.shiftright("y_mark", 1)) <= t) & (F.bit_count(F.col("x_odd").bitwiseXOR(F.col("y_odd"))) <= 2 * t)
-    return index.join(probe, alike).select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct()
+def _odd_pairs(line: Column, words: int = 2) -> list[Column]:
+    """``words`` times 64 bits: which hashes of two neighbouring characters (the last one and nothing, too) a line holds an
+    odd number of times; a replaced character changes four at most, one put in or taken out three."""
+    codes = F.transform(F.split(line, ""), lambda c: F.ascii(c))
+    pairs = lambda x: F.zip_with(x, F.slice(x, 2, F.greatest(F.size(x), F.lit(1))), lambda a, b: F.pmod(a * 73 + F.coalesce(b, F.lit(0)) * 19, F.lit(64 * words)))
+    flip = lambda x, h: x.bitwiseXOR(F.call_function("shiftleft", F.lit(1).cast("bigint"), F.pmod(h, F.lit(64))))
+    of_word = lambda w: lambda v: F.shiftright(v, 6) == w
+    held = lambda h: F.array(*[F.aggregate(F.filter(h, of_word(w)), F.lit(0).cast("bigint"), flip) for w in range(words)])
+    masks = _let(codes, lambda c: _let(pairs(c), held))
+    return [F.get(masks, w).alias(f"pairs{w}") for w in range(words)]
+
+
+def _meets(rows: DataFrame, index: Column, probe: Column, keys: list[str], t: int, min_chars: int) -> DataFrame:
+    """(lh, lc) of ``probe`` rows that have an earlier near line among the ``index`` rows of their ``keys``.
+
+    The whole comparison stands in a left semi join: it ends at a line's first match and makes no row for a pair.
+    """
+    took = ("mark", "odd", "pairs0", "pairs1", "first", "line")
+    # as many tasks as a shuffle has: what is joined is small, comparing it is not
+    deal = lambda df, p: df.repartition(int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")), *[f"{p}_{c}" for c in keys])
+    x = rows.where(index & (F.col("mark").bitwiseAND(F.lit(1)) == 1)).select(*[F.col(c).alias(f"x_{c}") for c in (*keys, *took)])
+    y = rows.where(probe).select("lh", "lc", *[F.col(c).alias(f"y_{c}") for c in (*keys, *took)])
+    if "salt" in keys:
+        y = y.withColumn("y_salt", F.explode(F.sequence(F.lit(1), F.col("y_salt"))))
+    meets = F.col("x_first") < F.col("y_first")
+    for c in keys:
+        meets &= F.col(f"x_{c}") == F.col(f"y_{c}")
+    n, m = F.shiftright("x_mark", 1), F.shiftright("y_mark", 1)
+    allowed = F.least(F.lit(t), F.expr(f"least(shiftright(x_mark, 1), shiftright(y_mark, 1)) * {t} div {min_chars}").cast("int"))
+    flips = lambda c: F.bit_count(F.col(f"x_{c}").bitwiseXOR(F.col(f"y_{c}")))
+    meets &= (F.abs(n - m) <= allowed) & (flips("odd") <= 2 * allowed - F.abs(n - m)) & (flips("pairs0") + flips("pairs1") <= 4 * allowed - F.abs(n - m))
+    return deal(y, "y").join(deal(x, "x"), meets & near(F.col("x_line"), F.col("y_line"), t, min_chars), "left_semi").select("lh", "lc").distinct()
+
+
+def later_lines(shared: DataFrame, texts: DataFrame, t: int, min_chars: int) -> DataFrame:
+    """(lh, lc), spilled: the lines near an earlier one that shares a signature.
+
+    Either line of a near pair finds the other one, so the earlier line is indexed and the later one probes. First every
+    line probes one part of each signature's index; in a group of near copies most lines leave by that. Lines that stay
+    and have a signature of several parts then probe the other parts.
+    """
+    part = F.pmod(F.xxhash64("lh"), F.col("splits")).cast("int")
+    rows = shared.join(texts, "lh")
+    found = spill(_meets(rows, part == 0, F.lit(True), ["sign"], t, min_chars))
+    hot = shared.where("splits > 1")
+    if hot.isEmpty():
+        return found
+    names = hot.join(texts, "lh").join(found.withColumn("settled", F.lit(True)), ["lh", "lc"], "left")
+    # an index row's salt is its part; a probe's is the last part, and it probes all parts from 1 on
+    ends = names.select("*", part.alias("part"), F.explode(F.array(F.lit(False), F.lit(True))).alias("probe"))
+    ends = ends.where((F.col("probe") & F.col("settled").isNull()) | (~F.col("probe") & (F.col("part") > 0)))
+    ends = ends.withColumn("salt", F.when(F.col("probe"), F.col("splits") - 1).otherwise(F.col("part")))
+    more = _meets(ends, ~F.col("probe"), F.col("probe"), ["sign", "salt"], t, min_chars)
+    return spill(found.unionByName(more), found)
 
 
 def _with_text(keyed: DataFrame, rows: DataFrame, *columns: str, how: str = "inner") -> DataFrame:
@@ -183,8 +227,8 @@ def _with_text(keyed: DataFrame, rows: DataFrame, *columns: str, how: str = "inn
     return keyed.join(right, (keyed["k"] == right["__k"]) & (keyed["c"] == right["__c"]), how).drop("__k", "__c")
 
 
-def similar_lines(keyed: DataFrame, places: DataFrame, t: int = THRESHOLD, min_chars: int = MIN_CHARS) -> tuple[DataFrame, list[DataFrame]]:
-    """((earlier, later) structs (first, lh, lc) of each near pair; the spilled tables it reads).
+def similar_lines(keyed: DataFrame, places: DataFrame, t: int = THRESHOLD, min_chars: int = MIN_CHARS) -> DataFrame:
+    """(lh, lc), spilled: the distinct lines that are near an earlier one.
 
     ``places`` holds (lh, lc, first): where each distinct line stands first.
     """
@@ -194,12 +238,10 @@ def similar_lines(keyed: DataFrame, places: DataFrame, t: int = THRESHOLD, min_c
     held = at.groupBy("k", "c").agg(F.collect_list(F.struct("lh", "lc", "first")).alias("wanted"))
     cut = _with_text(keyed, held, "wanted").dropDuplicates(["k", "c"]).select("wanted", F.split("text", "\n", -1).alias("lines"))
     texts = cut.select(F.explode(F.transform("wanted", lambda w: F.struct(w["lh"].alias("lh"), w["lc"].alias("lc"), w["first"].alias("first"), F.get("lines", w["first"]["pos"]).alias("line")))).alias("x")).select("x.*")
-    texts = spill(texts.withColumn("odd", _odd_letters(F.col("line"))))
-    pairs = candidate_pairs(shared, texts.select("lh", "odd"), t)
-    one = lambda p: texts.select(F.col("lh").alias(p), *[F.col(c).alias(f"{p}_{c}") for c in ("lc", "first", "line")])
-    both = pairs.join(one("a"), "a").join(one("b"), "b").where(near(F.col("a_line"), F.col("b_line"), t, min_chars))
-    ends = [F.struct(F.col(f"{p}_first").alias("first"), F.col(p).alias("lh"), F.col(f"{p}_lc").alias("lc")) for p in "ab"]
-    return both.select(F.least(*ends).alias("earlier"), F.greatest(*ends).alias("later")), [shared, texts]
+    texts = spill(texts.select("*", _odd_letters(F.col("line")).alias("odd"), *_odd_pairs(F.col("line"))))
+    later = later_lines(shared, texts, t, min_chars)
+    forget(shared, texts)
+    return later
 
 
 def removed_lines(keyed: DataFrame, t: int = THRESHOLD, min_chars: int = MIN_CHARS) -> DataFrame:
@@ -207,8 +249,7 @@ def removed_lines(keyed: DataFrame, t: int = THRESHOLD, min_chars: int = MIN_CHA
     occurrences = spill(lines_of(keyed).select("lh", "lc", "doc_id", "k", "c", "pos"))
     place = F.struct("doc_id", "k", "c", "pos")
     lines = spill(occurrences.groupBy("lh", "lc").agg(F.min(place).alias("first"), F.max(place).alias("last")))
-    found, read = similar_lines(keyed, lines.select("lh", "lc", "first"), t, min_chars)
-    later = spill(found.select("later.lh", "later.lc").distinct(), *read).withColumn("gone", F.lit(True))
+    later = similar_lines(keyed, lines.select("lh", "lc", "first"), t, min_chars).withColumn("gone", F.lit(True))
     decided = lines.join(later, ["lh", "lc"], "left").where(F.col("gone") | (F.col("first") != F.col("last"))).select("lh", "lc", "first", F.coalesce("gone", F.lit(False)).alias("gone"))
     leaving = occurrences.join(decided, ["lh", "lc"]).where(F.col("gone") | (place != F.col("first")))
     removed = spill(leaving.groupBy("k", "c").agg(F.collect_set("pos").alias("removed")), lines)

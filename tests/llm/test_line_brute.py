@@ -84,3 +84,46 @@ def test_hot_signatures_are_split_without_loss(spark, monkeypatch):
     want, _ = brute(rows)
     got = {r.doc_id: r.text for r in L.dedup_lines(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
     assert got == {d: v for (d, _), v in want.items()}
+
+
+def _join_rows(spark, run):
+    """The largest number of rows that a join made while ``run`` ran."""
+    store = spark._jsparkSession.sharedState().statusStore()
+    seen = store.executionsCount()
+    run()
+    made = 0
+    ids = store.executionsList()
+    for i in range(seen, ids.size()):
+        k = ids.apply(i).executionId()
+        values, nodes = store.executionMetrics(k), store.planGraph(k).allNodes()
+        for n in (nodes.apply(j) for j in range(nodes.size())):
+            metrics = n.metrics()
+            for m in (metrics.apply(j) for j in range(metrics.size())):
+                if "Join" in n.name() and m.name() == "number of output rows" and values.contains(m.accumulatorId()):
+                    made = max(made, int(values.apply(m.accumulatorId()).replace(",", "")))
+    return made
+
+
+def test_near_copies_make_no_row_for_a_pair(spark):
+    rnd = random.Random(4)
+    base = "a house style line that is sent with every letter, version "
+    rows = [(i, base + f"{i:03d}"[: rnd.choice([2, 3])] + "abcdefghij"[i % 10] * (i % 2)) for i in range(200)]
+    want, gone = brute(rows)
+    got = {}
+    most = _join_rows(spark, lambda: got.update({r.doc_id: r.text for r in L.dedup_lines(spark.createDataFrame(rows, "doc_id long, text string")).collect()}))
+    assert gone and got == {d: v for (d, _), v in want.items()}
+    # 7,000 pairs and more are near; each line has a dozen signatures
+    assert 0 < most <= 20 * len(rows), most
+
+
+def test_filters_keep_all_near_pairs(spark):
+    rnd = random.Random(6)
+    rows = []
+    for _ in range(500):
+        a = "".join(rnd.choice("ab12é😀 ") for _ in range(rnd.choice([15, 30, 60])))
+        rows.append((a, edited(rnd, a, "ab12é😀 ", 1)))
+    masks = lambda c: F.array(L._odd_letters(F.col(c)), *L._odd_pairs(F.col(c)))
+    flips = F.zip_with(masks("a"), masks("b"), lambda x, y: F.bit_count(x.bitwiseXOR(y)))
+    for r in spark.createDataFrame(rows, "a string, b string").select("a", "b", flips.alias("f")).collect():
+        gap = abs(len(r.a) - len(r.b))
+        assert r.f[0] <= 2 - gap and r.f[1] + r.f[2] <= 4 - gap, r
