@@ -14,8 +14,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..operators.components import connected_components
-from ..operators.triangles import triangles_forward
-from ..sources.graphs import PartitionedGraph
+from ..operators.triangles import in_cells
 from ..storage import shared_dir, spill
 
 EVENT = "event_id bigint, ts timestamp_ntz, user_id bigint, event_type string, value double, props string"
@@ -177,11 +176,17 @@ def ss_components(spark: SparkSession, sf_dir: str) -> DataFrame:
 def ss_window_triangles(spark: SparkSession, sf_dir: str) -> DataFrame:
     """(bucket, triangles) of the users that act alike in each hour."""
     found = acts(spark, sf_dir, 1)
-    own = F.col("x.bucket") * 100_000
+    return window_triangles(found)
+
+
+def window_triangles(found: DataFrame) -> DataFrame:
+    """(bucket, triangles) of acts (bucket, event_type, user_id): a vertex is a user in a window, its owner the window."""
+    most = found.agg(F.coalesce(F.max("user_id"), F.lit(0)) + 1).first()[0]
     pairs = found.alias("x").join(found.alias("y"), F.expr("x.bucket = y.bucket and x.event_type = y.event_type and x.user_id < y.user_id"))
-    edges = pairs.select((own + F.col("x.user_id")).alias("src"), (own + F.col("y.user_id")).alias("dst")).distinct().withColumn("weight", F.lit(1).cast("bigint"))
-    g = PartitionedGraph(edges.select(F.col("src").alias("vid"), F.lit(0).cast("bigint").alias("sg")), edges)
-    return triangles_forward(g).groupBy(F.expr("a div 100000").alias("bucket")).agg(F.count("*").alias("triangles"))
+    # windows are numbered by the hour, so that ids of many users fit
+    own = F.expr("x.bucket div 3600") * most
+    edges = pairs.select((own + F.col("x.user_id")).alias("src"), (own + F.col("y.user_id")).alias("dst"), F.col("x.bucket").alias("src_sg"), F.col("x.bucket").alias("dst_sg")).distinct()
+    return in_cells(edges, True).groupBy(F.col("own").alias("bucket")).agg(F.sum("triangles").alias("triangles"))
 
 
 def ss_restart(spark: SparkSession, sf_dir: str) -> DataFrame:
