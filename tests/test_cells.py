@@ -71,3 +71,10 @@ def test_owner_null_and_unknown_ends(spark):
     with_two = {t: k for t, k in kinds.items() if {3, 10**17} <= set(t)}
     assert set(with_two.values()) == {("first", 1), ("middle", 1), ("last", 1)} and len(with_two) == 3
     assert all(k == ("iii", -1) for t, k in kinds.items() if t not in with_two)
+
+
+def test_large_and_small_subgraphs_together(graph):
+    g, want = graph
+    for cap in (10**6, 95, 0):
+        assert {r.tri_type: r.triangles for r in T.count_kernel(g, cap).collect()} == Counter(k if k in ("i", "iii") else "ii" for *_, k, _ in want)
+        assert {(r.a, r.b, r.c) for r in T.triangles_kernel(g, cap).collect()} == {x[:3] for x in want}
