@@ -15,6 +15,7 @@ from pyspark.sql import functions as F
 
 from ..operators.components import connected_components
 from ..operators.triangles import in_cells
+from ..sources.graphs import coact_pairs
 from ..storage import shared_dir, spill
 
 EVENT = "event_id bigint, ts timestamp_ntz, user_id bigint, event_type string, value double, props string"
@@ -81,8 +82,7 @@ def acts(spark: SparkSession, sf_dir: str, parts: int = 3) -> DataFrame:
 
 def coact_edges(found: DataFrame) -> DataFrame:
     """(src, dst, n): pairs of events of two users that share window and type."""
-    pairs = found.alias("x").join(found.alias("y"), F.expr("x.bucket = y.bucket and x.event_type = y.event_type and x.user_id < y.user_id"))
-    return pairs.groupBy(F.col("x.user_id").alias("src"), F.col("y.user_id").alias("dst")).agg(F.sum(F.expr("x.n * y.n")).alias("n"))
+    return coact_pairs(found.withColumnRenamed("bucket", "w"))
 
 
 def ss_tumbling_coact(spark: SparkSession, sf_dir: str) -> DataFrame:
