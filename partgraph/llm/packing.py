@@ -86,11 +86,11 @@ def pieces(docs: DataFrame, path: str, capacity: int = CAPACITY) -> DataFrame:
 
 def best_fit(items: list[int], size: list[int], capacity: int, bins: list[list[int]] | None = None) -> list[list[int]]:
     """Put items, largest first, each into the fullest bin with room (of ``bins``, copied, or a new one)."""
-    bins = [list(b) for b in bins or []]
+    bins, get = [list(b) for b in bins or []], size.__getitem__
     room_of: list[list[int]] = [[] for _ in range(capacity + 1)]
     mask = 0
     for i, b in enumerate(bins):
-        room = capacity - sum(size[x] for x in b)
+        room = capacity - sum(map(get, b))
         room_of[room].append(i)
         mask |= 1 << room
     for x in sorted(items, key=size.__getitem__, reverse=True):
@@ -125,15 +125,16 @@ def lower_bound(size: list[int], capacity: int) -> int:
 
 
 def _fitness(bins: list[list[int]], size: list[int], capacity: int) -> tuple[int, float]:
-    return -len(bins), sum((sum(size[x] for x in b) / capacity) ** 2 for b in bins) / max(1, len(bins))
+    get = size.__getitem__
+    return -len(bins), sum((sum(map(get, b)) / capacity) ** 2 for b in bins) / max(1, len(bins))
 
 
 def trade(bins: list[list[int]], loose: list[int], size: list[int], capacity: int) -> tuple[list[list[int]], list[int]]:
     """Bins give one or two pieces for one or two larger loose ones that still fit: bins get fuller, loose pieces smaller."""
     have = sorted((size[x], x) for x in loose)
-    out = []
+    out, get = [], size.__getitem__
     for b in bins:
-        room, best = capacity - sum(size[x] for x in b), None
+        room, best = capacity - sum(map(get, b)), None
         if room and have:
             gives = [(x,) for x in b] + [(x, y) for i, x in enumerate(b[:TRADED]) for y in b[i + 1 : TRADED]]
             for give in gives:
@@ -160,7 +161,7 @@ def trade(bins: list[list[int]], loose: list[int], size: list[int], capacity: in
 
 def cross(first: list[list[int]], second: list[list[int]], size: list[int], capacity: int, rng: random.Random) -> list[list[int]]:
     """Whole well-filled bins of ``second`` go into ``first``; what they displace is best-fitted again."""
-    ranked = sorted(second, key=lambda b: sum(size[x] for x in b), reverse=True)
+    ranked = sorted(second, key=lambda b: sum(map(size.__getitem__, b)), reverse=True)
     take = ranked[: max(1, len(ranked) // 2)]
     take = [b for b in take if rng.random() < 0.5] or take[:1]
     there = {x for b in take for x in b}
@@ -176,7 +177,7 @@ def cross(first: list[list[int]], second: list[list[int]], size: list[int], capa
 
 def mutate(bins: list[list[int]], size: list[int], capacity: int, rng: random.Random) -> list[list[int]]:
     """Dissolve the least-filled bin and a few others, trade their pieces with the rest, and best-fit them."""
-    ranked = sorted(bins, key=lambda b: sum(size[x] for x in b))
+    ranked = sorted(bins, key=lambda b: sum(map(size.__getitem__, b)))
     gone = {0, *rng.sample(range(len(ranked)), min(len(ranked), 4))} if ranked else set()
     rest = [b for i, b in enumerate(ranked) if i not in gone]
     rng.shuffle(rest)
@@ -202,16 +203,17 @@ def founders(size: list[int], capacity: int, seed: int) -> list[list[list[int]]]
 def breed(pop: list[list[list[int]]], size: list[int], capacity: int, goal: int, seed: int) -> list[list[list[int]]]:
     """The population after an epoch, best first; it ends early when ``goal`` bins are reached."""
     rng = random.Random(seed)
-    score = lambda b: _fitness(b, size, capacity)
-    pop = sorted(pop, key=score, reverse=True)
+    # each grouping is scored once
+    scored = sorted(((_fitness(b, size, capacity), b) for b in pop), key=lambda x: x[0], reverse=True)
     for _ in range(GENERATIONS):
-        if len(pop[0]) <= goal:
+        if len(scored[0][1]) <= goal:
             break
-        a, b = rng.sample(pop, 2)
-        pop.append(mutate(cross(a, b, size, capacity, rng), size, capacity, rng))
-        pop.sort(key=score, reverse=True)
-        pop.pop()
-    return pop
+        (_, a), (_, b) = rng.sample(scored, 2)
+        child = mutate(cross(a, b, size, capacity, rng), size, capacity, rng)
+        scored.append((_fitness(child, size, capacity), child))
+        scored.sort(key=lambda x: x[0], reverse=True)
+        scored.pop()
+    return [b for _, b in scored]
 
 
 def _numbers(bins: list[list[int]], n: int) -> list[int]:
@@ -270,7 +272,9 @@ def evolve(open_: DataFrame, capacity: int, epochs: int = EPOCHS) -> DataFrame:
         return run
 
     rows = open_.select("grp", F.explode(F.sequence(F.lit(0), F.lit(ISLANDS - 1))).alias("island"), "goal", F.lit(0).alias("bins"), "size", F.array().cast("array<array<int>>").alias("pop"))
-    rows = spill(rows.repartition("grp", "island").mapInArrow(epoch(0), ISLAND))
+    # an island is little data and much work: a task for each, which sizes in bytes would join
+    tasks = max(1, min(4096, open_.count() * ISLANDS))
+    rows = spill(rows.repartition(tasks, "grp", "island").mapInArrow(epoch(0), ISLAND))
     for number in range(1, epochs):
         done = rows.where("bins <= goal").select("grp").distinct()
         busy = rows.join(done, "grp", "left_anti")
@@ -279,7 +283,7 @@ def evolve(open_: DataFrame, capacity: int, epochs: int = EPOCHS) -> DataFrame:
         # the elite of island i takes the place of the worst of island i + 1
         elite = busy.select("grp", F.pmod(F.col("island") + 1, F.lit(ISLANDS)).cast("int").alias("island"), F.col("pop")[0].alias("elite"))
         met = busy.join(elite, ["grp", "island"]).withColumn("pop", F.concat(F.slice("pop", 1, POPULATION - 1), F.array("elite")))
-        bred = met.select("grp", "island", "goal", "bins", "size", "pop").repartition("grp", "island").mapInArrow(epoch(number), ISLAND)
+        bred = met.select("grp", "island", "goal", "bins", "size", "pop").repartition(tasks, "grp", "island").mapInArrow(epoch(number), ISLAND)
         rows = spill(bred.unionByName(rows.join(done, "grp", "left_semi")), rows)
     best = rows.groupBy("grp").agg(F.min_by(F.struct("bins", F.col("pop")[0].alias("numbers")), F.struct("bins", "island")).alias("x"))
     return best.select("grp", "x.bins", "x.numbers")

@@ -81,3 +81,11 @@ def test_loose_bins_are_merged_across_groups(spark, monkeypatch):
     for r in got:
         bins.setdefault(r.sequence_id, []).append((r.offset, r.length))
     assert all(sorted(o for o, _ in b) == [300 * k for k in range(len(b))] for b in bins.values()) and sum(map(len, bins.values())) == 80
+
+
+def test_each_grouping_is_scored_once(monkeypatch):
+    size = hard_sizes(20)
+    seen = []
+    monkeypatch.setattr(P, "_fitness", lambda b, s, c, f=P._fitness: seen.append(1) or f(b, s, c))
+    P.breed(P.founders(size, 2048, 1), size, 2048, 0, 1)
+    assert len(seen) == P.POPULATION + P.GENERATIONS
