@@ -4,6 +4,7 @@ Documents are encoded once; the pieces (lengths and checksums, no ids) are dealt
 pieces by hash. In a group, best-fit decreasing gives the first grouping. A group with more bins than a proven lower bound
 evolves: its ISLANDS are rows of a table, each a population of groupings, bred by tasks of their own; a child gets whole
 well-filled bins of a second parent, loses its own bins that repeat their pieces, and best-fits the displaced pieces, after trades that fill bins better.
+Bins that one or two pieces fill exactly are settled, by proof, and no island carries them.
 After each epoch, a job, every island sends its elite to the next one. Islands whose group reached the bound rest; the
 bound proves that nothing is left to gain. Last, the bins that stayed at most half full are packed across groups.
 
@@ -15,16 +16,19 @@ no rows; other columns are ignored. Equal rows are interchangeable: which of the
 from __future__ import annotations
 
 import bisect
+import itertools
 import json
 import random
+import re
 import zlib
+from collections.abc import Callable
 from functools import lru_cache
 
 import numpy as np
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .bpe import SPLIT, byte_letters
+from .bpe import _WS, SPLIT, byte_letters
 from .common import mix, spill
 
 CAPACITY = 2048
@@ -34,11 +38,17 @@ GROUP = 8192
 ISLANDS, POPULATION, EPOCHS, GENERATIONS = 4, 4, 3, 12
 #: Pieces of a bin, and loose ones, of which pairs are tried in a trade.
 TRADED = 24
+#: Two white spaces before another character: the last one goes with what follows, which the split pattern finds by looking ahead.
+RUN = rf"[{_WS}][{_WS}][^{_WS}]"
+_CUT = re.compile(rf"[{_WS}](?=[{_WS}][^{_WS}])")
+#: The split pattern without looking ahead, which a faster engine takes; the same for parts that hold no such run.
+AHEAD = rf"[{_WS}]+(?![^{_WS}])|"
+PLAIN = SPLIT.pattern.replace(AHEAD, "")
 PIECE = "doc_id bigint, piece int, start bigint, length bigint, ids_crc32 bigint, deal bigint"
 
 
-@lru_cache(maxsize=2)
-def fast_encoder(path: str):
+@lru_cache(maxsize=4)
+def fast_encoder(path: str, pattern: str = SPLIT.pattern):
     """tiktoken on the vocabulary of a tokenizers file: the same ids, several times faster."""
     import tiktoken
 
@@ -47,20 +57,37 @@ def fast_encoder(path: str):
     back = {c: b for b, c in byte_letters().items()}
     special = {t["content"]: t["id"] for t in spec["added_tokens"]}
     ranks = {bytes(back[c] for c in t): i for t, i in spec["model"]["vocab"].items() if t not in special}
-    return tiktoken.Encoding("byte_bpe", pat_str=SPLIT.pattern, mergeable_ranks=ranks, special_tokens=special)
+    return tiktoken.Encoding("byte_bpe", pat_str=pattern, mergeable_ranks=ranks, special_tokens=special)
+
+
+def encoder(path: str) -> Callable[[str, bool], np.ndarray]:
+    """Ids of a text; the flag says that RUN is in it."""
+    plain = fast_encoder(path, PLAIN)
+
+    def run(text: str, runs: bool) -> np.ndarray:
+        if not runs:
+            return plain.encode_to_numpy(text, allowed_special="all")
+        if any(s in text for s in plain.special_tokens_set):  # white space before a special token ends its part
+            return fast_encoder(path).encode_to_numpy(text, allowed_special="all")
+        cuts = [0, *(m.end() for m in _CUT.finditer(text)), len(text)]
+        return np.concatenate([plain.encode_to_numpy(text[a:b], allowed_special="all") for a, b in zip(cuts, cuts[1:], strict=False)])
+
+    return run
 
 
 def pieces(docs: DataFrame, path: str, capacity: int = CAPACITY) -> DataFrame:
     """One row for each piece of each document."""
     import pyarrow as pa
+    import pyarrow.compute as pc
 
     def run(batches):
-        enc = fast_encoder(path)
+        encode = encoder(path)
         for batch in batches:
             rows: list[tuple] = []
             met: dict[tuple, int] = {}
-            for doc, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                ids = np.append(enc.encode_to_numpy(text, allowed_special="all") if text else np.zeros(0, np.uint32), np.uint32(END_ID)).astype("<u4")
+            runs = pc.match_substring_regex(batch.column(1), RUN).to_pylist()
+            for doc, text, ahead in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), runs, strict=True):
+                ids = np.append(encode(text, ahead) if text else np.zeros(0, np.uint32), np.uint32(END_ID)).astype("<u4")
                 cuts = [0, *range(len(ids) % capacity or capacity, len(ids) + 1, capacity)]
                 for k, (a, b) in enumerate(zip(cuts, cuts[1:], strict=False)):
                     row = (doc, k, a, b - a, zlib.crc32(ids[a:b].tobytes()))
@@ -124,37 +151,64 @@ def lower_bound(size: list[int], capacity: int) -> int:
     return best
 
 
+def settle(bins: list[list[int]], size: list[int], capacity: int) -> tuple[list[list[int]], list[list[int]]]:
+    """Bins that some best grouping holds as they are, and the others.
+
+    These are the bins that one or two pieces fill exactly. A piece of the whole capacity is alone in any grouping; where
+    pieces that fill a bin together lie apart, one may change places with all that lies beside the other, which is no
+    larger: a grouping of as many bins has them together.
+    """
+    fixed, free = [], []
+    for b in bins:
+        (fixed if len(b) <= 2 and sum(size[x] for x in b) == capacity else free).append(b)
+    return fixed, free
+
+
 def _fitness(bins: list[list[int]], size: list[int], capacity: int) -> tuple[int, float]:
     get = size.__getitem__
     return -len(bins), sum((sum(map(get, b)) / capacity) ** 2 for b in bins) / max(1, len(bins))
 
 
+@lru_cache(maxsize=128)
+def _couples(n: int, most: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    low, high = np.triu_indices(n, 1)
+    return low, high, (most - 1 - low) * most + high
+
+
+def _pair_sums(have: list[tuple[int, int]], most: int) -> list[int]:
+    """Sums of two of the ``most`` smallest loose pieces, ascending, each with both places: (sum, most - 1 - low, high) as one number."""
+    least = np.array([h for h, _ in have[:most]], np.int64)
+    low, high, code = _couples(len(least), most)
+    return np.sort((least[low] + least[high]) * (most * most) + code).tolist()
+
+
 def trade(bins: list[list[int]], loose: list[int], size: list[int], capacity: int) -> tuple[list[list[int]], list[int]]:
     """Bins give one or two pieces for one or two larger loose ones that still fit: bins get fuller, loose pieces smaller."""
     have = sorted((size[x], x) for x in loose)
-    out, get = [], size.__getitem__
+    out, get, most, sums = [], size.__getitem__, TRADED + 1, None
     for b in bins:
-        room, best = capacity - sum(map(get, b)), None
+        room, gain, best = capacity - sum(map(get, b)), 0, None
         if room and have:
-            gives = [(x,) for x in b] + [(x, y) for i, x in enumerate(b[:TRADED]) for y in b[i + 1 : TRADED]]
-            for give in gives:
-                s = sum(size[x] for x in give)
+            for give in itertools.chain(((x,) for x in b), itertools.combinations(b[:TRADED], 2)):
+                s = sum(map(get, give))
                 k = bisect.bisect_right(have, (s + room, len(size))) - 1
-                if k >= 0 and have[k][0] > s and (best is None or have[k][0] - s > best[0]):
-                    best = have[k][0] - s, give, (k,)
-                low, high = 0, min(k, TRADED)
-                while low < high:  # two loose pieces, from both ends
-                    pair = have[low][0] + have[high][0]
-                    if pair > s + room:
-                        high -= 1
-                        continue
-                    if pair > s and (best is None or pair - s > best[0]):
-                        best = pair - s, give, (low, high)
-                    low += 1
+                if k >= 0 and have[k][0] - s > gain:
+                    gain, best = have[k][0] - s, (give, (k,))
+                if gain < room:  # two loose pieces
+                    if sums is None:
+                        sums = _pair_sums(have, most)
+                    j = bisect.bisect_left(sums, (s + room + 1) * most * most) - 1
+                    if j >= 0 and (pair := sums[j] // (most * most)) - s > gain:
+                        gain, best = pair - s, (give, (most - 1 - sums[j] // most % most, sums[j] % most))
+                if gain == room:  # the bin is full
+                    break
         if best:
-            _, give, take = best
+            (give, take), sums = best, None
             b = [x for x in b if x not in give] + [have[k][1] for k in take]
-            have = sorted([h for k, h in enumerate(have) if k not in take] + [(size[x], x) for x in give])
+            for k in reversed(take):
+                del have[k]
+            for x in give:
+                bisect.insort(have, (size[x], x))
         out.append(b)
     return out, [x for _, x in have]
 
@@ -235,23 +289,38 @@ ISLAND = "grp bigint, island int, goal int, bins int, size array<int>, pop array
 
 
 def islands_of(dealt: DataFrame, capacity: int) -> DataFrame:
-    """(grp, rows, size, numbers, bins, goal): each group's pieces in a fixed order and their best-fit bins."""
+    """(grp, rows, size, numbers, bins, goal, settled): each group's pieces, those of settled bins first, and their
+    best-fit bins; ``size`` has the pieces that are left to an open group's islands."""
     ordered = F.array_sort(F.collect_list(F.struct("deal", "doc_id", "piece", "start", "length", "ids_crc32")))
     grouped = dealt.groupBy("grp").agg(ordered.alias("rows")).withColumn("size", F.transform("rows", lambda r: r["length"].cast("int")))
     import pyarrow as pa
 
     def run(batches):
         for batch in batches:
-            numbers, bins, goal = [], [], []
+            order, numbers, left, bins, goal, settled = [], [], [], [], [], []
             for size in batch.column("size").to_pylist():
-                found = best_fit(list(range(len(size))), size, capacity)
-                numbers.append(_numbers(found, len(size)))
+                fixed, free = settle(best_fit(list(range(len(size))), size, capacity), size, capacity)
+                found = fixed + free
+                number = _numbers(found, len(size))
+                turn = [x for b in found for x in b]
+                at = len(order)
+                order.extend(at + x for x in turn)
+                numbers.append([number[x] for x in turn])
                 bins.append(len(found))
                 goal.append(lower_bound(size, capacity))
-            yield pa.RecordBatch.from_arrays([batch.column("grp"), batch.column("rows"), batch.column("size"), pa.array(numbers, pa.list_(pa.int32())), pa.array(bins, pa.int32()), pa.array(goal, pa.int32())], ["grp", "rows", "size", "numbers", "bins", "goal"])
+                settled.append(len(fixed))
+                left.append([size[x] for b in free for x in b] if bins[-1] > goal[-1] else [])
+            rows = batch.column("rows")
+            edges = pa.array(np.cumsum([0, *map(len, numbers)]), pa.int32())
+            rows = pa.ListArray.from_arrays(edges, rows.flatten().take(pa.array(order, pa.int64())), type=rows.type)
+            ints = pa.list_(pa.int32())
+            yield pa.RecordBatch.from_arrays(
+                [batch.column("grp"), rows, pa.array(left, ints), pa.array(numbers, ints), *(pa.array(c, pa.int32()) for c in (bins, goal, settled))],
+                ["grp", "rows", "size", "numbers", "bins", "goal", "settled"],
+            )
 
     piece = "array<struct<deal:bigint,doc_id:bigint,piece:int,start:bigint,length:bigint,ids_crc32:bigint>>"
-    return grouped.select("grp", "rows", "size").mapInArrow(run, f"grp bigint, rows {piece}, size array<int>, numbers array<int>, bins int, goal int")
+    return grouped.select("grp", "rows", "size").mapInArrow(run, f"grp bigint, rows {piece}, size array<int>, numbers array<int>, bins int, goal int, settled int")
 
 
 def evolve(open_: DataFrame, capacity: int, epochs: int = EPOCHS) -> DataFrame:
@@ -293,8 +362,11 @@ def pack_pieces(dealt: DataFrame, count: int, capacity: int = CAPACITY) -> DataF
     """Pieces with sequence_id and offset; ``count`` (documents) sets the number of groups."""
     groups = max(1, round(count / GROUP))
     first = spill(islands_of(dealt.withColumn("grp", F.pmod("deal", F.lit(groups))), capacity))
-    better = evolve(first.where("bins > goal"), capacity).select("grp", F.col("numbers").alias("evolved"))
-    final = first.join(better, "grp", "left").select("grp", "rows", F.coalesce("evolved", "numbers").alias("numbers"))
+    # islands breed what the settled bins leave
+    open_ = first.where("bins > goal").select("grp", "size", F.expr("goal - settled").alias("goal"))
+    better = evolve(open_, capacity).select("grp", F.col("numbers").alias("evolved"))
+    whole = F.expr("concat(slice(numbers, 1, size(numbers) - size(evolved)), transform(evolved, x -> x + settled))")
+    final = first.join(better, "grp", "left").select("grp", "rows", F.coalesce(whole, "numbers").alias("numbers"))
     pieces_ = final.select("grp", F.explode(F.arrays_zip("rows", "numbers")).alias("z")).select("grp", F.col("z.numbers").alias("bin"), "z.rows.*")
     fill = pieces_.groupBy("grp", "bin").agg(F.sum("length").alias("fill"))
     merged = _merge_loose(fill.where(F.col("fill") <= capacity // 2), capacity)
