@@ -14,7 +14,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..operators.components import connected_components
-from ..operators.triangles import in_cells
+from ..operators.triangles import count_of_classes, set_classes
 from ..sources.graphs import coact_pairs
 from ..storage import shared_dir, spill
 
@@ -75,7 +75,7 @@ def _start(column: str = "window"):
 
 def acts(spark: SparkSession, sf_dir: str, parts: int = 3) -> DataFrame:
     """(bucket, event_type, user_id, n) of hourly windows, from the drained stream."""
-    s = stream(spark, replay(_events(spark, sf_dir), parts))
+    s = stream(spark, replay(_events(spark, sf_dir).select("ts", "user_id", "event_type"), parts))
     counts = s.groupBy(F.window("ts", "60 minutes"), "event_type", "user_id").agg(F.count("*").alias("n"))
     return drain(counts.select(_start(), "event_type", "user_id", "n"), "update", ["bucket", "event_type", "user_id"])
 
@@ -180,13 +180,12 @@ def ss_window_triangles(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def window_triangles(found: DataFrame) -> DataFrame:
-    """(bucket, triangles) of acts (bucket, event_type, user_id): a vertex is a user in a window, its owner the window."""
-    most = found.agg(F.coalesce(F.max("user_id"), F.lit(0)) + 1).first()[0]
-    pairs = found.alias("x").join(found.alias("y"), F.expr("x.bucket = y.bucket and x.event_type = y.event_type and x.user_id < y.user_id"))
-    # windows are numbered by the hour, so that ids of many users fit
-    own = F.expr("x.bucket div 3600") * most
-    edges = pairs.select((own + F.col("x.user_id")).alias("src"), (own + F.col("y.user_id")).alias("dst"), F.col("x.bucket").alias("src_sg"), F.col("x.bucket").alias("dst_sg")).distinct()
-    return in_cells(edges, True).groupBy(F.col("own").alias("bucket")).agg(F.sum("triangles").alias("triangles"))
+    """(bucket, triangles) of acts (bucket, event_type, user_id): users that act alike in a window.
+
+    Users of a window with one set of types count as one vertex with a weight: no pair of them is formed.
+    """
+    members = found.where("bucket is not null and event_type is not null").select(F.col("user_id").alias("vid"), F.col("bucket").alias("sg"), F.struct("bucket", "event_type").alias("item"))
+    return count_of_classes(*set_classes(members)).select(F.col("own").alias("bucket"), "triangles")
 
 
 def ss_restart(spark: SparkSession, sf_dir: str) -> DataFrame:
