@@ -14,7 +14,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..operators.components import connected_components
-from ..operators.triangles import count_of_classes, set_classes
+from ..operators.triangles import count_of_classes, owned_sets, set_classes
 from ..sources.graphs import coact_pairs
 from ..storage import shared_dir, spill
 
@@ -185,7 +185,7 @@ def window_triangles(found: DataFrame) -> DataFrame:
     Users of a window with one set of types count as one vertex with a weight: no pair of them is formed.
     """
     members = found.where("bucket is not null and event_type is not null").select(F.col("user_id").alias("vid"), F.col("bucket").alias("sg"), F.struct("bucket", "event_type").alias("item"))
-    return count_of_classes(*set_classes(members)).select(F.col("own").alias("bucket"), "triangles")
+    return count_of_classes(*set_classes(owned_sets(members))).select(F.col("own").alias("bucket"), "triangles")
 
 
 def ss_restart(spark: SparkSession, sf_dir: str) -> DataFrame:
