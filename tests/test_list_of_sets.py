@@ -45,6 +45,10 @@ def test_list_of_alike_pages(spark, tmp_path):
     _no_row_through_python(spark, tmp_path, "tri_list_page_colink")
 
 
+def test_kernel_list_of_alike_pages(spark, tmp_path):
+    _no_row_through_python(spark, tmp_path, "tri_kernel_list_page_colink")
+
+
 @pytest.mark.parametrize(("vertices", "block"), [(60, 2), (60, 32), (9, 32)])
 def test_classes_equal_plain_loops(spark, monkeypatch, vertices, block):
     """Small blocks, an owner null (equal to no other), null items, and few vertices that are all unlike."""
